@@ -43,7 +43,7 @@ def stored(df: DataFrame, label: str) -> DataFrame:
 
 def spread(df: DataFrame, target_bytes: int = 32 << 20) -> int:
     """Partitions for a shuffle of df: at least the session's number, more where its size asks for them."""
-    size = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
     return max(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), min(-(-size // target_bytes), 1 << 20) if size < 1 << 60 else 1)
 
 

@@ -48,4 +48,22 @@ SELECT doc_id, source, k.slot::INT AS slot, (f.n % 16)::INT AS shard
 FROM (SELECT doc_id, source, ('0x' || substr(md5(coalesce(doc_id::VARCHAR, 'null')), 1, 8))::BIGINT % 1601 AS slot FROM documents) k JOIN fill f USING (slot)
 """
 
-ORACLES = {"op10_quality": QUALITY, "op2_sharding": SHARDING}
+SUBSTRING = r"""
+WITH w AS (
+  SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS ws FROM documents
+), win AS (
+  SELECT doc_id, i, array_to_string(ws[i:i+12], ' ') AS k FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 11)) AS i FROM w)
+), early AS (
+  SELECT k, min(doc_id) AS f FROM win GROUP BY k
+), gone AS (
+  SELECT DISTINCT doc_id, i + j AS p FROM win JOIN early USING (k), range(0, 13) AS r(j) WHERE f < doc_id
+), placed AS (
+  SELECT doc_id, unnest(ws) AS word, unnest(range(1, len(ws) + 1)) AS p FROM w
+), kept AS (
+  SELECT doc_id, count(*) AS n, string_agg(word, ' ' ORDER BY p) AS t FROM placed ANTI JOIN gone USING (doc_id, p) GROUP BY doc_id
+)
+SELECT doc_id, len(ws)::BIGINT AS n_words, (len(ws) - coalesce(n, 0))::BIGINT AS n_removed, sha256(coalesce(t, '')) AS kept_sha256
+FROM w LEFT JOIN kept USING (doc_id)
+"""
+
+ORACLES = {"op3_substring": SUBSTRING, "op10_quality": QUALITY, "op2_sharding": SHARDING}

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import pii, quality, secrets, sharding
+from . import pii, quality, secrets, sharding, substring
 from .common import table
 from .oracles import ORACLES  # noqa: F401
 
@@ -16,6 +16,10 @@ def sharding_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.assign(docs, "doc_id", SHARDS).select("doc_id", "source", "slot", "shard")
 
 
+def substring_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring.dedup(table(spark, sf_dir, "documents"))
+
+
 def pii_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.detect(table(spark, sf_dir, "documents"))
 
@@ -31,6 +35,7 @@ def quality_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "op2_sharding": sharding_query,
+    "op3_substring": substring_query,
     "op4_pii": pii_query,
     "op5_secrets": secrets_query,
     "op10_quality": quality_query,
