@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import pii, quality, secrets, sharding, substring
+from . import neardup, pii, quality, secrets, sharding, substring
 from .common import table
 from .oracles import ORACLES  # noqa: F401
 
@@ -28,6 +28,10 @@ def secrets_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.run(table(spark, sf_dir, "documents"))[0]
 
 
+def near_dedup_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.group(table(spark, sf_dir, "documents"))
+
+
 def quality_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     led = quality.ledger(table(spark, sf_dir, "documents").select("doc_id", "text"))
     return quality.apply_policy(led).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "fail_bits")
@@ -38,5 +42,6 @@ QUERIES = {
     "op3_substring": substring_query,
     "op4_pii": pii_query,
     "op5_secrets": secrets_query,
+    "op8_near_dedup": near_dedup_query,
     "op10_quality": quality_query,
 }
