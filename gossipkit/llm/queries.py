@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import neardup, pii, quality, secrets, sharding, substring
+from . import langid, neardup, pii, quality, secrets, sharding, substring, tokenfile
 from .common import table
 from .oracles import ORACLES  # noqa: F401
 
@@ -28,6 +29,15 @@ def secrets_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.run(table(spark, sf_dir, "documents"))[0]
 
 
+def token_file_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tokenfile.round_trip(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
+
+
+def language_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return langid.identify(docs, langid.training_sample(docs))
+
+
 def near_dedup_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.group(table(spark, sf_dir, "documents"))
 
@@ -42,6 +52,8 @@ QUERIES = {
     "op3_substring": substring_query,
     "op4_pii": pii_query,
     "op5_secrets": secrets_query,
+    "op7_token_file": token_file_query,
     "op8_near_dedup": near_dedup_query,
+    "op9_language": language_query,
     "op10_quality": quality_query,
 }
