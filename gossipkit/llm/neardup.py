@@ -169,3 +169,9 @@ def group(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
     own = F.when(F.col("n_shingles") > 0, F.coalesce("component", "doc_id")).otherwise(F.col("doc_id"))
     own = F.when(F.col("doc_id").isNotNull(), own)
     return out.select(F.col("doc_id").alias(key), "n_shingles", own.alias("component_id"), F.coalesce(own == F.col("doc_id"), F.lit(True)).alias("kept"))
+
+
+def keep_first(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """The rows of docs that are the first of their group, all columns."""
+    gone = group(docs, key, text).filter(~F.col("kept")).select(key).distinct()
+    return docs.join(gone, key, "left_anti").select(*docs.columns)

@@ -5,13 +5,21 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import langid, neardup, pii, quality, secrets, sharding, substring, tokenfile
+from . import decontaminate, langid, mixing, neardup, pii, quality, secrets, sharding, substring, tokenfile
 from .common import table
 from .oracles import ORACLES  # noqa: F401
 
 SHARDS = [f"shard-{i:03d}" for i in range(16)]
 
 
+def mixing_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(table(spark, sf_dir, "documents"))
+
+
+def decontamination_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.search(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def sharding_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "source")
     return sharding.assign(docs, "doc_id", SHARDS).select("doc_id", "source", "slot", "shard")
@@ -48,10 +56,12 @@ def quality_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_mixing": mixing_query,
     "op2_sharding": sharding_query,
     "op3_substring": substring_query,
     "op4_pii": pii_query,
     "op5_secrets": secrets_query,
+    "op6_decontamination": decontamination_query,
     "op7_token_file": token_file_query,
     "op8_near_dedup": near_dedup_query,
     "op9_language": language_query,

@@ -11,6 +11,8 @@ import numpy as np
 U = np.uint64
 _SEP = np.zeros(256, bool)
 _SEP[[0x20, *range(0x09, 0x0E)]] = True
+#: Separators of plain words: every ASCII character but letters and digits.
+_PLAIN = np.array([c < 128 and not chr(c).isalnum() for c in range(256)])
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 
@@ -41,12 +43,12 @@ class Words:
     """The words of a batch: data (bytes of all texts, each followed by a line feed), start and end of every word,
     hash of every word, doc (row of its text) and first (for each text the number of words before it)."""
 
-    def __init__(self, texts: list[str | None], lower: bool = False):
+    def __init__(self, texts: list[str | None], lower: bool = False, plain: bool = False):
         raw = [(t or "").encode("utf-8", "surrogatepass") for t in texts]
         self.sizes = np.fromiter((len(b) + 1 for b in raw), np.int64, len(raw))
         data = np.frombuffer(b"\n".join(raw) + b"\n" if raw else b"", np.uint8)
         self.data = _LOWER[data] if lower else data
-        sep = _SEP[self.data]
+        self.sep = sep = (_PLAIN if plain else _SEP)[self.data]
         edge = np.flatnonzero(sep[1:] != sep[:-1]) + 1
         if len(sep) and not sep[0]:
             edge = np.concatenate([[0], edge])
@@ -67,6 +69,7 @@ class Words:
         size = np.diff(self.start, append=len(self.data))
         inside = np.arange(lo, len(self.data)) - np.repeat(self.start, size)
         value = _BYTE[body] * powers(int(size.max()))[inside]
+        value[self.sep[lo:]] = 0
         return finalise(np.add.reduceat(value, self.start - lo))
 
     def windows(self, k: int, salt: int = 0) -> tuple[np.ndarray, np.ndarray]:
