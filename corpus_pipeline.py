@@ -1,7 +1,57 @@
-"""The corpus pipeline (written last)."""
+"""The corpus pipeline: quality rules, near-dedup, decontamination, mixing, sharding.
+
+Each stage takes (spark, docs, sf_dir) and works on all that the stage before kept; its result is written as
+Parquet in the shared folder and read again as the next one's docs. All stages but the last return the columns
+of documents.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+
+from gossipkit.llm import decontaminate, mixing, neardup, quality, sharding
+from gossipkit.llm.common import stored, table
+from gossipkit.llm.queries import SHARDS
+
+
+def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return quality.apply_policy(quality.ledger(docs)).filter("kept").select(*docs.columns)
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return neardup.keep_first(docs)
+
+
+def benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return decontaminate.clean(docs, table(spark, sf_dir, "benchmark"))
+
+
+def target_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    seen = mixing.with_topics(docs)
+    cell = mixing.plan(stored(seen.select("source", "lang", "topic", "n_tokens"), "topics"))
+    return mixing.decided(seen, cell).filter("kept").select(*docs.columns)
+
+
+def shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return sharding.assign(docs, "doc_id", SHARDS).select("doc_id", "lang", "source", "n_chars", "slot", "shard")
+
+
+STAGES = [
+    ("quality_rules", quality_rules),
+    ("near_duplicates", near_duplicates),
+    ("benchmark_passages", benchmark_passages),
+    ("target_mix", target_mix),
+    ("sharding", shards),
+]
+
+#: Edit distances and raking have no plain SQL; tests compare run() with a brute-force version.
 ORACLE_SQL = None
-STAGES = []
 
 
-def run(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/documents.parquet")
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    for i, (name, stage) in enumerate(STAGES):
+        docs = stage(spark, docs, sf_dir)
+        if i < len(STAGES) - 1:
+            docs = stored(docs, name)
+    return docs
