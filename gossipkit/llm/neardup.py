@@ -155,7 +155,7 @@ def group(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
     classes = stored(linked.groupBy("ka", "kb", "n_shingles").agg(F.min("doc_id").alias("rep"), F.any_value("bands").alias("bands"), F.count(F.lit(1)).alias("size")), "classes")
     pairs = stored(star_pairs(classes), "pairs")
     wanted = pairs.select(F.col("p").alias("doc_id")).union(pairs.select(F.col("u").alias("doc_id"))).distinct()
-    bodies = stored(sets(plain.join(wanted, "doc_id", "left_semi").select(F.col("doc_id").alias("id"), "text")), "sets")
+    bodies = stored(sets(plain.join(wanted.hint("merge"), "doc_id", "left_semi").select(F.col("doc_id").alias("id"), "text")), "sets")
     checked = stored(verified(pairs, bodies), "checked")
     links = checked.filter("linked").select(F.col("p").alias("a"), F.col("u").alias("b"))
     label = components(links)
@@ -165,7 +165,7 @@ def group(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
     # classes that stand alone need no row: their texts are their own component
     found = classes.select("ka", "kb", "n_shingles", "rep", "size").join(label.select(F.col("id").alias("rep"), "component"), "rep", "left").filter("size > 1 OR component IS NOT NULL")
     found = found.select("ka", "kb", "n_shingles", F.coalesce("component", "rep").alias("component"))
-    out = base.drop("bands").join(found, ["ka", "kb", "n_shingles"], "left")
+    out = base.drop("bands").join(found.hint("merge"), ["ka", "kb", "n_shingles"], "left")
     own = F.when(F.col("n_shingles") > 0, F.coalesce("component", "doc_id")).otherwise(F.col("doc_id"))
     own = F.when(F.col("doc_id").isNotNull(), own)
     return out.select(F.col("doc_id").alias(key), "n_shingles", own.alias("component_id"), F.coalesce(own == F.col("doc_id"), F.lit(True)).alias("kept"))

@@ -102,6 +102,14 @@ def apply_policy(led: DataFrame, policy: Policy = POLICIES[CURRENT]) -> DataFram
     return led.withColumns({"base_failed": base, "kept": ~(base | policy.rejects(F.col("fail_bits"))), "policy": F.lit(policy.version)})
 
 
+def accepted(docs: DataFrame, policy: Policy = POLICIES[CURRENT], text: str = "text") -> DataFrame:
+    """The rows of docs that the policy keeps, with their own columns only."""
+    judged = apply_policy(ledger(docs, text), policy)
+    # a filter on a deterministic column would be pushed down and evaluate every measurement again for each use
+    once = judged.withColumn("kept", F.col("kept") & (F.monotonically_increasing_id() >= 0))
+    return once.filter("kept").select(*docs.columns)
+
+
 def ablation(led: DataFrame, policy: Policy = POLICIES[CURRENT]) -> DataFrame:
     """For each rule: failures, documents rejected without it, documents that only it rejects."""
     bits, aggs = F.col("fail_bits"), []
