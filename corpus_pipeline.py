@@ -15,7 +15,7 @@ from gossipkit.llm.queries import SHARDS
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return quality.apply_policy(quality.ledger(docs)).filter("kept").select(*docs.columns)
+    return quality.accepted(docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
