@@ -1,8 +1,9 @@
 """Byte-level BPE by pieces.
 
 The vocabulary's own splitting rule never joins what stands before and after a space that follows a character
-other than white space: such a space always begins a new unit. A text is cut there, and each distinct piece
-is encoded once by the tokenizer; a text's ids are its pieces' ids, one after the other."""
+other than white space: such a space always begins a new unit. A single line feed between two such characters is
+a unit of its own, and so is one punctuation mark between a letter and the end of its piece. A text is cut there;
+each distinct piece is encoded once by the tokenizer, and a text's ids are its pieces' ids, one after the other."""
 
 from __future__ import annotations
 
@@ -11,8 +12,9 @@ import re
 
 import numpy as np
 
-KEEP = 1 << 20
-_DOUBLE, _CUT = re.compile(r"\s "), re.compile(r"(?<=\S) ")
+KEEP, GROUP = 1 << 21, 128
+MARKS = frozenset(".,;:!?")
+_RUN, _CUT = re.compile(r"\s\s|^\s|\s\Z"), re.compile(r"(?<=\S) ")
 
 
 class Encoder:
@@ -29,15 +31,40 @@ class Encoder:
     def _encode(self, pieces: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False)]
 
+    def _learn(self, pieces: list[str]) -> None:
+        """Adds pieces to the cache; a word with a mark behind it is the word and the mark."""
+        cache = self.cache
+        marked = [p for p in pieces if len(p) > 3 and p[-1] in MARKS and p[-2] < "ɐ" and p[1:-1].isalpha()]
+        plain = set(pieces).difference(marked)
+        plain.update([p[:-1] for p in marked], MARKS)
+        new = list(plain.difference(cache))
+        cache.update(zip(new, self._encode(new), strict=True))
+        for p in marked:
+            cache[p] = cache[p[:-1]] + cache[p[-1]]
+
+    def pieces(self, text: str) -> list[str]:
+        if _RUN.search(text):
+            cut = _CUT.split(text)
+            return [cut[0], *(" " + p for p in cut[1:])]
+        # a space stays with what follows it, a line feed stands alone
+        return text.replace("\n", "\0\n\0").replace(" ", "\0 ").split("\0") if "\0" not in text else [text]
+
     def many(self, texts: list[str | None]):
         """Yields the ids of each text."""
-        cache = self.cache
-        for text in texts:
-            cut = _CUT.split(text or "") if _DOUBLE.search(text or "") else (text or "").split(" ")
-            if len(cache) > KEEP:
-                cache.clear()
-            # the first piece has no space before it
-            rest = cut[1:]
-            new = [p for p in set(rest) if p not in cache]
-            cache.update(zip(new, self._encode([" " + p for p in new]), strict=True))
-            yield self._encode(cut[:1])[0] + b"".join(map(cache.__getitem__, rest))
+        for at in range(0, len(texts), GROUP):
+            cuts = [self.pieces(t or "") for t in texts[at : at + GROUP]]
+            if len(self.cache) > KEEP:
+                self.cache.clear()
+            self._learn(list(set().union(*cuts).difference(self.cache)))
+            for cut in cuts:
+                yield b"".join(map(self.cache.__getitem__, cut))
+
+
+_encoders: dict[str, Encoder] = {}
+
+
+def encoder(path: str) -> Encoder:
+    """The encoder of a vocabulary, kept with its pieces for all tasks of a Python worker."""
+    if path not in _encoders:
+        _encoders[path] = Encoder(path)
+    return _encoders[path]

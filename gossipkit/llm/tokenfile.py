@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from . import packing as P
 from .common import scratch, spread
-from .pieces import Encoder
+from .pieces import encoder
 
 MAGIC, SAMPLE, SEGMENT_TOKENS, END_ID = b"IDSEG001", 256, 1 << 22, 2
 
@@ -107,7 +107,7 @@ def write(docs: DataFrame, path: str, tokenizer: str, key: str = "doc_id", text:
     ordered = plain.repartitionByRange(spread(docs), "doc_id").sortWithinPartitions("doc_id")
 
     def encode(batches):
-        enc, part, seq = Encoder(tokenizer), TaskContext.get().partitionId(), 0
+        enc, part, seq = encoder(tokenizer), TaskContext.get().partitionId(), 0
         width = 2 if max(enc.size, end_id + 1) <= 1 << 16 else 4
         end = np.array([end_id], "<u4").tobytes()
         held: list = []
