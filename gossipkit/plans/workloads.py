@@ -83,6 +83,18 @@ def level_sweep(spark: SparkSession, sf_dir: str, levels=(4, 8, 16, 64, 256)) ->
     return targets(language_traces(spark, sf_dir, cfgs, ring))
 
 
+def tuned_targets(spark: SparkSession, sf_dir: str, levels=(2, 4, 8, 16)) -> DataFrame:
+    """Each method at its own number of levels, from one grid: the cheapest setting that reaches the cut-off on
+    validation, on the ring."""
+    ring, cfgs = {"ring": graphs(spark)["ring"]}, {}
+    for name, cfg in paper_methods(BASE).items():
+        cfgs |= {name: cfg} if name == "exact" else {f"{name}:{x}": replace(cfg, levels=x) for x in levels}
+    t = targets(language_traces(spark, sf_dir, cfgs, ring)).filter("reached")
+    each = t.withColumn("setting", F.col("method")).withColumn("method", F.split("method", ":")[0])
+    best = F.min_by(F.struct("setting", "rounds", "cum_bits", "final_accuracy", "zero_share"), F.struct("cum_bits", "setting"))
+    return each.groupBy("method").agg(best.alias("b")).select("method", "b.*")
+
+
 def method_savings(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per cent of bits that each method saves against each other one on the language task."""
     t = targets(language_traces(spark, sf_dir))

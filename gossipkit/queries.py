@@ -439,7 +439,7 @@ QUERIES = {
     "laplace_fit": laplace_fit, "rate_curves": rate_curves, "stationarity_bound": stationarity_bound, "event_windows": event_windows, "event_sessions": event_sessions,
     "train_language": train_language, "train_relational": train_relational, "train_tabular": planted_training, "quality_runs": quality_runs, "language_net": language_net,
     "table_r": W.table_r, "language_targets": lambda s, d: W.targets(W.language_traces(s, d)), "language_curves": lambda s, d: W.language_traces(s, d).filter("accuracy IS NOT NULL"),
-    "method_savings": W.method_savings, "mu_sweep": W.mu_sweep, "level_sweep": W.level_sweep, "speedup": W.speedup, "rate_slopes": W.rate_slopes, "other_compressors": W.other_compressors,
+    "method_savings": W.method_savings, "tuned_targets": W.tuned_targets, "mu_sweep": W.mu_sweep, "level_sweep": W.level_sweep, "speedup": W.speedup, "rate_slopes": W.rate_slopes, "other_compressors": W.other_compressors,
     "laplace_study": lambda s, d: W.laplace_study(s), "range_coverage": lambda s, d: theory.range_coverage(s, 1000, 400, 0.01),
 }
 
