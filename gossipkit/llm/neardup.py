@@ -29,7 +29,7 @@ from .textkernel import U
 
 BANDS, ROWS = 30, 5
 THRESHOLD = (85, 100)
-BLOCK = 1024
+BLOCK, SALT = 1024, 16
 
 
 def signed(docs: DataFrame) -> DataFrame:
@@ -129,7 +129,9 @@ def residual(checked: DataFrame, bodies: DataFrame, label: DataFrame) -> DataFra
     member = member.join(label.select(F.col("id").alias("u"), "component"), "u", "left").withColumn("component", F.coalesce("component", "u"))
     # pivots are compared with all; a group matters if two others are in different components
     groups = member.filter("u <> p").groupBy("p").agg(F.count(F.lit(1)).alias("n"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi")
-    member = member.filter("u <> p").join(groups.select("p", "n"), "p")
+    # the members of a large group are dealt over SALT tasks
+    groups = groups.select("p", "n", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))).alias("salt"))
+    member = member.filter("u <> p").withColumn("salt", F.pmod(F.xxhash64("u"), F.lit(SALT)).cast("int")).join(groups.hint("merge"), ["p", "salt"])
     k = F.ceil(F.col("n") / BLOCK).cast("int")
     own = F.pmod(F.xxhash64("u"), k).cast("int")
     every = F.sequence(F.lit(0), k - 1)
