@@ -16,7 +16,7 @@ from .config import GossipConfig, paper_methods
 from .trainers import Pool, pooled, sweep
 
 SITES, WORDS = 10, 256
-#: Settings chosen on the validation split.
+#: Shared by all methods and not tuned; tuned_targets gives each method its own number of levels.
 BASE = GossipConfig(sites=SITES, rounds=150, eta=1.0, eval_every=2)
 
 
