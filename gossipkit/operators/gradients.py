@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.columns import uniform
+
 
 def long_rows(samples: DataFrame) -> DataFrame:
     """One row for each value of packed samples."""
@@ -51,3 +53,26 @@ def margin_gradient(rows: DataFrame, model: DataFrame, kind: str) -> DataFrame:
     scores = rows.join(F.broadcast(model), "feature").groupBy("sample_id").agg(F.sum(F.col("val") * F.col("w")).alias("s"))
     total = rows.join(scores, "sample_id").groupBy("site", F.col("feature").alias("coord")).agg(F.sum(F.col("val") * sign * _slope(kind, sign * F.col("s"))).alias("t"))
     return total.join(F.broadcast(counts(rows)), "site").select("site", "coord", (F.col("t") / F.col("n_site")).alias("g"))
+
+
+def bernoulli_batch(samples: DataFrame, share: float, rnd: int, seed: int = 42) -> DataFrame:
+    """Each row with probability share, by a hash of its id: the same rows however the table is partitioned."""
+    return samples.filter(uniform("batch", seed, rnd, F.col("sample_id")) < share)
+
+
+def softmax_scores(rows: DataFrame, model: DataFrame) -> DataFrame:
+    """(sample_id, site, label, class, s)."""
+    return rows.join(model, "feature").groupBy("sample_id", "site", "label", "class").agg(F.sum(F.col("val") * F.col("w")).alias("s"))
+
+
+def softmax_loss(scores: DataFrame) -> DataFrame:
+    """(site, data_loss): mean cross-entropy of each site."""
+    top = scores.groupBy("sample_id", "site").agg(F.max("s").alias("m"), F.collect_list("s").alias("all"), F.max(F.when(F.col("class") == F.col("label"), F.col("s"))).alias("own"))
+    total = F.aggregate("all", F.lit(0.0), lambda a, x: a + F.exp(x - F.col("m")))
+    return top.groupBy("site").agg(F.avg(F.log(total) + F.col("m") - F.col("own")).alias("data_loss"))
+
+
+def softmax_accuracy(scores: DataFrame) -> DataFrame:
+    """(site, accuracy): share of rows whose label scores highest; the first class of equals."""
+    best = scores.groupBy("sample_id", "site", "label").agg(F.max_by("class", F.struct("s", -F.col("class"))).alias("guess"))
+    return best.groupBy("site").agg(F.avg((F.col("guess") == F.col("label")).cast("double")).alias("accuracy"))

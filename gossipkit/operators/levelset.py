@@ -6,10 +6,13 @@ other level explains. The coordinates of each further level are located among th
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.columns import elias_bits, golomb_bits, golomb_parameter
+from . import codec
 
 HEADER_BITS = 64 + 32 + 16  # two range ends of 32 bits, dimension, number of levels
 
@@ -119,3 +122,39 @@ def raw_bits(df: DataFrame, width: int = 32) -> DataFrame:
 def index_value_bits(d: int, k: int) -> int:
     """A position and a 32-bit value for each of k coordinates."""
     return k * (max((d - 1).bit_length(), 1) + 32)
+
+
+def by_block(df: DataFrame, block: int) -> DataFrame:
+    """Symbols with site and block of coordinates as their vector: blocks are coded one by one, so no site's symbols meet
+    in one task, at the price of a type vector for each block."""
+    return df.withColumn("site", F.shiftleft(F.col("site").cast("long"), 32) + F.floor(F.col("coord") / block))
+
+
+def block_bits(df: DataFrame, levels: int, block: int) -> DataFrame:
+    """(site, blocks, type_bits, gap_bits) of a code by blocks."""
+    per = bits(by_block(df, block), levels)
+    return per.groupBy(F.shiftright("site", 32).cast("int").alias("site")).agg(F.count(F.lit(1)).alias("blocks"), F.sum("type_bits").alias("type_bits"), F.sum("gap_bits").alias("gap_bits"))
+
+
+def messages(df: DataFrame, levels: int, block: int | None = None) -> DataFrame:
+    """(site, block, body): real messages of rows (site, coord, sym, lo, hi), one a site, or one a block of coordinates."""
+    def send(t):
+        order = np.argsort(t["coord"].to_numpy(), kind="stable")
+        body = codec.encode(t["sym"].to_numpy()[order], levels, t["lo"][0].as_py(), t["hi"][0].as_py())
+        return pa.table({"site": t["site"].slice(0, 1), "block": t["block"].slice(0, 1), "body": pa.array([body], pa.binary())})
+
+    at = F.floor(F.col("coord") / block) if block else F.lit(0)
+    rows = df.select("site", at.cast("long").alias("block"), "coord", "sym", "lo", "hi")
+    return rows.groupBy("site", "block").applyInArrow(send, "site int, block long, body binary")
+
+
+def received(sent: DataFrame, block: int | None = None) -> DataFrame:
+    """(site, coord, sym, lo, hi) of messages over coordinates from 0 on without holes."""
+    def read(batches):
+        for t in batches:
+            for site, at, body in zip(t["site"].to_pylist(), t["block"].to_pylist(), t["body"].to_pylist(), strict=True):
+                sym, lo, hi = codec.decode(body)
+                n, base = len(sym), at * (block or 0)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(n, site, np.int32)), pa.array(np.arange(n) + base), pa.array(sym.astype(np.int32)), pa.array(np.full(n, lo)), pa.array(np.full(n, hi))], ["site", "coord", "sym", "lo", "hi"])
+
+    return sent.mapInArrow(read, "site int, coord long, sym int, lo double, hi double")

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.columns import soft_threshold
+
 
 def objective(data_loss: DataFrame, state: DataFrame, mu: float) -> DataFrame:
     """(site, data_loss, l1, total) for per-site losses (site, data_loss)."""
@@ -32,6 +34,14 @@ def stationarity(before: DataFrame, after: DataFrame, eta: float) -> DataFrame:
     return both.groupBy("site").agg(F.sum(F.pow((F.col("x0") - F.col("z")) / eta, 2)).alias("norm2"))
 
 
+def stationarity_at_mean(mean: DataFrame, grads: DataFrame, mu: float, eta: float) -> DataFrame:
+    """(norm2): the same at one model (coord, x) for gradients (coord, g) of the mean loss there."""
+    both = mean.join(grads, "coord", "left")
+    x = F.col("x")
+    z = soft_threshold(x - eta * F.coalesce("g", F.lit(0.0)), mu * eta)
+    return both.agg(F.sum(F.pow((x - z) / eta, 2)).alias("norm2"))
+
+
 def zero_share(df: DataFrame, col: str = "z") -> DataFrame:
     return df.groupBy("site").agg(F.avg((F.col(col) == 0).cast("double")).alias("zero_share"))
 

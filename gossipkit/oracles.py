@@ -128,6 +128,29 @@ p AS (SELECT site, coord, z, round(z, 9) AS p, ('0x' || substr(md5('42/1/' || si
 ), rd AS (SELECT site, coord, z + 0.4 * (m - q) AS x, q AS y, z FROM qd JOIN mx USING (site, coord))"""
 
 
+def sent(name: str, src: str, label: str) -> str:
+    """Quantised values of src(site, coord, p) as name(site, coord, q), and their means over the ring as name_m."""
+    return f"""{name}_r AS (SELECT site, min(p) AS lo, max(p) AS hi, count(*) AS d FROM {src} GROUP BY site), {name}_s AS (
+  SELECT site, coord, lo, hi, d, CASE WHEN p = 0 THEN -1 WHEN hi = lo THEN 0
+    ELSE floor(least(greatest((p - lo) / (hi - lo), 0.0), 1.0) * 16 + ('0x' || substr(md5('{label}42/1/' || site || '/' || coord), 1, 8))::BIGINT / 4294967296.0)::INT END AS sym
+  FROM {src} JOIN {name}_r USING (site)
+), {name} AS (SELECT site, coord, CASE WHEN sym = -1 THEN 0.0 ELSE 256.0 / (256 + d) * (lo + (hi - lo) * sym / 16.0) END AS q FROM {name}_s), {name}_m AS (
+  SELECT d.site, d.coord, sum(s.q) / 3 AS m FROM {name} d JOIN {name} s ON s.coord = d.coord AND (s.site = d.site OR s.site = (d.site + 1) % 10 OR s.site = (d.site + 9) % 10) GROUP BY 1, 2
+)"""
+
+
+TRACKING = f"""WITH {LANGUAGE}, gr AS (
+  SELECT site, feature * 4 + c AS coord, sum(val * (0.25 - (c = label)::INT)) / any_value(n_site) AS g FROM sm JOIN ns USING (site), range(0, 4) AS y(c) GROUP BY 1, 2
+), gf AS (SELECT a::INT AS site, b AS coord, coalesce(g, 0.0) AS g FROM range(0, 10) AS x(a), range(0, 260) AS y(b) LEFT JOIN gr ON gr.site = a AND gr.coord = b),
+gp AS (SELECT site, coord, round(g, 9) AS p FROM gf), {sent('qg', 'gp', 'g')},
+tk AS (SELECT site, coord, g + 0.4 * (m - q) AS track, q AS track_y FROM gf JOIN qg USING (site, coord) JOIN qg_m USING (site, coord)),
+zz AS (SELECT *, CASE WHEN abs(0.5 * track) <= 0.0005 THEN 0.0 ELSE -sign(track) * (abs(0.5 * track) - 0.0005) END AS z FROM tk),
+zp AS (SELECT site, coord, round(z, 9) AS p FROM zz), {sent('qz', 'zp', '')}
+SELECT site, coord, round(z + 0.4 * (m - q), 6) + 0.0 AS x, round(q, 6) + 0.0 AS y, round(z, 6) + 0.0 AS z, round(track, 6) + 0.0 AS track, round(track_y, 6) + 0.0 AS track_y
+FROM zz JOIN qz USING (site, coord) JOIN qz_m USING (site, coord)"""
+FIXED = f"""WITH {LANGUAGE}, {model(65, 4)}, sc AS (SELECT site, doc_id, any_value(label) AS label, class, sum(val * w) AS s FROM sm JOIN md USING (feature) GROUP BY site, doc_id, class)"""
+BLOCKS = f"{TYPES}, o AS".replace("s AS (SELECT site, coord,", "s AS (SELECT site * 1000 + coord // 1024 AS site, coord,").replace("FROM st) a", "FROM (SELECT DISTINCT site FROM s)) a")
+
 STATE = "\nSELECT site, coord, round(x, 6) + 0.0 AS x, round(y, 6) + 0.0 AS y, round(z, 6) + 0.0 AS z FROM rd"
 TRACE = """t AS (
   SELECT o_orderpriority AS run_id, row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_orderkey)::INT AS round, 1000 + o_orderkey % 977 AS bits FROM orders
@@ -238,4 +261,25 @@ SELECT d, levels, round(d * exp(-1.0::DOUBLE / levels), 6) AS proposed, round(d
     "event_sessions": """WITH a AS (SELECT user_id, ts, CASE WHEN ts >= lag(ts) OVER w + INTERVAL 30 MINUTE OR lag(ts) OVER w IS NULL THEN 1 ELSE 0 END AS s FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
 b AS (SELECT user_id, sum(s) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM a), c AS (SELECT user_id, k, count(*) AS n FROM b GROUP BY 1, 2)
 SELECT user_id, count(*) AS sessions, max(n) AS longest FROM c GROUP BY user_id""",
+    "levelset_block_bits": f"""WITH {BLOCKS} (SELECT site, sym, cnt, (row_number() OVER (PARTITION BY site ORDER BY cnt DESC, sym) - 1)::INT AS rank FROM ty), {runs()},
+hd AS (SELECT site, sum({gamma('(cnt + 1)')})::BIGINT AS type_bits FROM ty GROUP BY site), gp AS (SELECT site, sum(bits)::BIGINT AS gap_bits FROM cost GROUP BY site)
+SELECT (site // 1000)::INT AS site, count(*) AS blocks, sum(type_bits)::BIGINT AS type_bits, sum(coalesce(gap_bits, 0))::BIGINT AS gap_bits FROM hd LEFT JOIN gp USING (site) GROUP BY 1""",
+    "levelset_messages": f"WITH {EMB} SELECT site, count(*) AS n, 0::BIGINT AS wrong FROM r GROUP BY site",
+    "nation_components": "SELECT n_nationkey AS site, min(n_nationkey) OVER (PARTITION BY n_regionkey) AS component FROM nation",
+    "bernoulli_batch": f"""WITH {LANGUAGE} SELECT site, count(*) AS n, sum(doc_id)::BIGINT AS "check" FROM (SELECT DISTINCT site, doc_id FROM sm)
+WHERE ('0x' || substr(md5('batch/42/1/' || doc_id), 1, 8))::BIGINT / 4294967296.0 < 0.25 GROUP BY site""",
+    "objective_fixed": f"""{FIXED}, lo AS (SELECT site, doc_id, ln(sum(exp(s))) - sum(CASE WHEN class = label THEN s END) AS l FROM sc GROUP BY 1, 2), l1 AS (SELECT 0.001::DOUBLE * sum(abs(w)) AS r FROM md)
+SELECT site, round(avg(l), 6) AS data_loss, round(any_value(r), 6) AS l1, round(avg(l) + any_value(r), 6) AS total FROM lo, l1 GROUP BY site""",
+    "accuracy_fixed": f"{FIXED}, b AS (SELECT site, doc_id, any_value(label) AS label, arg_max(class, s) AS guess FROM sc GROUP BY 1, 2) SELECT site, round(avg((guess = label)::INT), 6) AS accuracy FROM b GROUP BY site",
+    "tracking_round1": TRACKING,
+    "stationarity_at_mean": round1() + """, mn AS (SELECT coord, avg(x) AS x FROM rd GROUP BY coord), sc AS (
+  SELECT doc_id, coord % 4 AS class, sum(val * x) AS s FROM sm JOIN mn ON coord // 4 = feature GROUP BY 1, 2), ex AS (SELECT doc_id, class, exp(s) AS e FROM sc),
+pr AS (SELECT doc_id, class, e / sum(e) OVER (PARTITION BY doc_id) AS pr FROM ex), gs AS (
+  SELECT site, feature * 4 + class AS coord, sum(val * (pr - (class = label)::INT)) / any_value(n_site) AS g FROM sm JOIN pr USING (doc_id) JOIN ns USING (site) GROUP BY 1, 2),
+ga AS (SELECT coord, sum(g) / 10 AS g FROM gs GROUP BY coord), st AS (SELECT x, x - 0.5 * coalesce(g, 0.0) AS h FROM mn LEFT JOIN ga USING (coord))
+SELECT round(sum(((x - CASE WHEN abs(h) <= 0.0005 THEN 0.0 ELSE sign(h) * (abs(h) - 0.0005) END) / 0.5) ** 2), 6) AS norm2 FROM st""",
+    "asof_events": """WITH r AS (SELECT user_id, ts, max(event_id) AS event_id FROM events WHERE event_type = 'signup' GROUP BY 1, 2), l AS (SELECT * FROM events WHERE event_type = 'purchase')
+SELECT l.event_id, r.event_id AS event_id_as_of FROM l ASOF LEFT JOIN r ON l.user_id = r.user_id AND l.ts >= r.ts""",
+    "event_pairs": """SELECT a.user_id, count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 DAY
+GROUP BY a.user_id""",
 }

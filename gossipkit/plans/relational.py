@@ -6,6 +6,7 @@ from __future__ import annotations
 import os
 import uuid
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -82,9 +83,62 @@ def run(state: DataFrame, gradient: Callable[[DataFrame, int], DataFrame], mixin
     return state
 
 
-def average_consensus(values: DataFrame, mixing: DataFrame, gamma: float = 1.0, rounds: int = 30) -> DataFrame:
-    """Gossip averaging of (site, coord, x) without gradients or compression: x <- x + gamma (W x - x)."""
+def tracking_start(df: DataFrame) -> DataFrame:
+    """start, with all-zero trackers, their replicas and last gradients."""
+    zero = F.lit(0.0)
+    return start(df).withColumns({"track": zero, "track_y": zero, "last": zero})
+
+
+def tracking_round(state: DataFrame, grads: DataFrame, mixing: DataFrame | None, cfg: GossipConfig, t: int, decimals: int | None = None) -> DataFrame:
+    """A round of compressed proximal tracking: the tracker gains the change of the gradient, is sent compressed and
+    mixed, and takes the gradient's place; then the model is sent as in one_round. Two messages a link."""
+    g = F.coalesce("g", F.lit(0.0))
+    s = state.join(grads, ["site", "coord"], "left").withColumn("track", F.col("track") + g - F.col("last")).withColumn("last", g).drop("g")
+    diff = F.col("track") - F.col("track_y")
+    p = s.select("site", "coord", (F.round(diff, decimals) if decimals else diff).alias("p"))
+    # the same dither as the engine's: its key is the label g before the seed
+    q = compressed(p, replace(cfg, seed=f"g{cfg.seed}"), t).select("site", "coord", "q")
+    s = s.join(q, ["site", "coord"]).withColumn("track_y", F.col("track_y") + F.col("q")).drop("q")
+    mixed = uniform_mean(s, "track_y") if mixing is None else neighbour_mean(s, mixing, "track_y")
+    s = s.join(mixed, ["site", "coord"], "left").withColumn("track", F.col("track") + cfg.gamma * (F.coalesce("mixed", F.lit(0.0)) - F.col("track_y"))).drop("mixed")
+    way = s.select("site", "coord", F.col("track").alias("g"))
+    return one_round(s, way, mixing, cfg, t, decimals)
+
+
+def run_tracking(state: DataFrame, gradient: Callable[[DataFrame, int], DataFrame], mixing: DataFrame | None, cfg: GossipConfig) -> DataFrame:
+    """run for tracking_round, from tracking_start."""
+    for t in range(1, cfg.rounds + 1):
+        state = cut(tracking_round(state, gradient(state.select("site", "coord", "x"), t), mixing, cfg, t).select("site", "coord", "x", "y", "z", "track", "track_y", "last"))
+    return state
+
+
+def average_consensus(values: DataFrame, mixing: DataFrame, gamma: float = 1.0, rounds: int = 30, cfg: GossipConfig | None = None) -> DataFrame:
+    """Gossip averaging of (site, coord, x) without gradients: x <- x + gamma (W x - x), or, with cfg, replicas that
+    compressed differences move stand for the neighbours' values."""
+    if cfg:
+        state = values.select("site", "coord", "x", F.lit(0.0).alias("y"))
+        for t in range(1, rounds + 1):
+            sent = compressed(state.withColumn("z", F.col("x")).withColumn("p", F.col("x") - F.col("y")), cfg, t)
+            state = cut(mix(sent.withColumn("y", F.col("y") + F.col("q")), mixing, gamma).select("site", "coord", "x", "y"))
+        return state.select("site", "coord", "x")
     for _ in range(rounds):
         mixed = neighbour_mean(values, mixing, "x")
         values = cut(values.join(mixed, ["site", "coord"]).select("site", "coord", (F.col("x") + gamma * (F.col("mixed") - F.col("x"))).alias("x")))
     return values
+
+
+def components(mixing: DataFrame, max_rounds: int = 10_000) -> DataFrame:
+    """(site, component): the least site that links reach, for graphs beyond a matrix; labels spread over links and
+    then jump to their label's label until none changes."""
+    links = mixing.filter("w > 0 AND src <> dst").select("src", "dst")
+    links = cut(links.union(links.select("dst", "src")).distinct(), "links")
+    label = cut(mixing.select(F.col("src").alias("site")).union(mixing.select("dst")).distinct().withColumn("component", F.col("site")), "components")
+    for _ in range(max_rounds):
+        near = links.join(label.withColumnRenamed("site", "src"), "src").groupBy(F.col("dst").alias("site")).agg(F.min("component").alias("near"))
+        least = label.join(near, "site", "left").select("site", F.col("component").alias("old"), F.least("component", F.coalesce("near", "component")).alias("c"))
+        above = label.select(F.col("site").alias("c"), F.col("component").alias("up"))
+        moved = cut(least.join(above, "c").select("site", "old", F.least("c", "up").alias("component")), "components")
+        label = moved.select("site", "component")
+        if moved.filter("component <> old").isEmpty():
+            return label
+    raise RuntimeError("labels still change")

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions.columns import fast_uniform, laplace
 from ..operators import features, levelset, quantise, theory, topology
+from ..operators.losses import LOSSES
 from ..operators.measures import saving, slope, to_target
 from ..sources.tables import load
 from .config import GossipConfig, paper_methods
@@ -105,6 +106,63 @@ def method_savings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
+def ablation_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the sparse step and what the coder save by themselves: one difference a row, both graphs."""
+    pairs = {"sparse step": ("sparse_range_levelset", "plain_range_levelset"), "quantiser and coder": ("plain_range_levelset", "plain_norm_symbol")}
+    t = targets(language_traces(spark, sf_dir, {k: v for k, v in paper_methods(BASE).items() if not k.startswith("tracking")})).select("graph", "method", "reached", "rounds", "cum_bits").cache()
+    out = None
+    for name, (a, b) in pairs.items():
+        left, right = (t.filter(F.col("method") == m).select("graph", F.col("cum_bits").alias(f"bits_{k}"), F.col("reached").alias(f"reached_{k}")) for k, m in (("with", a), ("without", b)))
+        row = left.join(right, "graph").withColumns({"effect": F.lit(name), "saving": 100 * (1 - F.col("bits_with") / F.col("bits_without"))})
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def tracking_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rounds, messages and bits to the cut-off of the method and of tracking, which sends two messages a round."""
+    keep = ("sparse_range_levelset", "tracking_range_levelset", "exact")
+    trace = language_traces(spark, sf_dir, {k: v for k, v in paper_methods(BASE).items() if k in keep}).cache()
+    sent = trace.groupBy("run_id").agg(F.max("messages").alias("messages_a_round"))
+    return targets(trace).join(sent, "run_id").select("graph", "method", "reached", "rounds", "messages_a_round", "cum_bits", "final_accuracy")
+
+
+def central_prox(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All samples in one place: proximal steps without communication, beside ten sites' rounds on both graphs."""
+    samples = features.language_samples(load(spark, sf_dir, "documents"), SITES, WORDS)
+    one = pooled(samples.withColumn("site", F.lit(0)), WORDS + 1, 1)
+    # the batch of one place is as large as the batches of all sites together
+    cfg = replace(BASE, sites=1, batch=BASE.batch * SITES, method="dsgd", rounds=60, eval_every=20)
+    central = sweep(spark, [("language/central/prox", np.ones((1, 1)), cfg)], one)
+    many = language_traces(spark, sf_dir, {"sparse": replace(BASE, rounds=60, eval_every=20)})
+    both = central.unionByName(many).filter("accuracy IS NOT NULL")
+    return both.select("run_id", "round", "loss", "objective", "accuracy", "validation", "zero_share")
+
+
+def label_skew(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sites that hold one language each (eight sites, two a language) against the same samples dealt by id."""
+    samples, out = features.language_samples(load(spark, sf_dir, "documents"), 8, WORDS), None
+    skewed = samples.withColumn("site", (F.col("label") * 2 + F.pmod("sample_id", F.lit(2))).cast("int"))
+    w = topology.matrix(topology.ring(spark, 8))
+    for name, s in (("iid", samples), ("skewed", skewed)):
+        t = sweep(spark, [(f"language/ring/{name}", w, replace(BASE, sites=8, rounds=60, eval_every=60))], pooled(s, WORDS + 1, 8))
+        out = t if out is None else out.unionByName(t)
+    return out.groupBy("run_id").agg(F.max("accuracy").alias("accuracy"), F.avg("consensus").alias("consensus"), F.sum("link_bits").alias("link_bits"))
+
+
+def problem_constants(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Smoothness, gradient and variance constants of the language task at the zero model, and the second moments
+    of the sites' mini-batch gradients beside their bound 2 n (G^2 + sigma^2)."""
+    pool, loss = language_pool(spark, sf_dir), LOSSES["softmax"](WORDS + 1, 4)
+    c = theory.constants(pool.sites, loss, loss.start())
+    rng, moment = np.random.default_rng(1), 0.0
+    for x, y in pool.sites:
+        if len(y):
+            picks = [rng.choice(len(y), min(16, len(y)), replace=False) for _ in range(64)]
+            moment += float(np.mean([(loss.value_grad(loss.start(), x[p], y[p])[1] ** 2).sum() for p in picks]))
+    limit = 2 * SITES * (c["G"] ** 2 + c["sigma2"])
+    return spark.createDataFrame([(c["K"], c["G"], c["sigma2"], moment, limit)], "smoothness double, gradient double, variance double, second_moment double, second_moment_limit double")
+
+
 def speedup(spark: SparkSession, sf_dir: str, sizes=(2, 5, 10, 20)) -> DataFrame:
     """Mean stationarity of runs of more sites over the same documents."""
     docs, out = load(spark, sf_dir, "documents"), None

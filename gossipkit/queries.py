@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions.columns import elias_bits, golomb_bits, golomb_parameter, soft_threshold, uniform
-from .operators import codec, features, gradients, levelset, measures, quantise, theory, topology
+from .operators import codec, features, gradients, joins, levelset, measures, quantise, theory, topology
 from .plans import relational, trainers, workloads
 from .plans.config import GossipConfig
 from .sources.tables import load
@@ -184,6 +184,18 @@ def levelset_encode_bytes(spark, d):
     return sent.join(rel, "site")
 
 
+def levelset_block_bits(spark, d):
+    return levelset.block_bits(symbols(spark, d), LEVELS, 1024)
+
+
+def levelset_messages(spark, d):
+    """Messages by block, read back: symbols that differ from those sent."""
+    s = symbols(spark, d)
+    back = levelset.received(levelset.messages(s, LEVELS, 1024), 1024).select("site", "coord", F.col("sym").alias("got"))
+    wrong = F.count_if(~F.col("sym").eqNullSafe(F.col("got")))
+    return s.join(back, ["site", "coord"], "full").groupBy("site").agg(F.count(F.lit(1)).alias("n"), wrong.alias("wrong"))
+
+
 def mixing_of(kind):
     return lambda spark, d: {"ring": topology.ring(spark, SITES), "full": topology.fully_connected(spark, SITES), "circulant": topology.circulant(spark, SITES, (1, 2))}[kind].select("src", "dst", r6(F.col("w")).alias("w"))
 
@@ -211,6 +223,13 @@ def spectra(spark, d):
     return spark.createDataFrame(rows, "graph string, sites int, lambda2 double, gap double, beta double, safe_gamma double, connected boolean")
 
 
+def nation_components(spark, d):
+    """Links inside regions only: the parts of the graph."""
+    n = load(spark, d, "nation").select(F.col("n_nationkey").alias("k"), F.col("n_regionkey").alias("r"))
+    inside = n.select(F.col("k").alias("src"), "r").join(n.select(F.col("k").alias("dst"), "r"), "r").filter("src < dst")
+    return relational.components(topology.metropolis(inside))
+
+
 def event_values(spark, d):
     e = load(spark, d, "events").groupBy(F.pmod("user_id", F.lit(SITES)).cast("int").alias("site")).agg(F.avg("value").alias("x"))
     return e.select("site", F.lit(0).alias("coord"), "x")
@@ -237,6 +256,11 @@ def average_consensus_events(spark, d):
     return out.select("site", F.round("x", 3).alias("x"))
 
 
+def average_consensus_compressed(spark, d):
+    """Averaging with quantised differences."""
+    return relational.average_consensus(event_values(spark, d), topology.circulant(spark, SITES, (1, 2)), 0.5, 16, CFG).select("site", "x")
+
+
 def language_rows(spark, d):
     docs = load(spark, d, "documents")
     return gradients.long_rows(features.language_samples(docs, SITES, 64).filter("split = 'train'"))
@@ -254,6 +278,25 @@ def softmax_gradient(spark, d):
     return g.select("site", "coord", r6(F.col("g")).alias("g"))
 
 
+def bernoulli_batch(spark, d):
+    s = features.language_samples(load(spark, d, "documents"), SITES, 64).filter("split = 'train'")
+    return gradients.bernoulli_batch(s, 0.25, 1).groupBy("site").agg(F.count(F.lit(1)).alias("n"), F.sum("sample_id").alias("check"))
+
+
+def objective_fixed(spark, d):
+    """Loss, L1 term and objective of each site at one model."""
+    model = fixed_model(spark, 65, CLASSES)
+    loss = gradients.softmax_loss(gradients.softmax_scores(language_rows(spark, d), model))
+    sites = F.explode(F.sequence(F.lit(0), F.lit(SITES - 1))).alias("site")
+    state = model.select(sites, (F.col("feature") * CLASSES + F.col("class")).alias("coord"), F.col("w").alias("x"))
+    return measures.objective(loss, state, CFG.mu).select("site", *(r6(F.col(c)).alias(c) for c in ("data_loss", "l1", "total")))
+
+
+def accuracy_fixed(spark, d):
+    scores = gradients.softmax_scores(language_rows(spark, d), fixed_model(spark, 65, CLASSES))
+    return gradients.softmax_accuracy(scores).select("site", r6(F.col("accuracy")).alias("accuracy"))
+
+
 def margin_gradient(kind):
     def query(spark, d):
         s = features.quality_samples(load(spark, d, "documents"), load(spark, d, "labels"), "quality", SITES, 64).filter("split = 'train'")
@@ -280,6 +323,21 @@ def stationarity_round1(spark, d):
     return measures.stationarity(zero, out, CFG.eta).select("site", r6(F.col("norm2")).alias("norm2"))
 
 
+def tracking_round1(spark, d):
+    g = gradients.softmax_start_gradient(language_rows(spark, d), CLASSES)
+    grid = spark.range(SITES).select(F.col("id").cast("int").alias("site"), F.explode(F.sequence(F.lit(0), F.lit(65 * CLASSES - 1))).alias("coord"))
+    out = relational.tracking_round(relational.tracking_start(grid), g, topology.ring(spark, SITES), replace(CFG, method="tracking"), 1, decimals=9)
+    return out.select("site", "coord", *(r6(F.col(c)).alias(c) for c in ("x", "y", "z", "track", "track_y")))
+
+
+def stationarity_at_mean(spark, d):
+    """The mean model after round 1, with full gradients."""
+    mean = first_round(spark, d, CFG).groupBy("coord").agg(F.avg("x").alias("x"))
+    model = mean.select(F.floor(F.col("coord") / CLASSES).cast("int").alias("feature"), F.pmod("coord", F.lit(CLASSES)).alias("class"), F.col("x").alias("w"))
+    g = gradients.softmax_gradient(language_rows(spark, d), model, CLASSES).groupBy("coord").agg((F.sum("g") / SITES).alias("g"))
+    return measures.stationarity_at_mean(mean, g, CFG.mu, CFG.eta).select(r6(F.col("norm2")).alias("norm2"))
+
+
 def consensus_error_round1(spark, d):
     return measures.consensus_error(first_round(spark, d, CFG)).select(r6(F.col("error")).alias("error"))
 
@@ -360,6 +418,20 @@ def event_sessions(spark, d):
     return s.groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"), F.max("n").alias("longest"))
 
 
+def asof_events(spark, d):
+    """The last signup of a user before each purchase."""
+    e = load(spark, d, "events").select("event_id", "user_id", "ts", "event_type")
+    bought, signed = (e.filter(F.col("event_type") == t).drop("event_type") for t in ("purchase", "signup"))
+    return joins.as_of(bought, signed, "user_id", "ts", "event_id").select("event_id", "event_id_as_of")
+
+
+def event_pairs(spark, d):
+    """Purchases within a day after a view, by user."""
+    e = load(spark, d, "events").select("event_id", "user_id", "ts", "event_type")
+    viewed, bought = (e.filter(F.col("event_type") == t).drop("event_type") for t in ("view", "purchase"))
+    return joins.interval(viewed, bought, "user_id", "ts", 86400).groupBy(F.col("a.user_id").alias("user_id")).agg(F.count(F.lit(1)).alias("n"))
+
+
 def train_language(spark, d):
     """The distributed trainer: Spark computes each round's gradients."""
     s = features.language_samples(load(spark, d, "documents"), SITES, 256)
@@ -440,6 +512,10 @@ QUERIES = {
     "train_language": train_language, "train_relational": train_relational, "train_tabular": planted_training, "quality_runs": quality_runs, "language_net": language_net,
     "table_r": W.table_r, "language_targets": lambda s, d: W.targets(W.language_traces(s, d)), "language_curves": lambda s, d: W.language_traces(s, d).filter("accuracy IS NOT NULL"),
     "method_savings": W.method_savings, "tuned_targets": W.tuned_targets, "mu_sweep": W.mu_sweep, "level_sweep": W.level_sweep, "speedup": W.speedup, "rate_slopes": W.rate_slopes, "other_compressors": W.other_compressors,
+    "levelset_block_bits": levelset_block_bits, "levelset_messages": levelset_messages, "nation_components": nation_components, "average_consensus_compressed": average_consensus_compressed,
+    "bernoulli_batch": bernoulli_batch, "objective_fixed": objective_fixed, "accuracy_fixed": accuracy_fixed, "tracking_round1": tracking_round1, "stationarity_at_mean": stationarity_at_mean,
+    "asof_events": asof_events, "event_pairs": event_pairs, "central_prox": W.central_prox, "label_skew": W.label_skew, "problem_constants": W.problem_constants,
+    "ablation_report": W.ablation_report, "tracking_report": W.tracking_report,
     "laplace_study": lambda s, d: W.laplace_study(s), "range_coverage": lambda s, d: theory.range_coverage(s, 1000, 400, 0.01),
 }
 

@@ -49,3 +49,12 @@ def load_state(spark: SparkSession, path: str, run_id: str, rnd: int) -> DataFra
 
 def append_trace(trace: DataFrame, path: str) -> None:
     trace.write.mode("append").partitionBy("run_id").parquet(path)
+
+
+def write_messages(sent: DataFrame, path: str, run_id: str, rnd: int) -> None:
+    """A round's encoded messages (site, block, body) in a directory of their own."""
+    sent.write.mode("overwrite").parquet(f"{path}/run={run_id}/round={rnd:08d}")
+
+
+def read_messages(spark: SparkSession, path: str, run_id: str, rnd: int) -> DataFrame:
+    return spark.read.schema("site int, block long, body binary").parquet(f"{path}/run={run_id}/round={rnd:08d}")

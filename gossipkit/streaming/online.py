@@ -8,8 +8,10 @@ from __future__ import annotations
 from dataclasses import replace
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupStateTimeout
 from pyspark.sql.streaming.query import StreamingQuery
 
 from ..operators.losses import LOSSES
@@ -54,3 +56,25 @@ def sessions(events: DataFrame, gap: str = "30 minutes") -> DataFrame:
 def deduplicated(events: DataFrame, late: str = "1 hour") -> DataFrame:
     """Each event once, also when a source replays it."""
     return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
+
+
+def running_types(symbols: DataFrame, levels: int) -> DataFrame:
+    """(site, counts, rho, d) after each micro-batch for the sites in it, over a stream of rows (site, sym, p): the
+    running type vector, from symbol -1 on, and the running Laplace diversity. The state of a site is levels + 2 counts
+    and a sum; rows are summed batch by batch and not held."""
+    state = "counts array<long>, total double"
+
+    def update(key, batches, held):
+        counts, total = np.zeros(levels + 2, np.int64), 0.0
+        if held.exists:
+            old, total = held.get
+            counts += np.array(old, np.int64)
+        for b in batches:
+            counts += np.bincount(b["sym"].to_numpy() + 1, minlength=levels + 2)
+            total += float(np.abs(b["p"].to_numpy()).sum())
+        held.update((counts.tolist(), total))
+        d = int(counts.sum())
+        yield pd.DataFrame({"site": [key[0]], "counts": [counts.tolist()], "rho": [total / max(d, 1)], "d": [d]})
+
+    rows = symbols.select("site", "sym", "p").groupBy("site")
+    return rows.applyInPandasWithState(update, "site int, counts array<long>, rho double, d long", state, "update", GroupStateTimeout.NoTimeout)
