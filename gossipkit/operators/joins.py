@@ -16,10 +16,11 @@ def time_bin(ts: Column, seconds: int) -> Column:
 
 
 def as_of(left: DataFrame, right: DataFrame, key: str, ts: str, value: str, seconds: int = 86400) -> DataFrame:
-    """left with the value of the latest row of right (of the same key, not later; the greatest value of equals), or null.
+    """left with the value of the latest row of right (of the same key, not later; the greatest value of equals), or
+    null; rows without key or time stay and have none.
 
     A bin's rows are looked through together; what holds at a bin's start comes from one row for each earlier bin."""
-    versions = right.groupBy(key, ts).agg(F.max(value).alias("_v")).withColumns({"_left": F.lit(None), "_side": F.lit(0)})
+    versions = right.filter(F.col(key).isNotNull() & F.col(ts).isNotNull()).groupBy(key, ts).agg(F.max(value).alias("_v")).withColumns({"_left": F.lit(None), "_side": F.lit(0)})
     asked = left.select(key, ts, F.lit(None).cast(right.schema[value].dataType).alias("_v"), F.struct(*left.columns).alias("_left"), F.lit(1).alias("_side"))
     rows = versions.withColumn("_left", F.lit(None).cast(asked.schema["_left"].dataType)).unionByName(asked).withColumn("_bin", time_bin(F.col(ts), seconds))
     inside = Window.partitionBy(key, "_bin").orderBy(ts, "_side").rowsBetween(Window.unboundedPreceding, 0)
@@ -27,7 +28,7 @@ def as_of(left: DataFrame, right: DataFrame, key: str, ts: str, value: str, seco
     before = Window.partitionBy(key).orderBy("_bin").rowsBetween(Window.unboundedPreceding, -1)
     carried = ends.select(key, "_bin", F.last("_end", True).over(before).alias("_carry"))
     seen = rows.withColumn("_held", F.last("_v", True).over(inside)).filter("_side = 1")
-    return seen.join(carried, [key, "_bin"]).select("_left.*", F.coalesce("_held", "_carry").alias(f"{value}_as_of"))
+    return seen.join(carried, [key, "_bin"], "left").select("_left.*", F.coalesce("_held", "_carry").alias(f"{value}_as_of"))
 
 
 def interval(left: DataFrame, right: DataFrame, key: str, ts: str, seconds: int) -> DataFrame:

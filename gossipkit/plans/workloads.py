@@ -106,6 +106,17 @@ def method_savings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
+def net_targets(spark: SparkSession, sf_dir: str, mus=(1e-4, 1e-3)) -> DataFrame:
+    """The three-layer net on the language task, ring: bits to the cut-off of every method, the sparse ones at each
+    weight of the L1 term; all rows are reported."""
+    base = replace(BASE, eta=0.5, rounds=80)
+    cfgs = {}
+    for name, cfg in paper_methods(base).items():
+        cfgs |= {f"{name}:mu={m:g}": replace(cfg, mu=m) for m in mus} if name.startswith(("sparse", "tracking")) else {name: replace(cfg, mu=mus[0])}
+    ring = {"ring": graphs(spark)["ring"]}
+    return targets(sweep(spark, runs_of(ring, cfgs, "net"), language_pool(spark, sf_dir), "mlp3", WORDS + 1, 4))
+
+
 def ablation_report(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What the sparse step and what the coder save by themselves: one difference a row, both graphs."""
     pairs = {"sparse step": ("sparse_range_levelset", "plain_range_levelset"), "quantiser and coder": ("plain_range_levelset", "plain_norm_symbol")}
