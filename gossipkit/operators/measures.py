@@ -46,12 +46,23 @@ def zero_share(df: DataFrame, col: str = "z") -> DataFrame:
     return df.groupBy("site").agg(F.avg((F.col(col) == 0).cast("double")).alias("zero_share"))
 
 
-def laplace_fit(df: DataFrame) -> DataFrame:
-    """(site, rho, ks): diversity by maximum likelihood and the largest distance between the distributions."""
-    rho = df.groupBy("site").agg(F.avg(F.abs("p")).alias("rho"))
+def laplace_fit(df: DataFrame, bins: int = 1024) -> DataFrame:
+    """(site, rho, ks): diversity by maximum likelihood and the largest distance between the distributions.
+
+    Equal values are counted first; the empirical distribution is a running count within bins of a site's range on top
+    of the counts of the bins before, so that no site's values are sorted in one task."""
+    per = df.groupBy("site", "p").agg(F.count(F.lit(1)).alias("n"))
+    total = F.sum("n")
+    site = per.groupBy("site").agg(F.min("p").alias("lo"), F.max("p").alias("hi"), total.alias("all"), (F.sum(F.col("n") * F.abs("p")) / total).alias("rho"))
+    place = F.when(F.col("hi") > F.col("lo"), F.floor((F.col("p") - F.col("lo")) / (F.col("hi") - F.col("lo")) * bins)).otherwise(0)
+    binned = per.join(F.broadcast(site), "site").withColumn("bin", place)
+    head = binned.groupBy("site", "bin").agg(total.alias("here"))
+    before = Window.partitionBy("site").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
+    head = head.select("site", "bin", F.coalesce(F.sum("here").over(before), F.lit(0)).alias("before"))
+    inside = Window.partitionBy("site", "bin").orderBy("p").rowsBetween(Window.unboundedPreceding, 0)
+    own = (F.col("before") + F.sum("n").over(inside)) / F.col("all")
     cdf = F.when(F.col("p") < 0, 0.5 * F.exp(F.col("p") / F.col("rho"))).otherwise(1 - 0.5 * F.exp(-F.col("p") / F.col("rho")))
-    own = F.cume_dist().over(Window.partitionBy("site").orderBy("p"))
-    return df.join(F.broadcast(rho), "site").withColumn("k", F.abs(cdf - own)).groupBy("site").agg(F.first("rho").alias("rho"), F.max("k").alias("ks"))
+    return binned.join(head, ["site", "bin"]).withColumn("k", F.abs(cdf - own)).groupBy("site").agg(F.first("rho").alias("rho"), F.max("k").alias("ks"))
 
 
 def cumulative(trace: DataFrame, bits: str = "bits") -> DataFrame:
