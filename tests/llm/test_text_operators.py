@@ -292,6 +292,32 @@ def test_mixing(spark, sf, monkeypatch):
     assert len(odd) == len(ODD) and {r.topic for r in odd if not r.n_tokens} == {0}
 
 
+def test_mixing_meets_the_targets(spark, sf, monkeypatch):
+    docs = mixing.with_topics(spark.read.parquet(f"{sf}/documents.parquet")).drop("text").cache()
+    cell = mixing.plan(docs)
+    rows = cell.collect()
+    total = sum(r.tokens for r in rows)
+    kept = sum(r.tokens * r.prob for r in rows)
+    assert abs(kept / total - mixing.SHARE) < 1e-9
+    for k, d in enumerate(mixing.DIMS):
+        for v, aim in mixing.tempered([r[:4] for r in rows], k).items():
+            assert abs(sum(r.tokens * r.prob for r in rows if r[k] == v) / kept - aim) < 1e-3
+    report = mixing.marginals(cell).collect()
+    assert len(report) == sum(len({r[k] for r in rows}) for k in range(3)) and max(abs(r.got - r.target) for r in report) < 1e-3
+    decided = mixing.decided(docs, cell).cache()
+    seen = Counter(r.doc_id for r in mixing.sampled(decided).collect())
+    for r in decided.collect():
+        u = int(hashlib.md5(f"{r.doc_id}/42".encode()).hexdigest()[:8], 16) / 2**32
+        assert r.copies == seen[r.doc_id] == sum(k + u < r.prob for k in range(int(r.prob) + 2)) and r.kept == (r.copies > 0)
+    assert max(seen.values()) > 1
+    with pytest.warns(UserWarning, match="misses a target"):
+        bounded = mixing.plan(docs, repeats=False).collect()
+    assert max(r.prob for r in bounded) <= 1
+    # a target for a value without tokens can't be met
+    with pytest.warns(UserWarning, match="by 0.5"):
+        mixing.plan(docs, {"lang": {"en": 0.5, "xx": 0.5}})
+
+
 def test_quality_against_brute_force(spark):
     texts = ODD + made(7, 60, 2) + ["l one\nl one\n\nl one\n two " * 9, "### $ | " * 30, "a b c d e f g h i " * 5]
     rows = {r.doc_id: r for r in quality.apply_policy(quality.ledger(frame(spark, texts))).collect()}
