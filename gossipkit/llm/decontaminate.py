@@ -1,4 +1,4 @@
-"""Benchmark decontamination: CGK embedding and bit-sampling LSH over item-sized windows, exact edit verification.
+"""Benchmark decontamination: an exact index of runs of words proposes item-sized windows, edit distance verifies them.
 
 Words are compared lower-cased and without ASCII punctuation; an item of L words is found where some stretch of a
 text is within floor(L / 5) word edits of it (none for fewer than six words; items under GRAM words are not sought).
@@ -7,7 +7,9 @@ A window of an item's size is looked at wherever GRAM words in a row stand at ma
 at least one such run, so this loses nothing. The random walk that CGK describes embeds window and item: at each
 step a public random bit of step and word decides whether to move on, so few edits leave most of two walks equal.
 WALKS walks with TABLES samples of SAMPLED places each make the hash tables; a window that meets its item in one
-is verified by the edit distance of the item to the best stretch around the window. Tests measure the recall.
+is verified by the edit distance of the item to the best stretch around the window. The tables reject almost nothing:
+places are drawn over 3 steps a word, a walk is at its end after about 2, and PAD on both sides agrees. So the index
+is the candidate search. Not counting PAD makes the tables reject, and lose a few leaks that the index alone finds.
 
 Items are a bounded broadcast of MAX_WORDS words; a larger benchmark is gone through in blocks of that size.
 
