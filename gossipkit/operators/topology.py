@@ -47,13 +47,19 @@ def nation_edges(nation: DataFrame) -> DataFrame:
 
 
 def check_mixing(mixing: DataFrame, tolerance: float = 1e-9) -> DataFrame:
-    """Rows (problem, src, dst) that break an assumption: symmetry, weights from 0 on, rows that sum to 1, one component."""
+    """Rows (problem, src, dst) that break an assumption: symmetry, weights from 0 on, rows that sum to 1, one
+    component. A site outside the component of the least site is a row with its own component's least site as dst."""
+    from ..plans.relational import components
+
     back = mixing.select(F.col("src").alias("dst"), F.col("dst").alias("src"), F.col("w").alias("w2"))
     odd = mixing.join(back, ["src", "dst"], "left").filter(F.col("w2").isNull() | (F.abs(F.col("w") - F.col("w2")) > tolerance))
     rows = mixing.groupBy("src").agg(F.sum("w").alias("s")).filter(F.abs(F.col("s") - 1) > tolerance)
     out = odd.select(F.lit("asymmetric").alias("problem"), "src", "dst")
     out = out.unionByName(mixing.filter("w < 0").select(F.lit("negative").alias("problem"), "src", "dst"))
-    return out.unionByName(rows.select(F.lit("row sum").alias("problem"), "src", F.col("src").alias("dst")))
+    out = out.unionByName(rows.select(F.lit("row sum").alias("problem"), "src", F.col("src").alias("dst")))
+    label = components(mixing)
+    apart = label.crossJoin(F.broadcast(label.agg(F.min("component").alias("least")))).filter("component <> least")
+    return out.unionByName(apart.select(F.lit("component").alias("problem"), F.col("site").alias("src"), F.col("component").alias("dst")))
 
 
 def matrix(mixing: DataFrame) -> np.ndarray:

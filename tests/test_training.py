@@ -127,6 +127,8 @@ def test_spectrum_and_bad_tables(spark):
     assert topology.spectrum(np.full((4, 4), 0.25))["lambda2"] < 1e-12 and not topology.connected(np.eye(3))
     bad = spark.createDataFrame([(0, 1, 0.5), (0, 0, 0.5), (1, 1, 1.2), (1, 0, -0.2)], "src int, dst int, w double")
     assert {r.problem for r in topology.check_mixing(bad).collect()} == {"asymmetric", "negative"}
+    apart = spark.createDataFrame([(a, b, 0.5) for p in ((0, 1), (2, 3)) for a in p for b in p], "src int, dst int, w double")
+    assert {tuple(r) for r in topology.check_mixing(apart).collect()} == {("component", 2, 2), ("component", 3, 2)}
     with pytest.raises(ValueError):
         GossipConfig(levels=0, gamma=2)
 
