@@ -8,7 +8,8 @@ Symbols: lower-cased letters that occur in the samples; every other letter is on
 a run of other characters is one space.
 
 The fit reads SAMPLE_DOCS documents of each language, those of the least hash of the id, and of each
-at most DOC_SYMBOLS symbols, up to TRAIN_SYMBOLS in all. Held-out documents and lang are never read by a prediction.
+at most DOC_SYMBOLS symbols; all of them enter the automaton. A language with less text has a smaller automaton,
+so its parses are longer; phrase counts are not normalised for that. Held-out documents and lang are never read by a prediction.
 
 Defined cases: a text that is null or has no letter gives 'und' with score 0; ties go to the first label
 in order; without any labelled text every prediction is 'und'; a null id is not held out and not learned from.
@@ -21,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-SAMPLE_DOCS, DOC_SYMBOLS, TRAIN_SYMBOLS, BLOCK = 64, 1024, 24_000, 256
+SAMPLE_DOCS, DOC_SYMBOLS, BLOCK = 64, 1024, 256
 SPACE, LANES = 0, 1 << 16
 
 
@@ -114,7 +115,7 @@ class Model:
         self.tables = []
         for x in self.labels:
             parts = [self.symbols(t)[:DOC_SYMBOLS] for t in samples[x]]
-            self.tables.append(automaton(np.concatenate(parts or [np.zeros(0, np.uint16)])[:TRAIN_SYMBOLS], self.symbols.n))
+            self.tables.append(automaton(np.concatenate(parts or [np.zeros(0, np.uint16)]), self.symbols.n))
 
     def phrases(self, texts: list[np.ndarray]) -> np.ndarray:
         """Phrases that each text needs in each language."""

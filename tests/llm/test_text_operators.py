@@ -254,6 +254,14 @@ def test_nearest_is_the_best_stretch():
         assert decontaminate.nearest(pad, np.array([len(a)]), b[None, :])[0] == best
 
 
+def test_every_sampled_document_is_learned():
+    rng = random.Random(3)
+    texts = ["".join(rng.choice("abcdefghij") for _ in range(langid.DOC_SYMBOLS)) for _ in range(langid.SAMPLE_DOCS)]
+    model = langid.Model({"xx": texts})
+    # a block of any sampled document is one phrase
+    assert all(model.phrases([model.symbols(t)[: langid.BLOCK]])[0, 0] == 1 for t in texts)
+
+
 def test_blocks_of_items(spark, monkeypatch):
     monkeypatch.setattr(decontaminate, "MAX_WORDS", 8)
     bench = spark.createDataFrame([(i, f"a{i} b{i} c{i} d{i} e{i} f{i}") for i in range(4)], "item_id long, text string")
