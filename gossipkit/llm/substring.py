@@ -8,7 +8,8 @@ window over it also starts in a text of a smaller id.
 
 Texts are dealt into batches once. A batch sends the distinct keys of its windows, packed, to the buckets of the
 key space and gets one bit back for each: a key that many texts share counts once a batch, no pairs of texts
-are built, and no key's rows meet in one task as such.
+are built, and no key's rows meet in one task as such. Bits of keys go by the keys' order, bits of windows by the
+order of settled(), so a batch may be read again in any order of rows.
 
 Defined cases: a null text has no words; a null id counts as larger than all others; rows that share an id do
 not remove each other's words; texts under LENGTH words are kept; an empty table gives no rows.
@@ -34,6 +35,12 @@ LAST = np.iinfo(np.int64).max
 OUT = "doc_id long, n_words long, n_removed long, kept_sha256 string"
 
 
+def settled(t: pa.Table) -> pa.Table:
+    """A batch's rows in an order of their own. Passes exchange masks by place, and a shuffle that is read again may
+    bring the rows in another order; rows that tie are equal."""
+    return t.sort_by([("doc_id", "ascending"), ("text", "ascending")])
+
+
 def ids(t: pa.Table) -> np.ndarray:
     return t["doc_id"].fill_null(LAST).to_numpy()
 
@@ -143,6 +150,7 @@ def dedup(docs: DataFrame, key: str = "doc_id", text: str = "text", keep_text: b
     def extend(k, t, replies):
         if not t.num_rows:
             return table([])
+        t = settled(t)
         texts, me = t["text"].to_pylist(), t["batch"][0].as_py()
         keys, _, _, index, _ = anchors(texts)
         wanted = candidates(index, _by_bucket(replies, np.diff(bounds(keys, n, BITS))))
@@ -168,6 +176,7 @@ def dedup(docs: DataFrame, key: str = "doc_id", text: str = "text", keep_text: b
     def cut_out(k, t, replies):
         if not t.num_rows:
             return _result([], keep_text)
+        t = settled(t)
         texts, doc, me = t["text"].to_pylist(), ids(t), t["batch"][0].as_py()
         note = replies.filter(pc.equal(replies["bucket"], -1 - me))["body"][0].as_py()
         size = int.from_bytes(note[:8], "little")
