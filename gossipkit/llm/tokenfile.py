@@ -30,6 +30,8 @@ from .common import scratch, spread
 from .pieces import encoder
 
 MAGIC, SAMPLE, SEGMENT_TOKENS, END_ID = b"IDSEG001", 256, 1 << 22, 2
+#: Offsets of segments are broadcast up to so many (about 32 MB), otherwise joined by shuffle.
+MAX_SEGMENTS = 1 << 20
 
 
 class EliasFano:
@@ -141,9 +143,10 @@ SCHEMA = pa.schema([("part", pa.int32()), ("seq", pa.int32()), ("n_docs", pa.int
 def read(spark: SparkSession, path: str, with_ids: bool = False) -> DataFrame:
     """One row for each document of the files: doc_id, start, n_tokens, ids_crc32, and with with_ids its ids."""
     files = spark.read.parquet(path)
-    # one small row for each segment of some millions of ids
+    # one small row for each segment of some millions of ids, summed up in one task
     order = Window.orderBy("part", "seq").rowsBetween(Window.unboundedPreceding, -1)
     starts = files.select("part", "seq", F.coalesce(F.sum("n_tokens").over(order), F.lit(0)).alias("base"))
+    starts = F.broadcast(starts) if files.count() <= MAX_SEGMENTS else starts
     kinds = [("doc_id", pa.int64()), ("start", pa.int64()), ("n_tokens", pa.int64()), ("ids_crc32", pa.int64())] + [("ids", pa.list_(pa.int32()))] * with_ids
 
     def decode(batches):
@@ -162,6 +165,25 @@ def read(spark: SparkSession, path: str, with_ids: bool = False) -> DataFrame:
     return files.select("part", "seq", "blob").join(starts, ["part", "seq"]).select("blob", "base").mapInArrow(decode, schema)
 
 
+def fetch(spark: SparkSession, path: str, doc_ids: list[int]) -> DataFrame:
+    """The ids of some documents (doc_id, ids): select gives the two ends, nothing else is decoded."""
+    wanted = np.unique(np.array(doc_ids, np.int64))
+
+    def pick(batches):
+        for t in batches:
+            rows = []
+            for blob in t["blob"]:
+                docs, ef, ids = read_segment(blob.as_py())
+                nulls = sum(d is None for d in docs)
+                known = np.array(docs[nulls:], np.int64)
+                for i in np.flatnonzero(np.isin(known, wanted)) + nulls:
+                    a, b = ef.select(int(i) - 1) if i else 0, ef.select(int(i))
+                    rows.append({"doc_id": docs[i], "ids": ids[a:b].astype(np.int32).tolist()})
+            yield pa.RecordBatch.from_pylist(rows, schema=pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32()))]))
+
+    return spark.read.parquet(path).select("blob").mapInArrow(pick, "doc_id long, ids array<int>")
+
+
 def round_trip(docs: DataFrame, tokenizer: str) -> DataFrame:
     path = scratch(docs.sparkSession, "ids")
     write(docs, path, tokenizer)

@@ -161,7 +161,31 @@ def test_token_file(spark, tmp_path):
         r = rows[d]
         assert (r.ids, r.start, r.n_tokens) == (ids, start, len(ids)) and r.ids_crc32 == zlib.crc32(np.array(ids, "<u4").tobytes())
         start += len(ids)
+    picked = {r.doc_id: r.ids for r in tokenfile.fetch(spark, out, [0, 3, 17, len(texts) - 1, 10**9]).collect()}
+    assert picked == {d: rows[d].ids for d in (0, 3, 17, len(texts) - 1)}
     assert tokenfile.round_trip(docs.limit(0), path).count() == 0
+    odd = docs.limit(3).select(F.lit(None).cast("long").alias("doc_id"), "text").union(docs.filter("doc_id < 4").select(F.lit(5).cast("long"), "text"))
+    tokenfile.write(odd, str(tmp_path / "odd"), path)
+    back = tokenfile.read(spark, str(tmp_path / "odd")).orderBy("start").collect()
+    assert [r.doc_id for r in back] == [None] * 3 + [5] * 4 and [r.start for r in back][1:] == np.cumsum([r.n_tokens for r in back])[:-1].tolist()
+
+
+def test_segments_joined_beyond_the_broadcast(spark, tmp_path, monkeypatch):
+    path, docs = public_tokenizers.path("byte_bpe_50k.json"), frame(spark, made(3, 40))
+    tokenfile.write(docs, str(tmp_path / "ids"), path)
+    rows = lambda: sorted(map(tuple, tokenfile.read(spark, str(tmp_path / "ids")).collect()))
+    one = rows()
+    monkeypatch.setattr(tokenfile, "MAX_SEGMENTS", 0)
+    assert one == rows() and len(one) == 40
+
+
+@pytest.mark.parametrize("text", ["a  b", " a b", "a b\t", "word,' x's don't. end?! (so) $$$ a$$$ b_c_ _ --", "a<|endoftext|> <|endoftext|>b <|endoftext|>, c", "\u0120x \u0120 y", "x\u00a0y z\u2003 w\u3000,", "é̈, ñ!! 한국어. ʃ, ½% a1, 1a.", "a\0b \0 c"])
+def test_pieces_equal_the_tokenizer(text):
+    from gossipkit.llm.pieces import Encoder
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    plain = Tokenizer.from_file(path).encode(text, add_special_tokens=False).ids
+    assert np.frombuffer(next(Encoder(path).many([text])), "<u4").tolist() == plain
 
 
 @pytest.mark.parametrize("n,top", [(1, 1), (1, 10**9), (300, 5), (5000, 10**7)])
