@@ -19,17 +19,22 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import spread, stored
 from .graph import components
 from .minhash import bands, set_keys, shingle_sets, signatures
-from .textkernel import U
+from .textkernel import U, chunks
 
 BANDS, ROWS = 30, 5
 THRESHOLD = (85, 100)
-BLOCK, SALT = 1024, 16
+#: A share of a group in the residual comparison has about so many sets and so many shingles at most.
+BLOCK, BLOCK_SHINGLES, SALT = 1024, 1 << 20, 16
+#: A pivot meets its classes in tasks of about so many.
+STAR = 1024
+#: Characters of text that are hashed at once in a task, whatever the batch.
+CHARACTERS = 1 << 19
 
 
 def signed(docs: DataFrame) -> DataFrame:
@@ -37,14 +42,17 @@ def signed(docs: DataFrame) -> DataFrame:
 
     def sign(batches):
         for t in batches:
-            keys, offsets = shingle_sets(t["text"].to_pylist())
-            n = np.diff(offsets)
-            ka, kb = set_keys(keys, offsets)
-            made = bands(signatures(keys, offsets, BANDS * ROWS), ROWS)
-            size = np.where(n > 0, BANDS, 0)
-            flat = pa.array(made[n > 0].ravel().view(np.int64))
-            lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32)), flat)
-            yield pa.RecordBatch.from_arrays([t["doc_id"], pa.array(n), pa.array(ka.view(np.int64)), pa.array(kb.view(np.int64)), lists], ["doc_id", "n_shingles", "ka", "kb", "bands"])
+            texts = t["text"].to_pylist()
+            for lo, hi in chunks(texts, CHARACTERS):
+                keys, offsets = shingle_sets(texts[lo:hi])
+                n = np.diff(offsets)
+                ka, kb = set_keys(keys, offsets)
+                made = bands(signatures(keys, offsets, BANDS * ROWS), ROWS)
+                size = np.where(n > 0, BANDS, 0)
+                flat = pa.array(made[n > 0].ravel().view(np.int64))
+                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size)]).astype(np.int32)), flat)
+                cols = [t["doc_id"].slice(lo, hi - lo), pa.array(n), pa.array(ka.view(np.int64)), pa.array(kb.view(np.int64)), lists]
+                yield pa.RecordBatch.from_arrays(cols, ["doc_id", "n_shingles", "ka", "kb", "bands"])
 
     return docs.mapInArrow(sign, "doc_id long, n_shingles long, ka long, kb long, bands array<long>")
 
@@ -54,37 +62,51 @@ def sets(docs: DataFrame) -> DataFrame:
 
     def make(batches):
         for t in batches:
-            keys, offsets = shingle_sets(t["text"].to_pylist())
-            yield pa.RecordBatch.from_arrays([t["id"], pa.array([keys[a:b].tobytes() for a, b in zip(offsets, offsets[1:], strict=False)], pa.binary())], ["id", "body"])
+            texts = t["text"].to_pylist()
+            for lo, hi in chunks(texts, CHARACTERS):
+                keys, offsets = shingle_sets(texts[lo:hi])
+                body = pa.array([keys[a:b].tobytes() for a, b in zip(offsets, offsets[1:], strict=False)], pa.binary())
+                yield pa.RecordBatch.from_arrays([t["id"].slice(lo, hi - lo), body], ["id", "body"])
 
     return docs.mapInArrow(make, "id long, body binary")
 
 
 def star_pairs(classes: DataFrame) -> DataFrame:
-    """(p, u): each class u beside the pivots p of its band buckets, for rows (rep, bands)."""
+    """(p, u, n): each class u beside the pivots p of its band buckets, for rows (rep, bands); n is the size of the
+    largest bucket that they share."""
     placed = classes.select("rep", F.explode("bands").alias("h"))
     shared = placed.groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    # a bucket's size or pivot is one row, so a bucket with many classes is split by the skewed join
     placed = stored(placed.join(shared, "h"), "buckets")
     weight = placed.groupBy("rep").agg(F.sum("n").alias("w"))
     placed = placed.join(weight, "rep")
     pivot = placed.groupBy("h").agg(F.max(F.struct("w", (-F.col("rep")).alias("r"))).alias("top")).select("h", (-F.col("top.r")).alias("p"))
-    return placed.join(pivot, "h").filter("rep <> p").select("p", F.col("rep").alias("u")).distinct()
+    return placed.join(pivot, "h").filter("rep <> p").groupBy("p", F.col("rep").alias("u")).agg(F.max("n").alias("n"))
 
 
-def overlap(a: bytes, b: bytes) -> int:
-    return len(np.intersect1d(np.frombuffer(a, U), np.frombuffer(b, U), assume_unique=True))
+def overlap(a: np.ndarray, b: np.ndarray) -> int:
+    return len(np.intersect1d(a, b, assume_unique=True))
+
+
+def tasks(n: str, each: int) -> Column:
+    return F.ceil(F.col(n) / F.lit(each)).cast("int")
 
 
 def verified(pairs: DataFrame, bodies: DataFrame) -> DataFrame:
-    """(p, u, linked) with the exact similarity of the full sets."""
-    both = pairs.join(bodies.select(F.col("id").alias("u"), F.col("body").alias("bu")), "u").join(bodies.select(F.col("id").alias("p"), F.col("body").alias("bp")), "p")
+    """(p, u, linked) with the exact similarity of the full sets. The classes of a pivot are dealt over tasks, the
+    pivot's set goes to each of them."""
+    salted = pairs.withColumn("salt", F.pmod(F.xxhash64("u"), tasks("n", STAR)).cast("int"))
+    pivots = pairs.groupBy("p").agg(F.max("n").alias("n")).join(bodies.select(F.col("id").alias("p"), F.col("body").alias("bp")), "p")
+    pivots = pivots.select("p", "bp", F.explode(F.sequence(F.lit(0), tasks("n", STAR) - 1)).alias("salt"))
+    both = salted.join(bodies.select(F.col("id").alias("u"), F.col("body").alias("bu")), "u").join(pivots, ["p", "salt"])
 
     def compare(batches):
         for t in batches:
             ok = []
-            for a, b in zip(t["bp"].to_pylist(), t["bu"].to_pylist(), strict=True):
+            for x, y in zip(t["bp"], t["bu"], strict=True):
+                a, b = (np.frombuffer(v.as_buffer(), U) for v in (x, y))
                 common = overlap(a, b) if min(len(a), len(b)) * THRESHOLD[1] >= max(len(a), len(b)) * THRESHOLD[0] else 0
-                ok.append(_linked(common, len(a) // 8, len(b) // 8))
+                ok.append(_linked(common, len(a), len(b)))
             yield pa.RecordBatch.from_arrays([t["p"], t["u"], pa.array(ok, pa.bool_())], ["p", "u", "linked"])
 
     return both.mapInArrow(compare, "p long, u long, linked boolean")
@@ -123,18 +145,19 @@ def forest(ids: list[int], bodies: list[bytes], component: list[int]) -> list[tu
     return out
 
 
-def residual(checked: DataFrame, bodies: DataFrame, label: DataFrame) -> DataFrame:
-    """Links (a, b) between classes of one pivot that are in different components so far."""
+def residual(checked: DataFrame, bodies: DataFrame, label: DataFrame, sizes: DataFrame) -> DataFrame:
+    """Links (a, b) between classes of one pivot that are in different components so far. sizes: (u, n_shingles)."""
     member = checked.select("p", "u").union(checked.select("p", F.col("p").alias("u"))).distinct()
     member = member.join(label.select(F.col("id").alias("u"), "component"), "u", "left").withColumn("component", F.coalesce("component", "u"))
     # pivots are compared with all; a group matters if two others are in different components
-    groups = member.filter("u <> p").groupBy("p").agg(F.count(F.lit(1)).alias("n"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi")
+    member = member.filter("u <> p").join(sizes, "u")
+    shares = F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK), F.ceil(F.sum("n_shingles") / BLOCK_SHINGLES)).cast("int").alias("k")
+    groups = member.groupBy("p").agg(shares, F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi")
     # the members of a large group are dealt over SALT tasks
-    groups = groups.select("p", "n", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))).alias("salt"))
-    member = member.filter("u <> p").withColumn("salt", F.pmod(F.xxhash64("u"), F.lit(SALT)).cast("int")).join(groups.hint("merge"), ["p", "salt"])
-    k = F.ceil(F.col("n") / BLOCK).cast("int")
-    own = F.pmod(F.xxhash64("u"), k).cast("int")
-    every = F.sequence(F.lit(0), k - 1)
+    groups = groups.select("p", "k", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))).alias("salt"))
+    member = member.withColumn("salt", F.pmod(F.xxhash64("u"), F.lit(SALT)).cast("int")).join(groups.hint("merge"), ["p", "salt"])
+    own = F.pmod(F.xxhash64("u"), F.col("k")).cast("int")
+    every = F.sequence(F.lit(0), F.col("k") - 1)
     dealt = member.withColumn("g", own).withColumn("o", F.explode(every))
     dealt = dealt.select("p", "u", "component", F.least("g", "o").alias("i"), F.greatest("g", "o").alias("j"))
     full = dealt.join(bodies.select(F.col("id").alias("u"), "body"), "u")
@@ -161,7 +184,7 @@ def group(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
     checked = stored(verified(pairs, bodies), "checked")
     links = checked.filter("linked").select(F.col("p").alias("a"), F.col("u").alias("b"))
     label = components(links)
-    more = stored(residual(checked, bodies, label), "residual")
+    more = stored(residual(checked, bodies, label, classes.select(F.col("rep").alias("u"), "n_shingles")), "residual")
     if not more.isEmpty():
         label = components(links.union(more))
     # classes that stand alone need no row: their texts are their own component
