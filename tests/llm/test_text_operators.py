@@ -264,10 +264,72 @@ def test_decontamination_recall_and_precision(spark):
         assert r.distance <= max(r.item_words // 5, 0)
     clean = decontaminate.clean(frame(spark, texts), bench)
     assert clean.count() == 400 - len({d for d, _ in got}) and clean.columns == frame(spark, []).columns
-    assert decontaminate.search(frame(spark, ODD), bench).count() == 0 and decontaminate.search(frame(spark, []), bench).count() == 0
+    # a one-word item is found wherever that word stands
+    assert sorted((r.doc_id, r.item_id) for r in decontaminate.search(frame(spark, ODD), bench).collect()) == [(4, 91), (8, 91), (9, 91)]
+    assert decontaminate.search(frame(spark, []), bench).count() == 0
     assert decontaminate.search(frame(spark, texts), bench.limit(0)).count() == 0
 
 
+def test_decontamination_against_brute_force(spark):
+    """All items, short ones too, against all stretches of all texts; keys of other types, null ids, clashing columns."""
+    rng = random.Random(11)
+    vocabulary = [f"{c}{i}" for c in "abcdef" for i in range(12)]
+    items = [[rng.choice(vocabulary) for _ in range(n)] for n in [1, 2, 2, 3, 4, 5, 5, *range(6, 40), 55, 80]]
+    texts = []
+    for d in range(300):
+        w = [rng.choice(vocabulary[: rng.choice([20, 72])]) for _ in range(rng.randint(0, 60))]
+        for _ in range(rng.randint(0, 2)):
+            k = list(rng.choice(items))
+            edits_ = rng.choice([0, len(k) // 5, len(k) // 5, len(k) // 5 + 1])
+            lo = rng.choice([0, 0, max(len(k) - 2 * edits_ - 1, 0)])  # all over the item, or only at one end
+            for _ in range(edits_):
+                i = min(lo + rng.randrange(max(len(k) - lo, 1)), len(k) - 1)
+                k[i : i + 1] = rng.choice([[], [rng.choice(vocabulary)], [k[i], rng.choice(vocabulary)]]) if len(k) > 1 else k
+            at = rng.randint(0, len(w))
+            w[at:at] = k
+        texts.append(" ".join(w))
+
+    def stretch(item, words):
+        """Least edits of the item to any stretch."""
+        row = [0] * (len(words) + 1)
+        for i, x in enumerate(item, 1):
+            last, row = row, [i]
+            for j, y in enumerate(words, 1):
+                row.append(min(last[j] + 1, row[-1] + 1, last[j - 1] + (x != y)))
+        return min(row)
+
+    want = {}
+    for d, t in enumerate(texts):
+        for k, item in enumerate(items):
+            n = stretch(item, t.split())
+            if n <= (len(item) // 5 if len(item) >= 6 else 0):
+                want[d, k] = n
+    bench = spark.createDataFrame([(f"item {i}", " ".join(w), "x") for i, w in enumerate(items)] + [(None, "zz zz", "x"), (None, None, "x")], "item_id string, text string, lang string")
+    docs = frame(spark, [*texts, "q zz zz q"]).withColumn("doc_id", F.when(F.col("doc_id") < 300, F.col("doc_id"))).withColumn("distance", F.lit(1))
+    found = decontaminate.search(docs, bench).collect()
+    got = {(r.doc_id, int(r.item_id[5:])): r.distance for r in found if r.item_id}
+    assert [(r.doc_id, r.distance, r.at_word) for r in found if not r.item_id] == [(None, 0, 1)]
+    assert set(got) <= set(want) and len(got) >= 0.99 * len(want) and len(want) > 300
+    assert all(n == want[x] for x, n in got.items())
+    exact = {x for x, n in want.items() if not n}
+    assert exact <= set(got)
+
+
+def test_unrelated_windows_are_rejected():
+    """The tables decide: texts of the benchmark's own words give next to no candidates."""
+    rng = random.Random(12)
+    vocabulary = [f"w{i}" for i in range(3000)]
+    items = decontaminate.Items(list(range(200)), [" ".join(rng.choice(vocabulary) for _ in range(rng.randint(8, 50))) for _ in range(200)])
+    text, tried = " ".join(rng.choice(vocabulary) for _ in range(20000)), []
+    plain = decontaminate.nearest
+    decontaminate.nearest = lambda a, n, b: tried.append(len(a)) or plain(a, n, b)
+    try:
+        assert items.search([text]) == []
+    finally:
+        decontaminate.nearest = plain
+    assert sum(tried) < 20000 * 200 / 10000
+
+
 def test_nearest_is_the_best_stretch():
     rng = np.random.default_rng(6)
     for _ in range(40):
