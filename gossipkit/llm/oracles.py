@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-QUALITY = r"""
+LEDGER = r"""
 WITH w AS (
   SELECT doc_id, coalesce(text, '') AS t, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS ws FROM documents
 ), win AS (
@@ -25,9 +25,22 @@ WITH w AS (
     (n_lines >= 4 AND 100 * n_dup_lines > 50 * n_lines)::INT AS b3, (word_chars < 2 * n_words OR word_chars > 25 * n_words)::INT AS b4,
     (100 * n_symbols > 40 * n_words)::INT AS b5 FROM m
 )
-SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, b0 + b1 > 0 AS base_failed,
+"""
+QUALITY = LEDGER + """
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, b0 + b1 > 0 AS base_failed, b0 + b1 = 0 AS kept_v1,
   b0 + b1 + b2 = 0 AND b3 + b4 + b5 < 2 AS kept, (b0 + 2 * b1 + 4 * b2 + 8 * b3 + 16 * b4 + 32 * b5)::BIGINT AS fail_bits FROM b
 """
+ABLATION = LEDGER + """
+, r AS (
+  SELECT b0 + b1 + b2 > 0 OR b3 + b4 + b5 > 1 AS all_rules, [b0, b1, b2, b3, b4, b5] AS f,
+    [b1 + b2 > 0 OR b3 + b4 + b5 > 1, b0 + b2 > 0 OR b3 + b4 + b5 > 1, b0 + b1 > 0 OR b3 + b4 + b5 > 1,
+     b0 + b1 + b2 > 0 OR b4 + b5 > 1, b0 + b1 + b2 > 0 OR b3 + b5 > 1, b0 + b1 + b2 > 0 OR b3 + b4 > 1] AS less FROM b
+), i AS (
+  SELECT unnest(['too_short', 'repeats_itself', 'symbol_heavy', 'repeated_lines', 'word_length', 'pipe_table']) AS rule, unnest(range(1, 7)) AS k
+)
+SELECT count(*) AS n, count(*) FILTER (all_rules) AS rejected, rule, count(*) FILTER (f[k] = 1) AS failed, count(*) FILTER (less[k]) AS rejected_without,
+  count(*) FILTER (all_rules AND NOT less[k]) AS only_by_rule FROM r, i GROUP BY rule
+"""
 
 #: The turns as a recursion over slots: at step n shard n mod 16 takes the first slot of its order that is free.
 SHARDING = """
@@ -83,4 +96,4 @@ SELECT d.doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, r.c AS component_id, r.
 FROM documents d LEFT JOIN n USING (doc_id) JOIN (SELECT a, min(b) AS c FROM reach GROUP BY a) r ON r.a = d.doc_id
 """
 
-ORACLES = {"op8_near_dedup": NEAR, "op3_substring": SUBSTRING, "op10_quality": QUALITY, "op2_sharding": SHARDING}
+ORACLES = {"op8_near_dedup": NEAR, "op3_substring": SUBSTRING, "op10_quality": QUALITY, "op2_sharding": SHARDING, "quality_ablation": ABLATION}

@@ -5,7 +5,8 @@ each rule it fails. A policy is a version with two masks: a document is rejected
 ``hard`` or at least ``soft_limit`` rules of ``soft``. New policies and ablations read the ledger, never the text.
 
 Defined cases: a null or empty text has no words and fails the rule on length; a null id is carried along;
-columns of the input whose names the ledger uses are replaced by the ledger's; an empty table gives no rows.
+in a ledger, columns of the input whose names it uses are replaced by its own; accepted() returns the input's columns
+unchanged, whatever their names; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -15,9 +16,10 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SEPARATOR_CLASS, SEPARATORS, words
+from .common import SEPARATOR_CLASS, SEPARATORS, stored, words
 
 WINDOW = 8
+MEASURES = ["n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_repeat_words"]
 
 #: The order fixes the bits: rule i owns bit i.
 RULES: dict[str, Column | None] = dict.fromkeys(
@@ -64,11 +66,14 @@ CURRENT = "v2"
 
 def measure(docs: DataFrame, text: str = "text") -> DataFrame:
     """Adds the measurements; every text is split into words once."""
-    whole = F.coalesce(F.col(text), F.lit(""))
+    # the input's columns wait in one struct, where their names meet no other
+    own = [F.col("row").getField(c).alias(c) for c in docs.columns if c not in MEASURES]
+    docs = docs.select(F.struct("*").alias("row"), F.col(text).cast("string").alias("text"))
+    whole = F.coalesce(F.col("text"), F.lit(""))
     plain = F.translate(whole, SEPARATORS, "")
     lines = F.filter(F.split(whole, "\n", -1), lambda x: F.rlike(x, F.lit("[^" + SEPARATOR_CLASS[1:])))
     df = docs.withColumns({
-        "_w": words(F.col(text)), "_lines": lines,
+        "_w": words(F.col("text")), "_lines": lines,
         "word_chars": F.char_length(plain).cast("long"),
         "n_symbols": (F.char_length(whole) - F.char_length(F.translate(whole, "#*$%&|<>", ""))).cast("long"),
     })
@@ -87,7 +92,7 @@ def measure(docs: DataFrame, text: str = "text") -> DataFrame:
         at, F.struct(F.lit(0).alias("n"), F.lit(-WINDOW).alias("last")),
         lambda a, p: F.struct((a["n"] + F.least(F.lit(WINDOW), p - a["last"])).alias("n"), p.alias("last")), lambda a: a["n"],
     )
-    return df.withColumn("n_repeat_words", F.coalesce(covered, F.lit(0)).cast("long")).drop("_w", "_h", "_s", "_lines")
+    return df.withColumn("n_repeat_words", F.coalesce(covered, F.lit(0)).cast("long")).select(*own, *MEASURES)
 
 
 def ledger(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -97,6 +102,16 @@ def ledger(docs: DataFrame, text: str = "text") -> DataFrame:
     return df.withColumn("fail_bits", bits.cast("long"))
 
 
+def recorded(docs: DataFrame, key: str = "doc_id", text: str = "text", path: str | None = None) -> DataFrame:
+    """The ledger as a table: key, measurements and fail_bits, written once (to path, or to the shared folder). Policies
+    and ablations read it; texts are not read again."""
+    led = ledger(docs.select(F.col(key).alias("key"), F.col(text).alias("text")), "text").drop("text").withColumnRenamed("key", key)
+    if path is None:
+        return stored(led, "ledger")
+    led.write.parquet(path)
+    return docs.sparkSession.read.schema(led.schema).parquet(path)
+
+
 def apply_policy(led: DataFrame, policy: Policy = POLICIES[CURRENT]) -> DataFrame:
     base = F.col("fail_bits").bitwiseAND(F.lit(mask_of("too_short", "repeats_itself"))) != 0
     return led.withColumns({"base_failed": base, "kept": ~(base | policy.rejects(F.col("fail_bits"))), "policy": F.lit(policy.version)})
@@ -104,20 +119,22 @@ def apply_policy(led: DataFrame, policy: Policy = POLICIES[CURRENT]) -> DataFram
 
 def accepted(docs: DataFrame, policy: Policy = POLICIES[CURRENT], text: str = "text") -> DataFrame:
     """The rows of docs that the policy keeps, with their own columns only."""
-    judged = apply_policy(ledger(docs, text), policy)
+    judged = apply_policy(ledger(docs.select(F.struct("*").alias("whole"), F.col(text).alias("text"))), policy)
     # a filter on a deterministic column would be pushed down and evaluate every measurement again for each use
     once = judged.withColumn("kept", F.col("kept") & (F.monotonically_increasing_id() >= 0))
-    return once.filter("kept").select(*docs.columns)
+    return once.filter("kept").select("whole.*")
 
 
 def ablation(led: DataFrame, policy: Policy = POLICIES[CURRENT]) -> DataFrame:
     """For each rule: failures, documents rejected without it, documents that only it rejects."""
+    # one row for each mask of failures, at most 2^rules: the policies see each once
+    masks = led.groupBy("fail_bits").agg(F.count(F.lit(1)).alias("c"))
     bits, aggs = F.col("fail_bits"), []
+    total = lambda cond: F.coalesce(F.sum(F.when(cond, F.col("c"))), F.lit(0))
     for i, name in enumerate(RULES):
         less = Policy(policy.version, policy.hard & ~(1 << i), policy.soft & ~(1 << i), policy.soft_limit)
         aggs.append(F.struct(
-            F.lit(name).alias("rule"), F.count_if(F.getbit(bits, F.lit(i)) == 1).alias("failed"), F.count_if(less.rejects(bits)).alias("rejected_without"),
-            F.count_if(policy.rejects(bits) & ~less.rejects(bits)).alias("only_by_rule"),
+            F.lit(name).alias("rule"), total(F.getbit(bits, F.lit(i)) == 1).alias("failed"), total(less.rejects(bits)).alias("rejected_without"),
+            total(policy.rejects(bits) & ~less.rejects(bits)).alias("only_by_rule"),
         ).alias(name))
-    # the fail masks are few: they are counted first, the policies see each mask once
-    return led.agg(F.count(F.lit(1)).alias("n"), F.count_if(policy.rejects(bits)).alias("rejected"), *aggs).select("n", "rejected", F.inline(F.array(*RULES)))
+    return masks.agg(total(F.lit(True)).alias("n"), total(policy.rejects(bits)).alias("rejected"), *aggs).select("n", "rejected", F.inline(F.array(*RULES)))

@@ -51,8 +51,14 @@ def near_dedup_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def quality_query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    led = quality.ledger(table(spark, sf_dir, "documents").select("doc_id", "text"))
-    return quality.apply_policy(led).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "fail_bits")
+    """The ledger is written once; both policy versions are applied to it."""
+    led = quality.recorded(table(spark, sf_dir, "documents"))
+    base = quality.apply_policy(led, quality.POLICIES["v1"]).withColumnRenamed("kept", "kept_v1")
+    return quality.apply_policy(base).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "kept_v1", "fail_bits")
+
+
+def quality_ablation_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.ablation(quality.recorded(table(spark, sf_dir, "documents")))
 
 
 QUERIES = {
@@ -66,4 +72,5 @@ QUERIES = {
     "op8_near_dedup": near_dedup_query,
     "op9_language": language_query,
     "op10_quality": quality_query,
+    "quality_ablation": quality_ablation_query,
 }

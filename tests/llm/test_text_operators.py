@@ -431,7 +431,11 @@ def test_quality_against_brute_force(spark):
     for r in quality.ablation(led).collect():
         bit = 1 << list(quality.RULES).index(r.rule)
         assert r.failed == sum(bool(x.fail_bits & bit) for x in rows.values()) and r.rejected - r.rejected_without == r.only_by_rule
-    assert quality.ledger(frame(spark, [])).count() == 0
+    assert quality.ledger(frame(spark, [])).count() == 0 and quality.accepted(frame(spark, [])).count() == 0
+    clash = frame(spark, texts).withColumns({c: F.lit(-5) for c in ["_w", "_lines", "_h", "_s", "row", "whole", "fail_bits", "policy", *quality.MEASURES]})
+    out = quality.accepted(clash)
+    assert out.columns == clash.columns and out.count() == kept.count() and {r.n_words for r in out.collect()} == {-5}
+    assert {r.doc_id: r.n_words for r in quality.ledger(clash).collect()} == {d: r.n_words for d, r in rows.items()}
 
 
 def test_sharding(spark):
