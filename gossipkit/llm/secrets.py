@@ -2,7 +2,11 @@
 
 Every version of a text is addressed by the SHA-256 of its content. The ledger holds the pairs of blob and
 rule version that were scanned, with their findings; a run scans the blobs whose pair is not there, once
-each, and joins the findings back to every path that holds the blob.
+each, and joins the findings back to every path that holds the blob. A Ledger is a Parquet folder that every run adds to,
+so a later run, of another version of the table or after a failure, scans only what is new.
+
+A blob that many paths hold is one key of that join: paths are dealt over SALT tasks a blob, and only blobs with findings
+are sent to each. Rows are added to a ledger before they are reported; a pair that two runs add at once is read as one.
 
 Defined cases: a null text is the empty blob; paths of equal content share one scan; without a finding
 spans is empty and the digest that of the empty string; an empty table scans nothing and gives no rows.
@@ -10,13 +14,18 @@ spans is empty and the digest that of the empty string; an empty table scans not
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from collections.abc import Iterable
+
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import spans as S
-from .common import stored
+from .common import scratch, stored
 
 RULE_VERSION = "r1"
+SALT = 8
+FOUND = "array<struct<start:int,rank:int,end:int,kind:string>>"
+LEDGER = f"blob binary, rule_version string, found {FOUND}"
 #: The base kinds in their order, with the least length of a match or its value.
 KINDS = ["assign", "access", "hex"]
 ASSIGN = r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]++)"""
@@ -46,7 +55,7 @@ def findings(text: Column) -> Column:
         some = F.contains(text, F.lit(NEEDS[kind][0]))
         for x in NEEDS[kind][1:]:
             some = some | F.contains(text, F.lit(x))
-        return F.when(some, found).otherwise(F.array().cast("array<struct<start:int,rank:int,end:int,kind:string>>"))
+        return F.when(some, found).otherwise(F.array().cast(FOUND))
 
     return F.concat(*(of(i, k) for i, k in enumerate(PATTERNS)))
 
@@ -69,13 +78,14 @@ def scan(versions: DataFrame, ledger: DataFrame | None = None, rule_version: str
 def report(versions: DataFrame, ledger: DataFrame, key: str = "doc_id", rule_version: str = RULE_VERSION, text: str = "text") -> DataFrame:
     """One row for each path: counts and digest of the base spans, and all spans."""
     hits = ledger.filter((F.col("rule_version") == rule_version) & (F.size("found") > 0)).select("blob", "found")
-    paths = addressed(versions.select(key, text), text).select(key, "blob")
-    none = F.array().cast("array<struct<start:int,rank:int,end:int,kind:string>>")
-    df = paths.join(hits, "blob", "left").withColumn("found", F.coalesce("found", none))
+    paths = addressed(versions.select(F.col(key).alias("key"), F.col(text).alias("text"))).select("key", "blob", F.pmod(F.xxhash64("key"), F.lit(SALT)).alias("salt"))
+    each = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALT - 1).cast("long")))
+    hits = hits.groupBy("blob").agg(F.any_value("found").alias("found")).select("blob", "found", each.alias("salt"))
+    df = paths.join(hits, ["blob", "salt"], "left").withColumn("found", F.coalesce("found", F.array().cast(FOUND)))
     base = F.filter("found", lambda s: s["rank"] < len(KINDS))
     count = lambda k: F.size(F.filter("found", lambda s: s["kind"] == k)).cast("long")
     return df.select(
-        key, *(count(k).alias(f"n_{k}") for k in KINDS), F.sha2(S.rendered(base).cast("binary"), 256).alias("base_sha256"),
+        F.col("key").alias(key), *(count(k).alias(f"n_{k}") for k in KINDS), F.sha2(S.rendered(base).cast("binary"), 256).alias("base_sha256"),
         S.rendered(F.col("found")).alias("spans"), F.hex("blob").alias("blob"),
     )
 
@@ -85,3 +95,34 @@ def run(versions: DataFrame, ledger: DataFrame | None = None, key: str = "doc_id
     new = stored(scan(versions, ledger, text=text), "secrets")
     grown = new if ledger is None else ledger.unionByName(new)
     return report(versions, grown, key, text=text), grown
+
+
+class Ledger:
+    """A ledger in a folder; runs add to it."""
+
+    def __init__(self, spark: SparkSession, path: str):
+        self.spark, self.path = spark, path
+
+    def rows(self) -> DataFrame | None:
+        """All pairs scanned so far; None before the first run."""
+        at = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
+        if not at.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).exists(at):
+            return None
+        return self.spark.read.schema(LEDGER).parquet(self.path)
+
+    def add(self, versions: DataFrame, text: str = "text", rule_version: str = RULE_VERSION) -> None:
+        """Scans the blobs of these rows that the ledger lacks at this rule version."""
+        scan(versions, self.rows(), rule_version, text).write.mode("append").parquet(self.path)
+
+
+def history(versions: Iterable[DataFrame], ledger: Ledger, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """Scans version after version into the ledger; the report of the last one."""
+    last = None
+    for last in versions:
+        ledger.add(last, text)
+    return report(last, ledger.rows(), key, text=text)
+
+
+def new_ledger(spark: SparkSession) -> Ledger:
+    """A ledger in the shared folder."""
+    return Ledger(spark, scratch(spark, "secrets"))

@@ -1,4 +1,5 @@
 import hashlib
+import random
 import re
 
 from gossipkit.llm import pii, secrets
@@ -71,7 +72,47 @@ def test_weak_supervision_adds_and_learns(spark):
     assert not any(r.spans for r in rows if r.doc_id >= 40)
     counts = [dict.fromkeys(pii.LABELERS, 1) | {"kind": "tel", "n": 90}, dict.fromkeys(pii.LABELERS, -1) | {"kind": "tel", "n": 10}]
     theta, share = pii.reliabilities(counts)
-    assert 0.8 < share["tel"] < 0.97 and theta["known"][1, 1] > 0.9 > theta["known"][-1, 1]
+    assert 0.8 < share["tel"] < 0.97 and theta["tel"]["known"][1, 1] > 0.9 > theta["tel"]["known"][-1, 1]
+
+
+def iban(rng, good):
+    body = "".join(rng.choice("0123456789") for _ in range(18))
+    check = 98 - int(body + "131400") % 97
+    return f"DE{check if good else (check + rng.randint(1, 90)) % 97:02d}{body}"
+
+
+def test_added_spans_precision_and_recall(spark):
+    """Planted spans of the loose kinds and look-alikes, with and without telling context. Found alone by their form,
+    the loose patterns are right in about half of the cases here; the classifier must do much better."""
+    rng = random.Random(3)
+    n = lambda k, first="0123456789": rng.choice(first) + "".join(rng.choice("0123456789") for _ in range(k - 1))
+    texts, truth = [], {}
+    for d in range(1200):
+        real, kind = rng.random() < 0.5, ["tel", "ssn", "iban", "name"][d % 4]
+        told = rng.random() < (0.7 if real else 0.1)
+        if kind == "tel":
+            span = f"{n(3, '2345678')}-{n(3, '2345678')}-{n(4)}" if real else f"{n(3, '01')}-{n(3, '01')}-{n(4)}"
+            before = "please call" if told else "part"
+        elif kind == "ssn":
+            span = f"{n(3, '12345')}-{n(2, '123')}-{n(4, '123')}" if real else f"{rng.choice(['000', '666', '9' + n(2)])}-{n(2)}-{n(4)}"
+            before = "social security" if told else "order"
+        elif kind == "iban":
+            span, before = iban(rng, real), "my bank account" if told else "code"
+        else:
+            span = "Dr. " + (rng.choice(pii.FIRST_NAMES) if real else rng.choice(["Strange", "Zhivago", "Who", "Pepper"])) + " " + rng.choice(["Miller", "Weber", "Garcia"])
+            before = "regards from" if told else "saw"
+        text = f"{rng.choice(['so', 'then', 'well'])} {before} {span} today"
+        at = text.index(span)
+        truth[d] = f"{kind}:{at}:{at + len(span)}" if real else ""
+        texts.append(text)
+    rows = {r.doc_id: r.spans for r in pii.detect(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    for kind, k in (("tel", 0), ("ssn", 1), ("iban", 2), ("name", 3)):
+        mine = [d for d in truth if d % 4 == k]
+        found = [d for d in mine if kind + ":" in rows[d]]
+        right = [d for d in found if truth[d] and truth[d] in rows[d].split(",")]
+        recall, precision = len(right) / sum(bool(truth[d]) for d in mine), len(right) / max(len(found), 1)
+        print(kind, round(recall, 3), round(precision, 3))
+        assert recall > 0.9 and precision > 0.8
 
 
 def test_redaction(spark):
@@ -80,6 +121,25 @@ def test_redaction(spark):
     assert out[1] == "to [email] now [ip]" and out[2] == ""
 
 
+def test_ledger_grows_by_commits(spark, tmp_path, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
+    odd = spark.createDataFrame([(None, "token=abcdefgh1"), (None, None), (-1, "token=abcdefgh1"), (-2, ""), (-2, "")], "doc_id long, text string")
+    docs = docs.union(odd)
+    ledger = secrets.Ledger(spark, str(tmp_path / "ledger"))
+    assert ledger.rows() is None
+    ledger.add(docs.filter("doc_id % 2 = 0"))
+    before = ledger.rows().count()
+    out = secrets.history([docs], ledger)
+    blobs = docs.selectExpr("sha2(coalesce(text, ''), 256)").distinct().count()
+    assert 0 < before < blobs == ledger.rows().count() == ledger.rows().select("blob", "rule_version").distinct().count()
+    plain = secrets.run(docs)[0]
+    assert sorted(map(str, out.collect())) == sorted(map(str, plain.collect())) and out.count() == docs.count()
+    ledger.add(docs)
+    assert ledger.rows().count() == blobs
+    ledger.add(docs, rule_version="r2")
+    assert ledger.rows().count() == 2 * blobs
+
+
 def test_ledger_scans_only_unseen_pairs(spark):
     df = lambda rows: spark.createDataFrame(rows, "doc_id long, text string")
     first, ledger = secrets.run(df([(1, "token=abcdefgh1"), (2, "token=abcdefgh1"), (3, None)]))
