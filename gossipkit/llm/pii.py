@@ -108,16 +108,18 @@ def propose(docs: DataFrame, text: str = "text") -> DataFrame:
 def reliabilities(counts: list[dict], rounds: int = 60) -> tuple[dict, dict]:
     """EM over vote patterns, each kind by itself. counts: rows with kind, the votes and n. Returns for every kind and
     labeler the probabilities of its votes by truth, {(truth, vote): p} with truth 1 or -1, and each kind's share of
-    real spans. Votes count as independent given the truth; an abstention (0) is a vote too."""
+    real spans. Votes count as independent given the truth; an abstention (0) is a vote too. A labeler that votes alike
+    on all spans of a kind tells nothing about them; where all do, the votes are taken at their face."""
     start = {(c, v): 0.3 if v == 0 else 0.55 if c == v else 0.15 for c in (1, -1) for v in (1, 0, -1)}
     theta, share = {}, {}
     for kind in {c["kind"] for c in counts}:
         own = [c for c in counts if c["kind"] == kind]
-        theta[kind], share[kind] = {x: dict(start) for x in LABELERS}, 0.5
-        for _ in range(rounds):
+        tells = [x for x in LABELERS if len({c[x] for c in own}) > 1]
+        theta[kind], share[kind] = {x: dict(start) if x in tells or not tells else dict.fromkeys(start, 1 / 3) for x in LABELERS}, 0.5
+        for _ in range(rounds if tells else 0):
             post = [posterior(c, theta, share) for c in own]
             share[kind] = (1 + sum(c["n"] * p for c, p in zip(own, post, strict=True))) / (2 + sum(c["n"] for c in own))
-            for x in LABELERS:
+            for x in tells:
                 for truth in (1, -1):
                     weight = [c["n"] * (p if truth == 1 else 1 - p) for c, p in zip(own, post, strict=True)]
                     for v in (1, 0, -1):
