@@ -386,6 +386,29 @@ def test_mixing(spark, sf, monkeypatch):
     assert len(odd) == len(ODD) and {r.topic for r in odd if not r.n_tokens} == {0}
 
 
+def test_topics_find_planted_ones(spark):
+    """Three topics in each of two languages; a topic is found whatever the language, and is not the language."""
+    rng, rows = random.Random(9), []
+    for d in range(900):
+        topic, lang = d % 3, ["xx", "yy"][rng.random() < 0.3]
+        common, own = [f"{lang}{i}" for i in range(40)], [f"{topic}t{i}" for i in range(25)]
+        rows.append((d, " ".join(rng.choice(own if rng.random() < 0.4 else common) for _ in range(rng.randint(40, 200))), lang))
+    seen = mixing.with_topics(spark.createDataFrame(rows, "doc_id long, text string, lang string"), topics=3).collect()
+    votes = Counter((r.doc_id % 3, r.topic) for r in seen)
+    best = [max(votes[t, k] for k in range(3)) for t in range(3)]
+    assert sum(best) > 0.95 * 900 and len({max(range(3), key=lambda k: votes[t, k]) for t in range(3)}) == 3
+
+
+def test_remixed_keeps_clashing_columns(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").withColumns({c: F.lit(0.25) for c in ["_source", "_lang", "_topic", "_prob", "_copy", "topic", "n_tokens", "prob", "kept", "copies", "column0"]})
+    out = mixing.remixed(docs)
+    rows = out.collect()
+    assert out.columns == docs.columns and rows and {(r.topic, r.prob, r.kept, r.column0) for r in rows} == {(0.25,) * 4}
+    assert mixing.remixed(docs.limit(0)).count() == 0
+    null = mixing.remixed(frame(spark, ODD + made(1, 30)).withColumns({c: F.lit(None).cast("string") for c in ["lang", "source"]}).withColumn("doc_id", F.lit(None).cast("long")))
+    assert null.count() >= 0
+
+
 def test_mixing_meets_the_targets(spark, sf, monkeypatch):
     docs = mixing.with_topics(spark.read.parquet(f"{sf}/documents.parquet")).drop("text").cache()
     cell = mixing.plan(docs)
