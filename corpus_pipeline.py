@@ -27,9 +27,7 @@ def benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def target_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    seen = mixing.with_topics(docs)
-    cell = mixing.plan(stored(seen.select("source", "lang", "topic", "n_tokens"), "topics"))
-    return mixing.sampled(mixing.decided(seen, cell)).select(*docs.columns)
+    return mixing.remixed(docs)
 
 
 def shards(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
