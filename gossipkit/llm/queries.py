@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from . import decontaminate, langid, mixing, neardup, pii, quality, secrets, sharding, substring, tokenfile
 from .common import table
@@ -34,9 +35,10 @@ def pii_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def secrets_query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Two commits: the rows of even ids first, then the whole table, of which only unseen blobs are scanned."""
+    """The table in two commits, rows of even ids and the rest; of each, unseen blobs are scanned."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    return secrets.history([docs.filter("doc_id % 2 = 0"), docs], secrets.new_ledger(spark))
+    even = (F.col("doc_id") % 2).eqNullSafe(0)
+    return secrets.history([docs.filter(even), docs.filter(~even)], docs, secrets.new_ledger(spark))
 
 
 def token_file_query(spark: SparkSession, sf_dir: str) -> DataFrame:

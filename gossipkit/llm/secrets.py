@@ -67,12 +67,11 @@ def addressed(versions: DataFrame, text: str = "text") -> DataFrame:
 
 def scan(versions: DataFrame, ledger: DataFrame | None = None, rule_version: str = RULE_VERSION, text: str = "text") -> DataFrame:
     """New ledger rows (blob, rule_version, found) for the blobs that the ledger lacks at this rule version."""
-    blobs = addressed(versions.select(text), text)
-    if ledger is not None:
-        blobs = blobs.join(ledger.filter(F.col("rule_version") == rule_version).select("blob"), "blob", "left_anti")
     # one row of each content: map-side first, so that copies are not shuffled
-    once = blobs.dropDuplicates(["blob"])
-    return once.select("blob", F.lit(rule_version).alias("rule_version"), findings(F.coalesce(F.col(text), F.lit(""))).alias("found"))
+    once = addressed(versions.select(F.col(text).alias("text"))).dropDuplicates(["blob"])
+    if ledger is not None:
+        once = once.join(ledger.filter(F.col("rule_version") == rule_version).select("blob").hint("merge"), "blob", "left_anti")
+    return once.select("blob", F.lit(rule_version).alias("rule_version"), findings(F.coalesce(F.col("text"), F.lit(""))).alias("found"))
 
 
 def report(versions: DataFrame, ledger: DataFrame, key: str = "doc_id", rule_version: str = RULE_VERSION, text: str = "text") -> DataFrame:
@@ -115,12 +114,11 @@ class Ledger:
         scan(versions, self.rows(), rule_version, text).write.mode("append").parquet(self.path)
 
 
-def history(versions: Iterable[DataFrame], ledger: Ledger, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """Scans version after version into the ledger; the report of the last one."""
-    last = None
-    for last in versions:
-        ledger.add(last, text)
-    return report(last, ledger.rows(), key, text=text)
+def history(commits: Iterable[DataFrame], paths: DataFrame, ledger: Ledger, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """Scans commit after commit into the ledger, what it lacks of each; the report of all paths."""
+    for rows in commits:
+        ledger.add(rows, text)
+    return report(paths, ledger.rows(), key, text=text)
 
 
 def new_ledger(spark: SparkSession) -> Ledger:

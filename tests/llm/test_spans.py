@@ -129,7 +129,7 @@ def test_ledger_grows_by_commits(spark, tmp_path, sf):
     assert ledger.rows() is None
     ledger.add(docs.filter("doc_id % 2 = 0"))
     before = ledger.rows().count()
-    out = secrets.history([docs], ledger)
+    out = secrets.history([docs.filter('doc_id < 50'), docs], docs, ledger)
     blobs = docs.selectExpr("sha2(coalesce(text, ''), 256)").distinct().count()
     assert 0 < before < blobs == ledger.rows().count() == ledger.rows().select("blob", "rule_version").distinct().count()
     plain = secrets.run(docs)[0]
