@@ -5,7 +5,7 @@ from __future__ import annotations
 from dataclasses import replace
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.columns import fast_uniform, laplace
@@ -19,6 +19,7 @@ from .trainers import Pool, pooled, sweep
 SITES, WORDS = 10, 256
 #: Shared by all methods and not tuned; tuned_targets gives each method its own number of levels.
 BASE = GossipConfig(sites=SITES, rounds=150, eta=1.0, eval_every=2)
+VECTORS = replace(BASE, eta=0.1, rounds=80)
 
 
 def graphs(spark: SparkSession) -> dict[str, np.ndarray]:
@@ -44,7 +45,7 @@ def language_traces(spark: SparkSession, sf_dir: str, configs: dict[str, GossipC
 
 def vector_traces(spark: SparkSession, sf_dir: str, configs: dict[str, GossipConfig] | None = None, graph: dict | None = None) -> DataFrame:
     """Embeddings with planted labels and the residual dense net."""
-    cfgs = configs or paper_methods(replace(BASE, eta=0.1, rounds=80))
+    cfgs = configs or paper_methods(VECTORS)
     return sweep(spark, runs_of(graph or graphs(spark), cfgs, "vectors"), vector_pool(spark, sf_dir), "residual_mlp", 65, 10)
 
 
@@ -64,18 +65,38 @@ def targets(trace: DataFrame, share: float = 0.97) -> DataFrame:
     return end.join(hit, "run_id")
 
 
+def net_traces(spark: SparkSession, sf_dir: str, configs: dict[str, GossipConfig] | None = None, graph: dict | None = None) -> DataFrame:
+    """The language task with the three-layer net of 18,624 weights, compared methods on both graphs."""
+    cfgs = configs or paper_methods(replace(BASE, eta=0.5, rounds=80, mu=1e-4))
+    return sweep(spark, runs_of(graph or graphs(spark), cfgs, "net"), language_pool(spark, sf_dir), "mlp3", WORDS + 1, 4)
+
+
 def table_r(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Communication until the cut-off, methods against settings."""
-    trace = language_traces(spark, sf_dir).unionByName(vector_traces(spark, sf_dir))
-    t = targets(trace).withColumn("setting", F.concat_ws("-", "workload", "graph"))
-    kib = F.round(F.first("cum_bits") / 8192, 2)
-    return t.groupBy("method").pivot("setting", ["language-ring", "language-full", "vectors-ring", "vectors-full"]).agg(kib)
+    """Communication until the cut-off: a row for each method, for each setting (three-layer net or image-like task, ring or
+    fully connected) the KiB, the rounds and whether the cut-off was reached; else the figures are those of the whole run."""
+    trace = net_traces(spark, sf_dir).unionByName(vector_traces(spark, sf_dir))
+    t = targets(trace).withColumn("setting", F.concat_ws("_", "workload", "graph"))
+    cell = [F.round(F.first("cum_bits") / 8192, 2).alias("kib"), F.first("rounds").alias("rounds"), F.first("reached").alias("reached")]
+    return t.groupBy("method").pivot("setting", ["net_ring", "net_full", "vectors_ring", "vectors_full"]).agg(*cell)
+
+
+def curves(trace: DataFrame) -> DataFrame:
+    """(workload, graph, method, round, cum_bits, accuracy, validation, loss, objective): what the curves show, at the
+    rounds that were evaluated."""
+    w = Window.partitionBy("run_id").orderBy("round")
+    t = named(trace.withColumn("cum_bits", F.sum("link_bits").over(w))).filter("accuracy IS NOT NULL")
+    return t.select("workload", "graph", "method", "round", "cum_bits", "accuracy", "validation", "loss", "objective")
+
+
+def mu_runs(base: GossipConfig, mus) -> dict[str, GossipConfig]:
+    return {f"mu={m:g}": replace(base, mu=m) for m in mus} | {"exact": replace(base, method="exact", compressor="identity", coder="raw")}
 
 
 def mu_sweep(spark: SparkSession, sf_dir: str, mus=(0.0, 1e-4, 1e-3, 5e-3, 1e-2)) -> DataFrame:
+    """Weights of the L1 term on the ring: the linear language model and the residual net of the image-like task."""
     ring = {"ring": graphs(spark)["ring"]}
-    cfgs = {f"mu={m:g}": replace(BASE, mu=m) for m in mus} | {"exact": replace(BASE, method="exact", compressor="identity", coder="raw")}
-    return targets(language_traces(spark, sf_dir, cfgs, ring))
+    words = language_traces(spark, sf_dir, mu_runs(BASE, mus), ring)
+    return targets(words.unionByName(vector_traces(spark, sf_dir, mu_runs(VECTORS, mus), ring)))
 
 
 def level_sweep(spark: SparkSession, sf_dir: str, levels=(4, 8, 16, 64, 256)) -> DataFrame:
@@ -107,14 +128,13 @@ def method_savings(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def net_targets(spark: SparkSession, sf_dir: str, mus=(1e-4, 1e-3)) -> DataFrame:
-    """The three-layer net on the language task, ring: bits to the cut-off of every method, the sparse ones at each
+    """The three-layer net on the language task, both graphs: bits to the cut-off of every method, the sparse ones at each
     weight of the L1 term; all rows are reported."""
     base = replace(BASE, eta=0.5, rounds=80)
     cfgs = {}
     for name, cfg in paper_methods(base).items():
         cfgs |= {f"{name}:mu={m:g}": replace(cfg, mu=m) for m in mus} if name.startswith(("sparse", "tracking")) else {name: replace(cfg, mu=mus[0])}
-    ring = {"ring": graphs(spark)["ring"]}
-    return targets(sweep(spark, runs_of(ring, cfgs, "net"), language_pool(spark, sf_dir), "mlp3", WORDS + 1, 4))
+    return targets(net_traces(spark, sf_dir, cfgs))
 
 
 def ablation_report(spark: SparkSession, sf_dir: str) -> DataFrame:

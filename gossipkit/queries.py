@@ -516,6 +516,7 @@ QUERIES = {
     "bernoulli_batch": bernoulli_batch, "objective_fixed": objective_fixed, "accuracy_fixed": accuracy_fixed, "tracking_round1": tracking_round1, "stationarity_at_mean": stationarity_at_mean,
     "asof_events": asof_events, "event_pairs": event_pairs, "central_prox": W.central_prox, "label_skew": W.label_skew, "problem_constants": W.problem_constants,
     "ablation_report": W.ablation_report, "tracking_report": W.tracking_report, "net_targets": W.net_targets,
+    "net_curves": lambda s, d: W.curves(W.net_traces(s, d)), "vector_curves": lambda s, d: W.curves(W.vector_traces(s, d)),
     "laplace_study": lambda s, d: W.laplace_study(s), "range_coverage": lambda s, d: theory.range_coverage(s, 1000, 400, 0.01),
 }
 
