@@ -14,6 +14,8 @@ from pyspark.sql import functions as F
 from ..functions.columns import elias_bits, golomb_bits, golomb_parameter
 from . import codec
 
+#: Coordinates of a bin: what one task sees of a site.
+BIN = 1 << 16
 HEADER_BITS = 64 + 32 + 16  # two range ends of 32 bits, dimension, number of levels
 
 
@@ -47,15 +49,54 @@ def supports(df: DataFrame, ordered: DataFrame) -> DataFrame:
     return df.join(F.broadcast(ordered.select("site", "sym", "rank")), ["site", "sym"]).select("site", "rank", "sym", "coord")
 
 
-def run_lengths(df: DataFrame, ordered: DataFrame) -> DataFrame:
-    """(site, rank, seq, gap): unexplained coordinates between holders of each transmitted level."""
-    sent = visits(ordered).select("site", F.col("rank").alias("at"))
-    # at most levels + 2 rows a site on the broadcast side
-    open_ = supports(df, ordered).join(F.broadcast(sent), "site").filter((F.col("rank") == 0) | (F.col("rank") >= F.col("at")))
-    n = F.row_number().over(Window.partitionBy("site", "at").orderBy("coord"))
-    held = open_.withColumn("n", n).filter(F.col("rank") == F.col("at"))
-    w = Window.partitionBy("site", "at").orderBy("coord")
-    return held.select("site", F.col("at").alias("rank"), F.row_number().over(w).alias("seq"), (F.col("n") - F.lag("n", 1, 0).over(w) - 1).cast("long").alias("gap"))
+def binned_runs(df: DataFrame, ordered: DataFrame, bins: int = BIN) -> DataFrame:
+    """(site, bin, rank, gaps, upto): for each bin of coordinates and transmitted level with holders there, the number of
+    unexplained coordinates between each holder and the one before it, for the first one those of the bin up to and with
+    it; upto is that number for the last holder. A task sees one bin, not a site."""
+    def count(t):
+        order = np.argsort(t["coord"].to_numpy(), kind="stable")
+        rank = t["rank"].to_numpy()[order]
+        # holders by level; the lower levels' holders before each one are found by merging their places
+        by_rank = np.argsort(rank, kind="stable")
+        ranks, first = np.unique(rank[by_rank], return_index=True)
+        place = dict(zip(ranks.tolist(), np.split(by_rank, first[1:]), strict=True))
+        out, explained = [], np.zeros(len(rank), np.int64)
+        for r in (x for x in ranks.tolist() if x > 0):
+            at = place[r]
+            upto = at + 1 - np.cumsum(explained)[at]
+            explained[at] = 1
+            gaps = np.diff(upto, prepend=0) - 1
+            gaps[0] = upto[0]
+            out.append((r, gaps, int(upto[-1])))
+        n = len(out)
+        return pa.table({
+            "site": pa.array([t["site"][0].as_py()] * n, t["site"].type), "bin": pa.array([t["bin"][0].as_py()] * n, pa.int64()), "rank": pa.array([r for r, *_ in out], pa.int32()),
+            "gaps": pa.array([g for _, g, _ in out], pa.list_(pa.int64())), "upto": pa.array([u for *_, u in out], pa.int64()),
+        })
+
+    rows = supports(df, ordered).select("site", F.floor(F.col("coord") / bins).cast("long").alias("bin"), "rank", "coord")
+    kind = df.schema["site"].dataType.simpleString()
+    return rows.groupBy("site", "bin").applyInArrow(count, f"site {kind}, bin long, rank int, gaps array<long>, upto long")
+
+
+def run_lengths(df: DataFrame, ordered: DataFrame, bins: int = BIN) -> DataFrame:
+    """(site, rank, seq, gap): unexplained coordinates between holders of each transmitted level. Bins are counted one by
+    one; prefix sums over a row for each bin and level join them exactly."""
+    runs = binned_runs(df, ordered, bins)
+    held = supports(df, ordered).groupBy("site", F.floor(F.col("coord") / bins).cast("long").alias("bin"), "rank").agg(F.count(F.lit(1)).alias("c"))
+    whole = held.groupBy("site", "bin").agg(F.sum("c").alias("all"))
+    grid = whole.join(F.broadcast(visits(ordered).select("site", F.col("rank").cast("int").alias("rank"))), "site")
+    grid = grid.join(held, ["site", "bin", "rank"], "left").withColumn("c", F.coalesce("c", F.lit(0)))
+    lower = Window.partitionBy("site", "bin").orderBy("rank").rowsBetween(Window.unboundedPreceding, -1)
+    grid = grid.withColumn("open", F.col("all") - F.coalesce(F.sum("c").over(lower), F.lit(0)))
+    before = Window.partitionBy("site", "rank").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
+    grid = grid.withColumns({"opened": F.coalesce(F.sum("open").over(before), F.lit(0)), "holders": F.coalesce(F.sum("c").over(before), F.lit(0))})
+    ends = grid.join(runs.select("site", "bin", "rank", "upto"), ["site", "bin", "rank"])
+    start = ends.withColumn("last", F.coalesce(F.max(F.col("opened") + F.col("upto")).over(before), F.lit(0)))
+    start = start.select("site", "bin", "rank", "holders", (F.col("opened") - F.col("last") - 1).alias("shift"))
+    each = runs.join(start, ["site", "bin", "rank"]).select("site", "rank", "holders", "shift", F.posexplode("gaps").alias("i", "gap"))
+    gap = F.when(F.col("i") == 0, F.col("gap") + F.col("shift")).otherwise(F.col("gap"))
+    return each.select("site", "rank", (F.col("holders") + F.col("i") + 1).cast("int").alias("seq"), gap.cast("long").alias("gap"))
 
 
 def gap_bits(df: DataFrame, ordered: DataFrame, rule: str = "optimal") -> DataFrame:
@@ -104,8 +145,12 @@ def symbol_bits(df: DataFrame, levels: int, form: str = "sparse") -> DataFrame:
     if form == "dense":
         one = elias_bits(mag + 1) + F.when(mag > 0, 1).otherwise(0)
         return df.groupBy("site").agg(F.sum(one).cast("long").alias("payload_bits"))
-    w = Window.partitionBy("site").orderBy("coord")
-    runs = df.filter("sym <> 0").withColumn("gap", F.col("coord") - F.lag("coord", 1, -1).over(w))
+    # the place before a bin's first one is the last of the bins before
+    some = df.filter("sym <> 0").withColumn("bin", F.floor(F.col("coord") / BIN))
+    last = some.groupBy("site", "bin").agg(F.max("coord").alias("top"))
+    last = last.select("site", "bin", F.lag("top", 1, -1).over(Window.partitionBy("site").orderBy("bin")).alias("top"))
+    inside = F.lag("coord", 1).over(Window.partitionBy("site", "bin").orderBy("coord"))
+    runs = some.withColumn("inside", inside).join(last, ["site", "bin"]).withColumn("gap", F.col("coord") - F.coalesce("inside", "top"))
     some = runs.groupBy("site").agg(F.sum(elias_bits(F.col("gap")) + 1 + elias_bits(mag)).cast("long").alias("payload_bits"))
     return df.select("site").distinct().join(some, "site", "left").withColumn("payload_bits", F.coalesce("payload_bits", F.lit(0)))
 

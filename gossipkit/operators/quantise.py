@@ -6,6 +6,8 @@ broadcast (as many rows as there are sites).
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -48,12 +50,12 @@ def restore(sym: Column, lo: Column, hi: Column, levels: int, d: Column, shrink:
     return F.when(sym == ZERO, 0.0).otherwise(value)
 
 
-def range_dither(df: DataFrame, levels: int, seed: int = 42, rnd: Column | int = 1, grid: str = "minmax", shrink: str = "outer", bounds: tuple[float, float] | None = None, keys: list[str] = ["site"]) -> DataFrame:  # noqa: B006
+def range_dither(df: DataFrame, levels: int, seed: int = 42, rnd: Column | int = 1, grid: str = "minmax", shrink: str = "outer", bounds: tuple[float, float] | None = None, keys: list[str] = ["site"], dither: Callable[..., Column] = uniform) -> DataFrame:  # noqa: B006
     """Range-dithered quantiser: adds lo, hi, d, sym and q."""
     df = with_range(df, keys, bounds)
     if grid == "centred":
         df = centred(df)
-    u = uniform(seed, rnd, F.col("site"), F.col("coord"))
+    u = dither(seed, rnd, F.col("site"), F.col("coord"))
     df = df.withColumn("sym", level(F.col("p"), F.col("lo"), F.col("hi"), levels, u))
     return df.withColumn("q", restore(F.col("sym"), F.col("lo"), F.col("hi"), levels, F.col("d"), shrink))
 
@@ -62,13 +64,13 @@ def norm_factor(levels: int, d: Column) -> Column:
     return 1 + F.least(d / float(levels * levels), F.sqrt(d) / float(levels))
 
 
-def norm_dither(df: DataFrame, levels: int, seed: int = 42, rnd: Column | int = 1, rescale: bool = True) -> DataFrame:
+def norm_dither(df: DataFrame, levels: int, seed: int = 42, rnd: Column | int = 1, rescale: bool = True, dither: Callable[..., Column] = uniform) -> DataFrame:
     """Norm-scaled stochastic quantiser: sign and random level of |p| / norm; adds norm, d, sym and q.
     The squares are rounded before the sum, so that its order does not matter."""
     sq = F.round(F.col("p") * F.col("p"), 12).cast("decimal(38,12)")
     stat = df.groupBy("site").agg(F.sqrt(F.sum(sq).cast("double")).alias("norm"), F.count(F.lit(1)).alias("d"))
     df = df.join(F.broadcast(stat), "site")
-    u = uniform(seed, rnd, F.col("site"), F.col("coord"))
+    u = dither(seed, rnd, F.col("site"), F.col("coord"))
     mag = F.when(F.col("norm") == 0, 0).otherwise(F.floor(levels * F.abs("p") / F.col("norm") + u))
     df = df.withColumn("sym", (F.signum("p") * mag).cast("int"))
     value = F.col("norm") * F.col("sym") / float(levels)
@@ -83,12 +85,18 @@ def _ranked(df: DataFrame, k: int, order: list[Column]) -> DataFrame:
     return df.withColumn("rank", rank).filter(F.col("rank") <= k)
 
 
+def kept_only(df: DataFrame, kept: DataFrame) -> DataFrame:
+    """df with q: the value where kept has the coordinate, else 0."""
+    return df.join(kept.select("site", "coord", "q"), ["site", "coord"], "left").withColumn("q", F.coalesce("q", F.lit(0.0)))
+
+
 def top_k(df: DataFrame, k: int) -> DataFrame:
     return _ranked(df, k, [F.abs("p").desc(), F.col("coord")]).withColumn("q", F.col("p"))
 
 
-def rand_k(df: DataFrame, k: int, seed: int = 42, rnd: int = 1) -> DataFrame:
-    return _ranked(df, k, [uniform("rand", seed, rnd, F.col("site"), F.col("coord")), F.col("coord")]).withColumn("q", F.col("p"))
+def rand_k(df: DataFrame, k: int, seed: int = 42, rnd: int = 1, label: str | None = "rand", dither: Callable[..., Column] = uniform) -> DataFrame:
+    key = [x for x in (label, seed, rnd) if x is not None]
+    return _ranked(df, k, [dither(*key, F.col("site"), F.col("coord")), F.col("coord")]).withColumn("q", F.col("p"))
 
 
 def rescale_unbiased(df: DataFrame, tau: float) -> DataFrame:

@@ -128,17 +128,38 @@ p AS (SELECT site, coord, z, round(z, 9) AS p, ('0x' || substr(md5('42/1/' || si
 ), rd AS (SELECT site, coord, z + 0.4 * (m - q) AS x, q AS y, z FROM qd JOIN mx USING (site, coord))"""
 
 
-def sent(name: str, src: str, label: str) -> str:
+def sent(name: str, src: str, label: str, rnd: int = 1) -> str:
     """Quantised values of src(site, coord, p) as name(site, coord, q), and their means over the ring as name_m."""
     return f"""{name}_r AS (SELECT site, min(p) AS lo, max(p) AS hi, count(*) AS d FROM {src} GROUP BY site), {name}_s AS (
   SELECT site, coord, lo, hi, d, CASE WHEN p = 0 THEN -1 WHEN hi = lo THEN 0
-    ELSE floor(least(greatest((p - lo) / (hi - lo), 0.0), 1.0) * 16 + ('0x' || substr(md5('{label}42/1/' || site || '/' || coord), 1, 8))::BIGINT / 4294967296.0)::INT END AS sym
+    ELSE floor(least(greatest((p - lo) / (hi - lo), 0.0), 1.0) * 16 + ('0x' || substr(md5('{label}42/{rnd}/' || site || '/' || coord), 1, 8))::BIGINT / 4294967296.0)::INT END AS sym
   FROM {src} JOIN {name}_r USING (site)
 ), {name} AS (SELECT site, coord, CASE WHEN sym = -1 THEN 0.0 ELSE 256.0 / (256 + d) * (lo + (hi - lo) * sym / 16.0) END AS q FROM {name}_s), {name}_m AS (
   SELECT d.site, d.coord, sum(s.q) / 3 AS m FROM {name} d JOIN {name} s ON s.coord = d.coord AND (s.site = d.site OR s.site = (d.site + 1) % 10 OR s.site = (d.site + 9) % 10) GROUP BY 1, 2
 )"""
 
 
+def round_after(t: int) -> str:
+    """s{t}(site, coord, x, y, z) from s{t - 1}: softmax gradients at each site's own model, then a round over the ring."""
+    b = t - 1
+    return f"""sc{t} AS (
+  SELECT sm.site, doc_id, any_value(label) AS label, s.coord % 4 AS class, sum(val * x) AS v FROM sm JOIN s{b} s ON s.site = sm.site AND s.coord // 4 = sm.feature GROUP BY 1, 2, 4
+), ex{t} AS (SELECT *, exp(v - max(v) OVER (PARTITION BY doc_id)) AS e FROM sc{t}),
+pr{t} AS (SELECT doc_id, class, e / sum(e) OVER (PARTITION BY doc_id) - (class = label)::INT AS miss FROM ex{t}),
+gr{t} AS (SELECT site, feature * 4 + class AS coord, sum(val * miss) / any_value(n_site) AS g FROM sm JOIN pr{t} USING (doc_id) JOIN ns USING (site) GROUP BY 1, 2),
+hf{t} AS (SELECT site, coord, y, x - 0.5 * coalesce(g, 0.0) AS h FROM s{b} LEFT JOIN gr{t} USING (site, coord)),
+zz{t} AS (SELECT site, coord, y, CASE WHEN abs(h) <= 0.0005 THEN 0.0 ELSE sign(h) * (abs(h) - 0.0005) END AS z FROM hf{t}),
+zp{t} AS (SELECT site, coord, round(z - y, 9) AS p FROM zz{t}), {sent(f"q{t}", f"zp{t}", "", t)},
+yn{t} AS (SELECT site, coord, z, y + q AS y FROM zz{t} JOIN q{t} USING (site, coord)),
+ym{t} AS (
+  SELECT d.site, d.coord, sum(s.y) / 3 AS m FROM yn{t} d JOIN yn{t} s ON s.coord = d.coord AND (s.site = d.site OR s.site = (d.site + 1) % 10 OR s.site = (d.site + 9) % 10) GROUP BY 1, 2
+), s{t} AS (SELECT site, coord, z + 0.4 * (m - y) AS x, y, z FROM yn{t} JOIN ym{t} USING (site, coord))"""
+
+
+GRID = "s0 AS (SELECT a::INT AS site, b AS coord, 0.0::DOUBLE AS x, 0.0::DOUBLE AS y FROM range(0, 10) AS q(a), range(0, 260) AS r(b))"
+THREE_ROUNDS = f"""WITH {LANGUAGE}, {GRID}, {round_after(1)}, {round_after(2)}, {round_after(3)}
+SELECT site, coord, round(x, 6) + 0.0 AS x, round(y, 6) + 0.0 AS y, round(z, 6) + 0.0 AS z FROM s3"""
+
 TRACKING = f"""WITH {LANGUAGE}, gr AS (
   SELECT site, feature * 4 + c AS coord, sum(val * (0.25 - (c = label)::INT)) / any_value(n_site) AS g FROM sm JOIN ns USING (site), range(0, 4) AS y(c) GROUP BY 1, 2
 ), gf AS (SELECT a::INT AS site, b AS coord, coalesce(g, 0.0) AS g FROM range(0, 10) AS x(a), range(0, 260) AS y(b) LEFT JOIN gr ON gr.site = a AND gr.coord = b),
@@ -272,6 +293,7 @@ WHERE ('0x' || substr(md5('batch/42/1/' || doc_id), 1, 8))::BIGINT / 4294967296.
 SELECT site, round(avg(l), 6) AS data_loss, round(any_value(r), 6) AS l1, round(avg(l) + any_value(r), 6) AS total FROM lo, l1 GROUP BY site""",
     "accuracy_fixed": f"{FIXED}, b AS (SELECT site, doc_id, any_value(label) AS label, arg_max(class, s) AS guess FROM sc GROUP BY 1, 2) SELECT site, round(avg((guess = label)::INT), 6) AS accuracy FROM b GROUP BY site",
     "tracking_round1": TRACKING,
+    "train_relational": THREE_ROUNDS,
     "stationarity_at_mean": round1() + """, mn AS (SELECT coord, avg(x) AS x FROM rd GROUP BY coord), sc AS (
   SELECT doc_id, coord % 4 AS class, sum(val * x) AS s FROM sm JOIN mn ON coord // 4 = feature GROUP BY 1, 2), ex AS (SELECT doc_id, class, exp(s) AS e FROM sc),
 pr AS (SELECT doc_id, class, e / sum(e) OVER (PARTITION BY doc_id) AS pr FROM ex), gs AS (

@@ -16,6 +16,8 @@ from .engine import Engine
 
 #: Values of all sites' models that the driver holds and broadcasts; beyond it use plans.relational.
 MAX_STATE = 1 << 24
+#: Partial gradients of a site that one task adds up.
+FAN, TASK_BYTES = 64, 32 << 20
 #: Feature values that a sweep ships to every task.
 MAX_SWEEP = 1 << 26
 TRACE = (
@@ -42,8 +44,9 @@ def dense(idx: list, val: list, features: int) -> np.ndarray:
 
 
 def site_gradients(samples: DataFrame, x: np.ndarray, loss, features: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Per site: mean gradient, mean loss and number of its rows in samples. A task sums its rows per site, the sums
-    meet by site in a second stage, and the driver gets one row a site."""
+    """Per site: mean gradient, mean loss and number of its rows in samples. A task sums its rows per site; the sums meet by
+    site and salt and then by site, so that no task holds more than FAN gradients of a site at once, however many
+    tasks there were, and the driver gets one row a site."""
     size = x.shape[1]
     model = samples.sparkSession.sparkContext.broadcast(x)
 
@@ -61,11 +64,17 @@ def site_gradients(samples: DataFrame, x: np.ndarray, loss, features: int) -> tu
         yield _sums([(s, *a) for s, a in total.items()])
 
     def add(t):
-        g = np.stack([np.asarray(v.values) for v in t["grad"]])
-        return pa.Table.from_batches([_sums([(t["site"][0].as_py(), sum(t["n"].to_pylist()), sum(t["loss"].to_pylist()), g.sum(0))])])
+        g = np.zeros(size)
+        for v in t["grad"]:
+            g += np.asarray(v.values)
+        return pa.Table.from_batches([_sums([(t["site"][0].as_py(), sum(t["n"].to_pylist()), sum(t["loss"].to_pylist()), g)])])
 
     schema = "site int, n long, loss double, grad array<double>"
-    rows = samples.select("site", "label", "idx", "val").mapInArrow(partial, schema).groupBy("site").applyInArrow(add, schema).collect()
+    sums = samples.select("site", "label", "idx", "val").mapInArrow(partial, schema)
+    # input for more than about FAN tasks is summed in two levels
+    if int(str(samples._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())) > FAN * TASK_BYTES:
+        sums = sums.withColumn("salt", F.floor(F.spark_partition_id() / F.lit(FAN))).groupBy("site", "salt").applyInArrow(add, schema)
+    rows = sums.groupBy("site").applyInArrow(add, schema).collect()
     grad, value, count = np.zeros_like(x), np.zeros(len(x)), np.zeros(len(x), np.int64)
     for r in rows:
         count[r.site], value[r.site], grad[r.site] = r.n, r.loss / r.n, np.array(r.grad) / r.n

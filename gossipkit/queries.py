@@ -440,17 +440,29 @@ def train_language(spark, d):
     return trainers.train(stored, topology.matrix(topology.ring(spark, SITES)), replace(CFG, dither="fast", rounds=12, eval_every=6, eta=1.0)).trace
 
 
-def train_relational(spark, d):
-    """Three rounds in the coordinate layout, gradients as joins."""
-    rows = language_rows(spark, d)
-    stored = relational.cut(rows, "rows")
+def relational_task(spark, d):
+    """(grid of sites and coordinates, gradient) of the language task as joins over stored samples."""
+    stored = relational.cut(language_rows(spark, d), "rows")
     grid = spark.range(SITES).select(F.col("id").cast("int").alias("site"), F.explode(F.sequence(F.lit(0), F.lit(65 * CLASSES - 1))).alias("coord"))
+    return grid, lambda x, t: site_softmax(stored, x)
 
-    def gradient(x, t):
-        return site_softmax(stored, x)
 
-    out = relational.run(relational.start(grid), gradient, topology.ring(spark, SITES), replace(CFG, rounds=3))
-    return measures.zero_share(out).join(out.groupBy("site").agg(F.sum(F.abs("x")).alias("l1")), "site")
+def train_relational(spark, d):
+    """Three rounds in the coordinate layout, gradients as joins."""
+    grid, gradient = relational_task(spark, d)
+    out = relational.run(relational.start(grid), gradient, topology.ring(spark, SITES), replace(CFG, rounds=3), decimals=9)
+    return out.select("site", "coord", *(r6(F.col(c)).alias(c) for c in ("x", "y", "z")))
+
+
+def relational_trace(spark, d):
+    """Bits, messages and measures of two rounds in the coordinate layout, for methods and compressors."""
+    grid, gradient = relational_task(spark, d)
+    ring, out = topology.ring(spark, SITES), None
+    changes = {"sparse_range_levelset": {}, "tracking_range_levelset": {"method": "tracking"}, "topk_index": {"compressor": "topk", "coder": "index", "gamma": 0.05}}
+    for name, change in changes.items():
+        trace = relational.run_traced(relational.start(grid), gradient, ring, replace(CFG, rounds=2, dither="fast", **change))[1].withColumn("run_id", F.lit(name))
+        out = trace if out is None else out.unionByName(trace)
+    return out
 
 
 def site_softmax(rows, x):
@@ -509,7 +521,7 @@ QUERIES = {
     "consensus_violation_round1": consensus_violation_round1, "zero_share_round1": zero_share_round1, "support_overlap_round1": support_overlap_round1, "hashed_words": hashed_words,
     "cumulative_bits": cumulative_bits, "bits_to_cutoff": bits_to_cutoff, "bit_saving": bit_saving, "rate_slope": rate_slope, "moving_accuracy": moving_accuracy, "table_r_rollup": table_r_rollup,
     "laplace_fit": laplace_fit, "rate_curves": rate_curves, "stationarity_bound": stationarity_bound, "event_windows": event_windows, "event_sessions": event_sessions,
-    "train_language": train_language, "train_relational": train_relational, "train_tabular": planted_training, "quality_runs": quality_runs, "language_net": language_net,
+    "train_language": train_language, "train_relational": train_relational, "relational_trace": relational_trace, "train_tabular": planted_training, "quality_runs": quality_runs, "language_net": language_net,
     "table_r": W.table_r, "language_targets": lambda s, d: W.targets(W.language_traces(s, d)), "language_curves": lambda s, d: W.language_traces(s, d).filter("accuracy IS NOT NULL"),
     "method_savings": W.method_savings, "tuned_targets": W.tuned_targets, "mu_sweep": W.mu_sweep, "level_sweep": W.level_sweep, "speedup": W.speedup, "rate_slopes": W.rate_slopes, "other_compressors": W.other_compressors,
     "levelset_block_bits": levelset_block_bits, "levelset_messages": levelset_messages, "nation_components": nation_components, "average_consensus_compressed": average_consensus_compressed,

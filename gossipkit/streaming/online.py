@@ -25,16 +25,19 @@ def train_online(stream: DataFrame, w: np.ndarray, cfg: GossipConfig, path: str,
     """Starts a query over samples (site, label, idx, val); states are under path by round."""
     model = LOSSES[loss](features, classes)
     cfg = replace(cfg, batch=None)
+    # tracking goes on from its tracker, the tracker's replica and the last gradient
+    kept = ["x", "y", "track", "track_y", "last"] if cfg.method == "tracking" else ["x", "y"]
 
     def one(batch: DataFrame, t: int) -> None:
         spark, engine = batch.sparkSession, Engine(cfg, w, model.size, model.start())
         if t:
             rows = load_state(spark, path, run_id, t - 1).orderBy("site").collect()
-            engine.x, engine.y = (np.array([r[k] for r in rows]) for k in ("x", "y"))
+            for k in kept:
+                setattr(engine, k, np.array([r[k] for r in rows]))
         engine.t = t
         trace = engine.round(lambda x, _: site_gradients(batch, x, model, features)[0])
-        state = [(i, engine.x[i].tolist(), engine.y[i].tolist(), trace["link_bits"]) for i in range(len(w))]
-        save_state(spark.createDataFrame(state, "site int, x array<double>, y array<double>, link_bits long"), path, run_id, t)
+        state = [(i, *(getattr(engine, k)[i].tolist() for k in kept), trace["link_bits"]) for i in range(len(w))]
+        save_state(spark.createDataFrame(state, "site int, " + "".join(f"{k} array<double>, " for k in kept) + "link_bits long"), path, run_id, t)
 
     return stream.writeStream.foreachBatch(one).option("checkpointLocation", f"{path}/checkpoint").trigger(availableNow=True).start()
 

@@ -77,3 +77,25 @@ def test_soft_threshold_is_the_proximal_map(spark):
     for h in (-2.0, -0.3, 0.0, 0.2, 1.7):
         got = spark.range(1).select(soft_threshold(F.lit(h), 0.5).alias("z")).first().z
         assert abs(got - grid[np.argmin((grid - h) ** 2 / 2 + 0.5 * np.abs(grid))]) < 2e-4
+
+
+def test_runs_by_bins(spark):
+    """However the coordinates are cut into bins, the runs are those of the whole vector."""
+    rng = np.random.default_rng(5)
+    rows = [(site, int(c), int(v)) for site in range(3) for c, v in enumerate(rng.choice([-1, 0, 1, 2, 3, 4], 500, p=[0.5, 0.05, 0.2, 0.15, 0.05, 0.05])) if rng.random() < 0.9]
+    df = spark.createDataFrame(rows, "site int, coord long, sym int")
+    ordered = levelset.level_order(levelset.type_vector(df, 4))
+    plain, rank = {}, {(r.site, r.sym): r.rank for r in ordered.collect()}
+    for site in range(3):
+        seen = [rank[s, v] for s, _, v in sorted(rows) if s == site]
+        for r in sorted({x for x in seen if x}):
+            open_, n, seq = [x for x in seen if x == 0 or x >= r], 0, 0
+            for x in open_:
+                n += 1
+                if x == r:
+                    seq += 1
+                    plain[site, r, seq] = n - 1
+                    n = 0
+    for bins in (7, 100, 1 << 16):
+        got = {(r.site, r.rank, r.seq): r.gap for r in levelset.run_lengths(df, ordered, bins).collect()}
+        assert got == plain

@@ -83,6 +83,42 @@ def test_relational_rounds_equal_the_engine(spark):
         assert np.allclose(got, e.x, atol=1e-9)
 
 
+SETTINGS = [
+    {}, {"method": "plain", "grid": "centred"}, {"method": "tracking"}, {"method": "exact", "compressor": "identity", "coder": "raw"}, {"compressor": "norm", "coder": "symbol", "levels": 4},
+    {"compressor": "topk", "coder": "index", "keep": 3, "gamma": 0.1}, {"compressor": "randk", "coder": "index", "keep": 3, "gamma": 0.1}, {"method": "dsgd"}, {"method": "local"}, {"coder": "raw"},
+]
+
+
+@pytest.mark.parametrize("change", SETTINGS, ids=lambda c: "-".join(map(str, c.values())) or "sparse")
+def test_relational_traces_equal_the_engine(spark, change):
+    """All methods and compressors: models, bits over all links and measures, round by round."""
+    n, d, rng = 4, 20, np.random.default_rng(8)
+    cfg = GossipConfig(**({"sites": n, "rounds": 2, "dither": "md5", "mu": 0.01, "eta": 0.5, "levels": 8} | change))
+    target = rng.normal(size=(n, d))
+    e = Engine(cfg, ring(n), d)
+    want = [e.round(lambda x, t: x - target) for _ in range(2)]
+    goal = spark.createDataFrame([(i, j, float(target[i, j])) for i in range(n) for j in range(d)], "site int, coord int, goal double").cache()
+    grads = lambda x, t: x.join(goal, ["site", "coord"]).select("site", "coord", (F.col("x") - F.col("goal")).alias("g"))
+    state, trace = relational.run_traced(relational.start(goal), grads, topology.ring(spark, n), cfg)
+    got = np.zeros((n, d))
+    for r in state.collect():
+        got[r.site, r.coord] = r.x
+    assert np.allclose(got, e.x, atol=1e-9)
+    for r, w in zip(trace.orderBy("round").collect(), want, strict=True):
+        assert (r.messages, r.payload_bits, r.link_bits) == (w["messages"], w["payload_bits"], w["link_bits"])
+        assert abs(r.stationarity - w["stationarity"]) < 1e-6 and abs(r.consensus - w["consensus"]) < 1e-6 and abs(r.zero_share - w["zero_share"]) < 1e-9
+
+
+def test_relational_run_stops_at_the_cutoff(spark):
+    cfg = GossipConfig(sites=4, rounds=9, dither="fast", eta=0.5)
+    grads = lambda x, t: x.select("site", "coord", (F.col("x") - 1).alias("g"))
+    grid = spark.range(4).select(F.col("id").cast("int").alias("site"), F.explode(F.sequence(F.lit(0), F.lit(9))).alias("coord"))
+    far = lambda s: -s.agg(F.max(F.abs(F.col("x") - 1))).first()[0]
+    state, trace = relational.run_traced(relational.start(grid), grads, None, cfg, far, -0.3)
+    rows = trace.orderBy("round").collect()
+    assert 1 < len(rows) < 9 and rows[-1].measure >= -0.3 > rows[-2].measure and state.count() == 40
+
+
 def test_uniform_mean_rewrite(spark):
     v = spark.createDataFrame([(i, j, float(i * j)) for i in range(5) for j in range(3)], "site int, coord int, y double")
     a = relational.neighbour_mean(v, topology.fully_connected(spark, 5)).select("site", "coord", F.round("mixed", 9))
@@ -138,7 +174,8 @@ def test_bound_falls_with_rounds_and_sites():
     assert b(100, 10) > b(10000, 10) > b(10000, 40)
 
 
-def test_stream_equals_batch(spark, tmp_path):
+@pytest.mark.parametrize("method", ["sparse", "tracking"])
+def test_stream_equals_batch(spark, tmp_path, method):
     """Rounds fed as micro-batches give the models of the same rounds in a loop."""
     from gossipkit.sources.tables import load_state
     from gossipkit.streaming.online import train_online
@@ -148,7 +185,7 @@ def test_stream_equals_batch(spark, tmp_path):
     parts = [s.filter(F.col("idx").isNotNull()).limit(n) for n in (150, 250)]
     for i, p in enumerate(parts):
         p.coalesce(1).write.parquet(str(tmp_path / f"in/{i}"))
-    cfg = GossipConfig(sites=4, rounds=2, batch=None)
+    cfg = GossipConfig(sites=4, rounds=2, batch=None, method=method)
     stream = spark.readStream.schema(s.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", True).parquet(str(tmp_path / "in"))
     train_online(stream, ring(4), cfg, str(tmp_path / "out"), "logistic", 21, 2).awaitTermination()
     loss = LOSSES["logistic"](21, 2)
