@@ -24,6 +24,7 @@ from pyspark.sql import functions as F
 
 SAMPLE_DOCS, DOC_SYMBOLS, BLOCK = 64, 1024, 256
 SPACE, LANES = 0, 1 << 16
+POINTS = 0x110000
 
 
 def held_out(key: Column) -> Column:
@@ -54,21 +55,21 @@ def letter(p: np.ndarray) -> np.ndarray:
     """Whether each code point is a letter."""
     global _letters
     if _letters is None:
-        _letters = np.fromiter((chr(c).isalpha() for c in range(0x30000)), bool, 0x30000)
-    return _letters[np.minimum(p, 0x2FFFF)]
+        _letters = np.fromiter((chr(c).isalpha() for c in range(POINTS)), bool, POINTS)
+    return _letters[np.minimum(p, POINTS - 1)]
 
 
 class Symbols:
     def __init__(self, samples: dict[str, list[str]]):
         seen = np.unique(np.concatenate([points("".join(t)) for t in samples.values()] or [np.zeros(0, "<u4")]))
         known = seen[letter(seen)]
-        self.of = np.full(0x30000, len(known) + 1, np.uint16)  # a letter of no sample
-        self.of[~letter(np.arange(0x30000))] = SPACE
+        self.of = np.full(POINTS, len(known) + 1, np.uint16)  # a letter of no sample
+        self.of[~letter(np.arange(POINTS))] = SPACE
         self.of[known] = np.arange(1, len(known) + 1)
         self.n = len(known) + 2
 
     def __call__(self, text: str) -> np.ndarray:
-        s = self.of[np.minimum(points(text), 0x2FFFF)]
+        s = self.of[np.minimum(points(text), POINTS - 1)]
         keep = s != SPACE
         keep[1:] |= s[:-1] != SPACE
         return s[keep]

@@ -206,6 +206,7 @@ def test_language(spark, sf):
     assert np.mean([r.lang_pred == r.lang for r in held]) > 0.98
     odd = {r.doc_id: r.lang_pred for r in langid.identify(frame(spark, ODD + ["1234 !!"]), samples).collect()}
     assert odd[0] == odd[1] == odd[2] == odd[len(ODD)] == "und" and odd[3] != "und"
+    assert langid.identify(frame(spark, [chr(0x30001) * 3, chr(0x1F600)]), samples).orderBy("doc_id").collect()[0].lang_pred != "und"  # a letter of the third plane
     assert langid.identify(frame(spark, ["word"]), {}).first().lang_pred == "und"
     assert langid.identify(frame(spark, []), samples).count() == 0
 
