@@ -26,14 +26,20 @@ def type_vector(df: DataFrame, levels: int) -> DataFrame:
     return sites.join(counted, ["site", "sym"], "left").withColumn("cnt", F.coalesce("cnt", F.lit(0)))
 
 
-def level_order(types: DataFrame, order: str = "frequency") -> DataFrame:
-    """Adds rank: 0 is the most frequent symbol, ties by symbol; order 'natural' visits the others as they are numbered."""
+def level_order(types: DataFrame, order: str = "frequency", implied: str = "dominant") -> DataFrame:
+    """Adds rank, the order in which symbols are sent; rank 0 is implied and not sent. Order 'frequency' visits by falling
+    count, ties by symbol, 'natural' as symbols are numbered. Implied is the 'dominant' symbol, the 'last' one visited
+    that occurs, or 'none'."""
     w = Window.partitionBy("site")
-    ranked = types.withColumn("rank", F.row_number().over(w.orderBy(F.col("cnt").desc(), "sym")) - 1)
-    if order == "natural":
-        first = F.when(F.col("rank") == 0, -2).otherwise(F.col("sym"))
-        ranked = ranked.withColumn("rank", F.row_number().over(w.orderBy(first)) - 1)
-    return ranked
+    falling, plain = [F.col("cnt").desc(), F.col("sym")], [F.col("sym")]
+    visited = falling if order == "frequency" else plain
+    if implied == "none":
+        return types.withColumn("rank", F.row_number().over(w.orderBy(*visited)))
+    held = F.col("cnt") > 0
+    first = {"dominant": falling, "last": [held.desc(), *(c.desc() for c in ([F.col("sym")] if order == "natural" else [-F.col("cnt"), F.col("sym")]))]}[implied]
+    # the implied symbol goes first, the others keep their order
+    ranked = types.withColumn("_first", F.row_number().over(w.orderBy(*first)) == 1)
+    return ranked.withColumn("rank", F.row_number().over(w.orderBy(F.col("_first").desc(), *visited)) - 1).drop("_first")
 
 
 def visits(ordered: DataFrame) -> DataFrame:
@@ -106,11 +112,13 @@ def gap_bits(df: DataFrame, ordered: DataFrame, rule: str = "optimal") -> DataFr
     return runs.groupBy("site", "rank", "sym", "m").agg(F.count(F.lit(1)).alias("runs"), F.sum(golomb_bits(F.col("gap"), F.col("m"))).cast("long").alias("bits"))
 
 
-def bits(df: DataFrame, levels: int, elias: str = "gamma", rule: str = "optimal", order: str = "frequency") -> DataFrame:
+def bits(
+    df: DataFrame, levels: int, elias: str = "gamma", rule: str = "optimal", order: str = "frequency", implied: str = "dominant"
+) -> DataFrame:
     """(site, type_bits, gap_bits, header_bits, total_bits) of each site's message."""
     types = type_vector(df, levels)
     head = types.groupBy("site").agg(F.sum(elias_bits(F.col("cnt") + 1, elias)).cast("long").alias("type_bits"))
-    gaps = gap_bits(df, level_order(types, order), rule).groupBy("site").agg(F.sum("bits").alias("gap_bits"))
+    gaps = gap_bits(df, level_order(types, order, implied), rule).groupBy("site").agg(F.sum("bits").alias("gap_bits"))
     out = head.join(gaps, "site", "left").withColumns({"gap_bits": F.coalesce("gap_bits", F.lit(0)), "header_bits": F.lit(HEADER_BITS).cast("long")})
     return out.withColumn("total_bits", F.col("type_bits") + F.col("gap_bits") + F.col("header_bits"))
 
@@ -169,6 +177,37 @@ def index_value_bits(d: int, k: int) -> int:
     return k * (max((d - 1).bit_length(), 1) + 32)
 
 
+def kept_bits(kept: DataFrame, sizes: DataFrame) -> DataFrame:
+    """(site, kept, payload_bits) of the kept coordinates (site, coord) of vectors of sizes (site, d)."""
+    n = kept.groupBy("site").agg(F.count(F.lit(1)).alias("kept"))
+    place = F.length(F.bin(F.col("d") - 1))
+    return n.join(F.broadcast(sizes.select("site", "d")), "site").select("site", "kept", (F.col("kept") * (place + 32)).alias("payload_bits"))
+
+
+def symbol_messages(df: DataFrame, block: int, form: str = "sparse") -> DataFrame:
+    """(site, block, body): real symbol-wise messages of rows (site, coord, sym, norm), one a block of coordinates."""
+    def send(t):
+        order = np.argsort(t["coord"].to_numpy(), kind="stable")
+        body = codec.symbol_encode(t["sym"].to_numpy()[order], t["norm"][0].as_py(), form)
+        return pa.table({"site": t["site"].slice(0, 1), "block": t["block"].slice(0, 1), "body": pa.array([body], pa.binary())})
+
+    rows = df.select("site", F.floor(F.col("coord") / block).cast("long").alias("block"), "coord", "sym", "norm")
+    return rows.groupBy("site", "block").applyInArrow(send, "site int, block long, body binary")
+
+
+def symbols_received(sent: DataFrame, block: int, form: str = "sparse") -> DataFrame:
+    """(site, coord, sym, norm) of symbol-wise messages over coordinates from 0 on without holes."""
+    def read(batches):
+        for t in batches:
+            for site, at, body in zip(t["site"].to_pylist(), t["block"].to_pylist(), t["body"].to_pylist(), strict=True):
+                sym, norm = codec.symbol_decode(body, form)
+                n = len(sym)
+                columns = [np.full(n, site, np.int32), np.arange(n) + at * block, sym.astype(np.int32), np.full(n, norm)]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["site", "coord", "sym", "norm"])
+
+    return sent.mapInArrow(read, "site int, coord long, sym int, norm double")
+
+
 def by_block(df: DataFrame, block: int) -> DataFrame:
     """Symbols with site and block of coordinates as their vector: blocks are coded one by one, so no site's symbols meet
     in one task, at the price of a type vector for each block."""

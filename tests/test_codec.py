@@ -99,3 +99,29 @@ def test_runs_by_bins(spark):
     for bins in (7, 100, 1 << 16):
         got = {(r.site, r.rank, r.seq): r.gap for r in levelset.run_lengths(df, ordered, bins).collect()}
         assert got == plain
+
+
+@settings(max_examples=60, deadline=None)
+@given(st.lists(st.integers(-1, 9), min_size=1, max_size=200), st.sampled_from(["dominant", "last", "none"]))
+def test_implied_levels(raw, implied):
+    sym = np.array(raw)
+    body = codec.encode(sym, 9, implied=implied)
+    assert (codec.decode(body, implied=implied)[0] == sym).all()
+    assert len(body) == codec.HEADER.size + -(-codec.message_bits(sym, 9, implied) // 8)
+
+
+@settings(max_examples=60, deadline=None)
+@given(st.lists(st.integers(-20, 20), max_size=200), st.sampled_from(["sparse", "dense"]))
+def test_symbol_messages(raw, form):
+    back, norm = codec.symbol_decode(codec.symbol_encode(np.array(raw, np.int64), 1.5, form), form)
+    assert back.tolist() == raw and norm == 1.5
+
+
+def test_implied_levels_relational(spark):
+    """The relational lengths of each variant are those of the messages."""
+    rng = np.random.default_rng(8)
+    vectors = [rng.choice([-1, 0, 2, 3], 400, p=[0.5, 0.3, 0.15, 0.05]), np.full(9, 2), np.arange(-1, 5)]
+    df = spark.createDataFrame([(i, c, int(v)) for i, sym in enumerate(vectors) for c, v in enumerate(sym)], "site int, coord int, sym int")
+    for implied in ("dominant", "last", "none"):
+        got = {r.site: r.type_bits + r.gap_bits for r in levelset.bits(df, 4, implied=implied).collect()}
+        assert got == {i: codec.message_bits(sym, 4, implied) for i, sym in enumerate(vectors)}
