@@ -65,6 +65,42 @@ def laplace_fit(df: DataFrame, bins: int = 1024) -> DataFrame:
     return binned.join(head, ["site", "bin"]).withColumn("k", F.abs(cdf - own)).groupBy("site").agg(F.first("rho").alias("rho"), F.max("k").alias("ks"))
 
 
+def histogram(df: DataFrame, col: str = "p", bins: int = 20) -> DataFrame:
+    """(site, bin, n): counts in equal bins 1..bins of a site's own range; the top value falls in the last bin, and all
+    values in bin 1 where the range is a point."""
+    ends = df.groupBy("site").agg(F.min(col).alias("lo"), F.max(col).alias("hi"))
+    bin_ = F.when(F.col("hi") > F.col("lo"), F.least(F.width_bucket(F.col(col), F.col("lo"), F.col("hi"), F.lit(bins)), F.lit(bins))).otherwise(1)
+    return df.join(F.broadcast(ends), "site").groupBy("site", bin_.cast("int").alias("bin")).agg(F.count(F.lit(1)).alias("n"))
+
+
+def quantiles(df: DataFrame, probs: list[float], col: str = "p", bins: int = 4096) -> DataFrame:
+    """(site, prob, value): the least value whose share of values up to it reaches prob, exact.
+
+    Equal values are counted first; counts by bins of a site's range name the bin that holds each quantile, and only that
+    bin's distinct values are put in order."""
+    per = df.groupBy("site", F.col(col).alias("v")).agg(F.count(F.lit(1)).alias("n"))
+    ends = per.groupBy("site").agg(F.min("v").alias("lo"), F.max("v").alias("hi"), F.sum("n").alias("all"))
+    place = F.when(F.col("hi") > F.col("lo"), F.floor((F.col("v") - F.col("lo")) / (F.col("hi") - F.col("lo")) * bins)).otherwise(0)
+    binned = per.join(F.broadcast(ends), "site").withColumn("bin", place)
+    w = Window.partitionBy("site").orderBy("bin")
+    head = binned.groupBy("site", "bin").agg(F.sum("n").alias("here"), F.first("all").alias("all"))
+    head = head.withColumn("upto", F.sum("here").over(w.rowsBetween(Window.unboundedPreceding, 0)))
+    head = head.withColumn("prob", F.explode(F.array(*map(F.lit, probs))))
+    share = F.col("upto") / F.col("all")
+    before = (F.col("upto") - F.col("here")) / F.col("all")
+    goal = head.filter((share >= F.col("prob")) & ((before < F.col("prob")) | (F.col("upto") == F.col("here"))))
+    goal = goal.select("site", "bin", "prob", (F.col("upto") - F.col("here")).alias("before"))
+    inside = Window.partitionBy("site", "prob").orderBy("v").rowsBetween(Window.unboundedPreceding, 0)
+    rows = binned.join(F.broadcast(goal), ["site", "bin"]).withColumn("share", (F.col("before") + F.sum("n").over(inside)) / F.col("all"))
+    return rows.filter(F.col("share") >= F.col("prob")).groupBy("site", "prob").agg(F.min("v").alias("value"))
+
+
+def quantiles_approx(df: DataFrame, probs: list[float], col: str = "p", accuracy: int = 10000) -> DataFrame:
+    """The same from a digest of bounded size; ranks are off by at most 1 / accuracy of the values."""
+    per = df.groupBy("site").agg(F.percentile_approx(col, probs, accuracy).alias("value"))
+    return per.select("site", F.explode(F.arrays_zip(F.array(*map(F.lit, probs)).alias("prob"), "value")).alias("r")).select("site", "r.prob", "r.value")
+
+
 def cumulative(trace: DataFrame, bits: str = "bits") -> DataFrame:
     w = Window.partitionBy("run_id").orderBy("round").rowsBetween(Window.unboundedPreceding, 0)
     return trace.withColumn("cum_bits", F.sum(bits).over(w))

@@ -99,7 +99,7 @@ def rand_k(df: DataFrame, k: int, seed: int = 42, rnd: int = 1, label: str | Non
     return _ranked(df, k, [dither(*key, F.col("site"), F.col("coord")), F.col("coord")]).withColumn("q", F.col("p"))
 
 
-def rescale_unbiased(df: DataFrame, tau: float) -> DataFrame:
+def rescale_unbiased(df: DataFrame, tau: Column | float) -> DataFrame:
     """An unbiased operator becomes a contraction after division by its variance factor."""
     return df.withColumn("q", F.col("q") / tau)
 

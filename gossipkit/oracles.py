@@ -197,7 +197,71 @@ STATIONARITY = """WITH g AS (SELECT T, n FROM (SELECT unnest([100, 10000, 100000
 c AS (SELECT T::BIGINT AS rounds, n::BIGINT AS sites, (1 - 0.87268::DOUBLE) ** 2 / (82 * (1 + 1028 / 256.0::DOUBLE)) AS o, sqrt(2.0::DOUBLE + 1.0 + 1e-6::DOUBLE * 1028) AS a FROM g)
 SELECT rounds, sites, round(2 * sqrt(1.4::DOUBLE * (0.5 + 4 * 1e-6::DOUBLE * 1028 + a) / ((rounds + 1) * sites * o)) + 7 * (a * 1.4::DOUBLE / ((rounds + 1) * o)) ** (2.0::DOUBLE / 3) + 16 * 1.4::DOUBLE / (rounds + 1), 6) AS bound FROM c"""
 
+
+
+def implied(kind: str) -> str:
+    """Gap bits of each site with the given level implied; levels are sent by falling count."""
+    held = "(cnt > 0)::INT"
+    first = "NULL" if kind == "none" else "row_number() OVER (PARTITION BY site ORDER BY cnt DESC, sym) = 1"
+    if kind == "last":
+        first = f"row_number() OVER (PARTITION BY site ORDER BY {held} DESC, cnt, sym DESC) = 1"
+    base = 0 if kind == "none" else 1
+    return f"""SELECT site, '{kind}' AS implied, sum(bits)::BIGINT AS gap_bits FROM (WITH {TYPES}, f AS (SELECT *, {first} AS first FROM ty),
+o AS (SELECT site, sym, cnt, row_number() OVER (PARTITION BY site ORDER BY coalesce(first, false) DESC, cnt DESC, sym) - {base} AS rank FROM f), {runs()}
+SELECT site, bits FROM cost) GROUP BY site"""
+
+
+LINES = """
+sold AS (SELECT (l_suppkey % 10)::INT AS site, l_partkey AS coord, sum(l_quantity) AS s FROM lineitem GROUP BY 1, 2),
+grid AS (SELECT a::INT AS site, p_partkey AS coord FROM part, range(0, 10) AS x(a)),
+e AS (SELECT site, coord, coalesce(s - 25.0, 0.0)::DOUBLE AS p FROM grid LEFT JOIN sold USING (site, coord)),
+r AS (SELECT site, coord, CASE WHEN abs(p) <= 5 THEN 0.0 ELSE sign(p) * (abs(p) - 5) END AS p FROM e),
+k AS (SELECT site, coord, p, ('0x' || substr(md5('42/1/' || site || '/' || coord), 1, 8))::BIGINT / 4294967296.0 AS u FROM r)
+"""
+
+
+def line_bits(levels: int) -> str:
+    order = ORDER.replace(EMB, LINES).replace("* 16 + u", f"* {levels} + u").replace("range(-1, 17)", f"range(-1, {levels + 1})")
+    return f"""SELECT site, {levels}::INT AS levels, type_bits, gap_bits FROM (WITH {order}, {runs()},
+hd AS (SELECT site, sum({gamma('(cnt + 1)')})::BIGINT AS type_bits FROM ty GROUP BY site), gp AS (SELECT site, sum(bits)::BIGINT AS gap_bits FROM cost GROUP BY site)
+SELECT site, type_bits, coalesce(gap_bits, 0)::BIGINT AS gap_bits FROM hd LEFT JOIN gp USING (site))"""
+
+
+PAIRS = """SELECT a.user_id, count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'purchase'
+  AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 DAY
+GROUP BY a.user_id"""
+
 ORACLES = {
+    "levelset_implied_bits": " UNION ALL ".join(map(implied, ("dominant", "last", "none"))),
+    "levelset_encode_bytes": f"""WITH {ORDER}, {runs()}, hd AS (SELECT site, sum({gamma('(cnt + 1)')})::BIGINT AS t FROM ty GROUP BY site),
+gp AS (SELECT site, sum(bits)::BIGINT AS g FROM cost GROUP BY site)
+SELECT site, t + g AS bits, t + g AS relational_bits, (14 + (t + g + 7) // 8)::BIGINT AS bytes, true AS equal FROM hd JOIN gp USING (site)""",
+    "symbol_messages": f"""WITH {NORM}, gs AS (
+  SELECT site, coord // 1024 AS b, abs(sym) AS m, coord - coalesce(lag(coord) OVER (PARTITION BY site, coord // 1024 ORDER BY coord), coord // 1024 * 1024 - 1) AS gap
+  FROM ns WHERE sym <> 0
+), bl AS (SELECT DISTINCT site, coord // 1024 AS b FROM ns), cs AS (SELECT site, b, count(*) AS c, sum({gamma('gap')} + 1 + {gamma('m')}) AS t FROM gs GROUP BY 1, 2),
+pb AS (SELECT site, sum(8 + ({gamma('(coalesce(c, 0) + 1)')} + coalesce(t, 0) + 7) // 8)::BIGINT AS bytes FROM bl LEFT JOIN cs USING (site, b) GROUP BY site)
+SELECT site, count(*) AS n, 0::BIGINT AS wrong, any_value(bytes) AS bytes FROM ns JOIN pb USING (site) GROUP BY site""",
+    "index_value_bits": f"""WITH {EMB}, z AS (SELECT site, count(*) AS d FROM r GROUP BY site)
+SELECT site, least(d, 50)::BIGINT AS kept, (least(d, 50) * (length(bin(d - 1)) + 32))::BIGINT AS payload_bits FROM z""",
+    "norm_values": f"""WITH {NORM}, v AS (SELECT site, coord, norm * sym / 16.0::DOUBLE AS q, 1 + least(d / 256.0::DOUBLE, sqrt(d) / 16.0::DOUBLE) AS tau FROM ns)
+SELECT site, coord, round(q, 6) + 0.0 AS unbiased, round(q / tau, 6) + 0.0 AS rescaled FROM v""",
+    "residual_quantiles": f"""WITH {EMB}, c AS (SELECT site, abs(p) AS v, cume_dist() OVER (PARTITION BY site ORDER BY abs(p)) AS f FROM r)
+SELECT site, prob, round(min(v), 6) + 0.0 AS value FROM c, (SELECT unnest([0.5, 0.9, 0.99, 1.0])::DOUBLE AS prob) WHERE f >= prob GROUP BY 1, 2""",
+    "residual_histogram": f"""WITH {EMB}, {STAT}, b AS (SELECT site, CASE WHEN hi > lo THEN least(floor(20 * ((p - lo) / (hi - lo))) + 1, 20) ELSE 1 END::INT AS bin FROM r JOIN st USING (site))
+SELECT site, bin, count(*) AS n FROM b GROUP BY 1, 2""",
+    "level_standing": f"""WITH {TYPES} SELECT site, sym, round(percent_rank() OVER w, 6) AS percent, round(cume_dist() OVER w, 6) AS share, (ntile(4) OVER w)::INT AS quarter
+FROM ty WINDOW w AS (PARTITION BY site ORDER BY cnt, sym)""",
+    "type_maps": f"WITH {TYPES} SELECT site, any_value(cnt) FILTER (sym = -1) AS zeros, count(*) FILTER (cnt > 0) AS used FROM ty GROUP BY site",
+    "event_props": """SELECT strftime(ts, '%Y-%m') AS month, count(k) AS n, sum(k)::BIGINT AS total, max(k) AS top
+FROM (SELECT ts, (props ->> '$.k')::BIGINT AS k FROM events) GROUP BY 1""",
+    "lineitem_bits": " UNION ALL ".join(map(line_bits, (4, 16, 64))),
+    "spectra_closed": """WITH c AS (SELECT 'ring' AS graph, 1 / 3.0::DOUBLE + 2 / 3.0::DOUBLE * cos(2 * pi() / 10) AS l, 4 / 3.0::DOUBLE AS b UNION ALL SELECT 'full', 0.0::DOUBLE, 1.0::DOUBLE),
+g AS (SELECT *, 1 - l AS d, 0.2::DOUBLE AS c FROM c)
+SELECT graph, round(l, 6) AS lambda2, round(b, 6) AS beta, round(d * d * c / (16 * d + d * d + 4 * b * b + 2 * d * b * b - 8 * d * c), 6) AS safe_gamma FROM g""",
+    "event_pairs_stream": PAIRS,
+    "stream_messages": """SELECT (e.user_id % 10 + o + 10)::INT % 10 AS dst, count(*) AS n, round(sum(value / 3), 2) AS total
+FROM events e, (SELECT unnest([-1, 0, 1]) AS o) GROUP BY 1""",
     "site_assignment": f"SELECT (vec_id % 10)::INT AS site, {splits('vec_id::VARCHAR')} AS split, count(*) AS n FROM embeddings GROUP BY 1, 2",
     "split_counts": f"SELECT {splits(GROUP)} AS split, lang, count(*) AS n FROM documents GROUP BY 1, 2",
     "prox_embeddings": f"WITH {EMB} SELECT site, coord, round(p, 6) + 0.0 AS z FROM r",
@@ -302,6 +366,5 @@ ga AS (SELECT coord, sum(g) / 10 AS g FROM gs GROUP BY coord), st AS (SELECT x,
 SELECT round(sum(((x - CASE WHEN abs(h) <= 0.0005 THEN 0.0 ELSE sign(h) * (abs(h) - 0.0005) END) / 0.5) ** 2), 6) AS norm2 FROM st""",
     "asof_events": """WITH r AS (SELECT user_id, ts, max(event_id) AS event_id FROM events WHERE event_type = 'signup' GROUP BY 1, 2), l AS (SELECT * FROM events WHERE event_type = 'purchase')
 SELECT l.event_id, r.event_id AS event_id_as_of FROM l ASOF LEFT JOIN r ON l.user_id = r.user_id AND l.ts >= r.ts""",
-    "event_pairs": """SELECT a.user_id, count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 DAY
-GROUP BY a.user_id""",
+    "event_pairs": PAIRS,
 }

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from dataclasses import replace
 
 import numpy as np
@@ -9,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.columns import fast_uniform, laplace
-from ..operators import features, levelset, quantise, theory, topology
+from ..operators import codec, features, levelset, quantise, theory, topology
 from ..operators.losses import LOSSES
 from ..operators.measures import saving, slope, to_target
 from ..sources.tables import load
@@ -236,3 +237,27 @@ def laplace_study(spark: SparkSession, dims=(1000, 20000), levels=(2, 4, 8, 64),
             row = row.withColumn("closed_form", theory.laplace_rate(F.lit(float(d)), F.lit(float(x)), eps))
             out = row if out is None else out.unionByName(row)
     return out
+
+
+def coder_cost(spark: SparkSession, dims: list[int], levels: list[int], sites: int = 4) -> DataFrame:
+    """(d, levels, seconds, message_seconds, message_bits): wall time of the relational lengths of generated Laplace vectors
+    at all sites and of writing one site's message, each the least of two tries."""
+    rows = []
+    for d in dims:
+        at = spark.range(d * sites).select((F.col("id") % sites).cast("int").alias("site"), F.floor(F.col("id") / sites).alias("coord"))
+        p = at.withColumn("p", laplace(fast_uniform(7, F.col("site"), F.col("coord")), 1.0))
+        for x in levels:
+            q = quantise.range_dither(p, x).select("site", "coord", "sym").cache()
+            sym = np.array([r.sym for r in q.filter("site = 0").orderBy("coord").select("sym").toLocalIterator()])
+            q.count()
+            relational = [_seconds(lambda: levelset.bits(q, x).write.format("noop").mode("overwrite").save()) for _ in range(2)]
+            written = [_seconds(lambda: codec.encode(sym, x)) for _ in range(2)]
+            rows.append((d, x, min(relational), min(written), codec.message_bits(sym, x)))
+            q.unpersist()
+    return spark.createDataFrame(rows, "d long, levels int, seconds double, message_seconds double, message_bits long")
+
+
+def _seconds(action) -> float:
+    start = time.perf_counter()
+    action()
+    return time.perf_counter() - start

@@ -196,6 +196,117 @@ def levelset_messages(spark, d):
     return s.join(back, ["site", "coord"], "full").groupBy("site").agg(F.count(F.lit(1)).alias("n"), wrong.alias("wrong"))
 
 
+def levelset_implied_bits(spark, d):
+    """Gap bits where the dominant level, the last one or none is implied."""
+    s, out = symbols(spark, d), None
+    for implied in ("dominant", "last", "none"):
+        part = levelset.bits(s, LEVELS, implied=implied).select("site", F.lit(implied).alias("implied"), "gap_bits")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def symbol_messages(spark, d):
+    """Symbol-wise messages by block, read back: their bytes, and symbols that differ from those sent."""
+    s = norm_symbols(spark, d)
+    sent = levelset.symbol_messages(s, 1024)
+    size = sent.groupBy("site").agg(F.sum(F.length("body")).alias("bytes"))
+    back = levelset.symbols_received(sent, 1024).select("site", "coord", F.col("sym").alias("got"))
+    wrong = F.count_if(~F.col("sym").eqNullSafe(F.col("got")))
+    return s.join(back, ["site", "coord"], "full").groupBy("site").agg(F.count(F.lit(1)).alias("n"), wrong.alias("wrong")).join(size, "site")
+
+
+def index_value_bits(spark, d):
+    r = residuals(spark, d)
+    return levelset.kept_bits(quantise.top_k(r, 50), quantise.site_range(r))
+
+
+def norm_values(spark, d):
+    """The norm-scaled quantiser unbiased, and divided by its variance factor."""
+    unbiased = quantise.norm_dither(residuals(spark, d), LEVELS, rescale=False).withColumn("tau", quantise.norm_factor(LEVELS, F.col("d")))
+    scaled = quantise.rescale_unbiased(unbiased.withColumn("unbiased", F.col("q")), F.col("tau"))
+    return scaled.select("site", "coord", r6(F.col("unbiased")).alias("unbiased"), r6(F.col("q")).alias("rescaled"))
+
+
+def residual_quantiles(spark, d):
+    r = residuals(spark, d).withColumn("p", F.abs("p"))
+    return measures.quantiles(r, [0.5, 0.9, 0.99, 1.0]).select("site", "prob", r6(F.col("value")).alias("value"))
+
+
+def residual_histogram(spark, d):
+    return measures.histogram(residuals(spark, d))
+
+
+def level_standing(spark, d):
+    """Where each level stands among its site's levels by count; a window sees one row a level."""
+    from pyspark.sql import Window
+
+    w = Window.partitionBy("site").orderBy("cnt", "sym")
+    columns = {"percent": r6(F.percent_rank().over(w)), "share": r6(F.cume_dist().over(w)), "quarter": F.ntile(4).over(w)}
+    return types(spark, d).withColumns(columns).select("site", "sym", *columns)
+
+
+def type_maps(spark, d):
+    """The type vector as a map from level to count."""
+    t = types(spark, d).groupBy("site").agg(F.map_from_entries(F.collect_list(F.struct("sym", "cnt"))).alias("t"))
+    used = F.size(F.map_filter("t", lambda k, v: v > 0))
+    return t.select("site", F.element_at("t", F.lit(-1)).alias("zeros"), used.cast("long").alias("used"))
+
+
+def event_props(spark, d):
+    """The key k of the events' JSON by month."""
+    e = load(spark, d, "events").select(F.date_format("ts", "yyyy-MM").alias("month"), F.get_json_object("props", "$.k").cast("long").alias("k"))
+    return e.groupBy("month").agg(F.count("k").alias("n"), F.sum("k").alias("total"), F.max("k").alias("top"))
+
+
+def lineitem_residuals(spark, d):
+    """Quantities of each part at ten sites of suppliers, less what one supplier line adds on average, thresholded: whole
+    vectors over all parts, zero where a site has none."""
+    part = load(spark, d, "part").select(F.col("p_partkey").alias("coord"), F.explode(F.sequence(F.lit(0), F.lit(SITES - 1))).alias("site"))
+    sold = load(spark, d, "lineitem").groupBy(F.pmod("l_suppkey", F.lit(SITES)).cast("int").alias("site"), F.col("l_partkey").alias("coord")).agg(F.sum("l_quantity").alias("s"))
+    rows = part.join(sold, ["site", "coord"], "left")
+    return rows.select("site", "coord", soft_threshold(F.coalesce(F.col("s") - 25.0, F.lit(0.0)), 5.0).alias("p"))
+
+
+def lineitem_bits(spark, d):
+    """Bits of the line items' residuals by number of levels."""
+    rows, out = lineitem_residuals(spark, d), None
+    for levels in (4, 16, 64):
+        part = levelset.bits(quantise.range_dither(rows, levels), levels).select("site", F.lit(levels).alias("levels"), "type_bits", "gap_bits")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+def spectra_closed(spark, d):
+    """Second eigenvalue, norm of I - W and safe step of ring and full graph."""
+    rows = []
+    for name, m in (("ring", topology.ring(spark, SITES)), ("full", topology.fully_connected(spark, SITES))):
+        w = topology.matrix(m)
+        s = topology.spectrum(w)
+        rows.append((name, s["lambda2"], s["beta"], topology.safe_gamma(w, 0.2)))
+    out = spark.createDataFrame(rows, "graph string, lambda2 double, beta double, safe_gamma double")
+    return out.select("graph", *(r6(F.col(c)).alias(c) for c in ("lambda2", "beta", "safe_gamma")))
+
+
+def event_pairs_stream(spark, d):
+    """event_pairs as a join of two streams, read from the events' file and stored in the shared folder."""
+    events = online.file_stream(spark, d, "events")
+    viewed, bought = (events.filter(F.col("event_type") == t).select("event_id", "user_id", "ts") for t in ("view", "purchase"))
+    pairs = online.pairs(viewed, bought, "user_id", 86400)
+    return online.finished(pairs.select("a.user_id"), "event_pairs").groupBy("user_id").agg(F.count(F.lit(1)).alias("n"))
+
+
+def stream_messages(spark, d):
+    """What each site's stream of events sends along the links of a graph: a stream joined with a static table."""
+    events = online.file_stream(spark, d, "events").select(F.pmod("user_id", F.lit(SITES)).cast("int").alias("site"), F.col("value").alias("x"))
+    out = online.finished(online.along_links(events, topology.ring(spark, SITES)), "messages")
+    return out.groupBy("dst").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("wx"), 2).alias("total"))
+
+
+def coder_cost(spark, d):
+    """Seconds of the relational lengths and of writing messages, by vector size and number of levels."""
+    return workloads.coder_cost(spark, [1 << 14, 1 << 17], [4, 16, 64])
+
+
 def mixing_of(kind):
     return lambda spark, d: {"ring": topology.ring(spark, SITES), "full": topology.fully_connected(spark, SITES), "circulant": topology.circulant(spark, SITES, (1, 2))}[kind].select("src", "dst", r6(F.col("w")).alias("w"))
 
@@ -529,6 +640,10 @@ QUERIES = {
     "asof_events": asof_events, "event_pairs": event_pairs, "central_prox": W.central_prox, "label_skew": W.label_skew, "problem_constants": W.problem_constants,
     "ablation_report": W.ablation_report, "tracking_report": W.tracking_report, "net_targets": W.net_targets,
     "net_curves": lambda s, d: W.curves(W.net_traces(s, d)), "vector_curves": lambda s, d: W.curves(W.vector_traces(s, d)),
+    "levelset_implied_bits": levelset_implied_bits, "symbol_messages": symbol_messages, "index_value_bits": index_value_bits, "norm_values": norm_values,
+    "residual_quantiles": residual_quantiles, "residual_histogram": residual_histogram, "level_standing": level_standing, "type_maps": type_maps,
+    "event_props": event_props, "lineitem_bits": lineitem_bits, "spectra_closed": spectra_closed, "event_pairs_stream": event_pairs_stream,
+    "stream_messages": stream_messages, "coder_cost": coder_cost,
     "laplace_study": lambda s, d: W.laplace_study(s), "range_coverage": lambda s, d: theory.range_coverage(s, 1000, 400, 0.01),
 }
 

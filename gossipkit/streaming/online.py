@@ -5,11 +5,12 @@ and writes the same directory, so a round counts once."""
 
 from __future__ import annotations
 
+import uuid
 from dataclasses import replace
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupStateTimeout
 from pyspark.sql.streaming.query import StreamingQuery
@@ -17,8 +18,9 @@ from pyspark.sql.streaming.query import StreamingQuery
 from ..operators.losses import LOSSES
 from ..plans.config import GossipConfig
 from ..plans.engine import Engine
+from ..plans.relational import shared_dir
 from ..plans.trainers import site_gradients
-from ..sources.tables import load_state, save_state
+from ..sources.tables import load, load_state, save_state
 
 
 def train_online(stream: DataFrame, w: np.ndarray, cfg: GossipConfig, path: str, loss: str = "softmax", features: int = 257, classes: int = 4, run_id: str = "online") -> StreamingQuery:
@@ -56,6 +58,38 @@ def sessions(events: DataFrame, gap: str = "30 minutes") -> DataFrame:
     return s.select("user_id", F.col("w.start").alias("start"), F.col("w.end").alias("end"), "n")
 
 
+def pairs(left: DataFrame, right: DataFrame, key: str, seconds: int, ts: str = "ts", late: str = "1 hour") -> DataFrame:
+    """(a, b): rows of the right stream within the given seconds after a row of the left one, by key. The watermarks and
+    the interval let both sides' state go."""
+    a, b = left.withWatermark(ts, late).alias("a"), right.withWatermark(ts, late).alias("b")
+    within = F.col(f"b.{ts}").between(F.col(f"a.{ts}"), F.col(f"a.{ts}") + F.expr(f"INTERVAL {seconds} SECONDS"))
+    return a.join(b, (F.col(f"a.{key}") == F.col(f"b.{key}")) & within)
+
+
+def along_links(stream: DataFrame, mixing: DataFrame) -> DataFrame:
+    """(src, dst, wx) for a stream (site, x): each value weighted along its site's links. The mixing table has a row a
+    link; the planner picks the join by its size."""
+    links = mixing.withColumnRenamed("src", "site")
+    return stream.join(links, "site").select(F.col("site").alias("src"), "dst", (F.col("w") * F.col("x")).alias("wx"))
+
+
+def file_stream(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """A table's Parquet file or folder as a stream. The pattern matches that one path; a plain path has to be a folder."""
+    stream = spark.readStream.schema(load(spark, sf_dir, name).schema).parquet(f"{sf_dir}/{name}.parque[t]")
+    # watermarks need instants; times without a zone are read as UTC, whatever the session's zone
+    plain = [f.name for f in stream.schema if f.dataType.typeName() == "timestamp_ntz"]
+    micros = "timestampdiff(MICROSECOND, TIMESTAMP_NTZ'1970-01-01 00:00:00', `{}`)"
+    return stream.withColumns({c: F.timestamp_micros(F.expr(micros.format(c))) for c in plain}) if plain else stream
+
+
+def finished(stream: DataFrame, name: str) -> DataFrame:
+    """All rows that a stream appends until its source is read, stored with its checkpoint in the shared folder."""
+    path = f"{shared_dir(stream).rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    sink = stream.writeStream.format("parquet").option("path", f"{path}/rows").option("checkpointLocation", f"{path}/checkpoint")
+    sink.trigger(availableNow=True).start().awaitTermination()
+    return stream.sparkSession.read.schema(stream.schema).parquet(f"{path}/rows")
+
+
 def deduplicated(events: DataFrame, late: str = "1 hour") -> DataFrame:
     """Each event once, also when a source replays it."""
     return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])

@@ -4,11 +4,12 @@ import datetime as dt
 import random
 
 import numpy as np
-from gossipkit.operators import gradients, joins, levelset, quantise, topology
+from gossipkit.operators import gradients, joins, levelset, measures, quantise, topology
 from gossipkit.plans import relational
 from gossipkit.plans.config import GossipConfig
 from gossipkit.plans.engine import Engine
 from gossipkit.sources.tables import read_messages, write_messages
+from gossipkit.streaming import online
 from gossipkit.streaming.online import running_types
 from pyspark.sql import functions as F
 
@@ -100,3 +101,53 @@ def test_running_types_of_a_stream(spark, tmp_path):
         own = [r for r in rows if r[0] == s]
         counts = [sum(r[1] == k for r in own) for k in range(-1, 5)]
         assert held[s][0] == counts and held[s][2] == len(own) and abs(held[s][1] - sum(abs(r[2]) for r in own) / len(own)) < 1e-12
+
+
+def test_quantiles_and_histogram(spark):
+    rng = np.random.default_rng(9)
+    vectors = {0: rng.normal(size=400).round(2), 1: np.full(7, 3.5), 2: np.array([1.0]), 3: np.r_[np.zeros(300), 1e6]}
+    df = spark.createDataFrame([(s, i, float(x)) for s, v in vectors.items() for i, x in enumerate(v)], "site int, coord int, p double")
+    probs = [0.0, 0.25, 0.5, 0.99, 1.0]
+    want = {(s, q): np.sort(v)[max(int(np.ceil(round(q * len(v), 9))) - 1, 0)] for s, v in vectors.items() for q in probs}
+    for bins in (1, 16, 4096):
+        assert {(r.site, r.prob): r.value for r in measures.quantiles(df, probs, bins=bins).collect()} == want
+    near = {(r.site, r.prob): r.value for r in measures.quantiles_approx(df, probs).collect()}
+    assert near == want
+    bars = {(r.site, r.bin): r.n for r in measures.histogram(df, bins=10).collect()}
+    counts = np.histogram(vectors[0], 10)[0]
+    assert sum(n for (s, _), n in bars.items() if s == 0) == 400 and abs(bars[0, 1] - counts[0]) <= 1
+    assert bars[1, 1] == 7 and bars[2, 1] == 1 and bars[3, 1] == 300 and bars[3, 10] == 1
+    assert measures.quantiles(df.limit(0), probs).isEmpty() and measures.histogram(df.limit(0)).isEmpty()
+
+
+def write_parts(df, path, parts):
+    """Each part a file of its own, in order."""
+    for i, part in enumerate(parts):
+        df.sparkSession.createDataFrame(part, df.schema).coalesce(1).write.parquet(f"{path}/{i}")
+
+
+def test_stream_pairs_across_batches(spark, tmp_path):
+    t0 = dt.datetime(2024, 1, 1)
+    rows = [(i, i % 3, t0 + dt.timedelta(minutes=7 * i)) for i in range(60)]
+    df = spark.createDataFrame(rows, "id long, k int, ts timestamp")
+    write_parts(df, tmp_path / "in", [rows[:20], rows[20:40], rows[40:]])
+    read = spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", True)
+    left = read.parquet(str(tmp_path / "in")).filter("id % 2 = 0")
+    right = read.parquet(str(tmp_path / "in")).filter("id % 2 = 1")
+    got = online.finished(online.pairs(left, right, "k", 3600).select(F.col("a.id").alias("a"), F.col("b.id").alias("b")), "pairs")
+    want = {(i, j) for i, k, s in rows for j, q, t in rows if i % 2 == 0 and j % 2 == 1 and k == q and 0 <= (t - s).total_seconds() <= 3600}
+    assert {(r.a, r.b) for r in got.collect()} == want and len(want) > 20
+
+
+def test_late_rows_leave_windows_but_not_training(spark, tmp_path):
+    """A row later than the watermark is missing from its window; the plain stream still delivers it."""
+    t0 = dt.datetime(2024, 1, 1)
+    at = lambda h: t0 + dt.timedelta(hours=h)
+    batches = [[(1, at(1), "view", 1.0)], [(2, at(30), "view", 1.0)], [(3, at(31), "view", 1.0)], [(4, at(2), "view", 1.0), (5, at(32), "view", 1.0)], [(6, at(80), "view", 1.0)]]
+    df = spark.createDataFrame(batches[0], "event_id long, ts timestamp, event_type string, value double")
+    write_parts(df, tmp_path / "in", batches)
+    read = spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", True)
+    stream = read.parquet(str(tmp_path / "in"))
+    days = {r.start: r.n for r in online.finished(online.windows(stream), "windows").collect()}
+    assert days[t0] == 1 and days[t0 + dt.timedelta(days=1)] == 3
+    assert {r.event_id for r in online.finished(stream, "all").collect()} == {1, 2, 3, 4, 5, 6}
