@@ -19,11 +19,18 @@ BIN = 1 << 16
 HEADER_BITS = 64 + 32 + 16  # two range ends of 32 bits, dimension, number of levels
 
 
-def type_vector(df: DataFrame, levels: int) -> DataFrame:
+def bin_counts(df: DataFrame, bins: int = BIN) -> DataFrame:
+    """(site, bin, sym, c): the one aggregate over the symbols from which type vectors and prefix sums come."""
+    place = F.floor(F.col("coord") / bins).cast("long").alias("bin")
+    return df.groupBy("site", place, "sym").agg(F.count(F.lit(1)).alias("c"))
+
+
+def type_vector(df: DataFrame, levels: int, bins: int = BIN) -> DataFrame:
     """(site, sym, cnt) over the whole alphabet, -1 (exact zero) to levels."""
-    counted = df.groupBy("site", "sym").agg(F.count(F.lit(1)).alias("cnt"))
-    sites = counted.groupBy("site").agg(F.lit(1).alias("one")).select("site", F.explode(F.sequence(F.lit(-1), F.lit(levels))).alias("sym"))
-    return sites.join(counted, ["site", "sym"], "left").withColumn("cnt", F.coalesce("cnt", F.lit(0)))
+    counted = bin_counts(df, bins).groupBy("site", "sym").agg(F.sum("c").alias("cnt"))
+    whole = counted.groupBy("site").agg(F.map_from_entries(F.collect_list(F.struct("sym", "cnt"))).alias("t"))
+    rows = whole.select("site", "t", F.explode(F.sequence(F.lit(-1), F.lit(levels))).alias("sym"))
+    return rows.select("site", "sym", F.coalesce(F.col("t")[F.col("sym")], F.lit(0)).alias("cnt"))
 
 
 def level_order(types: DataFrame, order: str = "frequency", implied: str = "dominant") -> DataFrame:
@@ -89,10 +96,11 @@ def run_lengths(df: DataFrame, ordered: DataFrame, bins: int = BIN) -> DataFrame
     """(site, rank, seq, gap): unexplained coordinates between holders of each transmitted level. Bins are counted one by
     one; prefix sums over a row for each bin and level join them exactly."""
     runs = binned_runs(df, ordered, bins)
-    held = supports(df, ordered).groupBy("site", F.floor(F.col("coord") / bins).cast("long").alias("bin"), "rank").agg(F.count(F.lit(1)).alias("c"))
-    whole = held.groupBy("site", "bin").agg(F.sum("c").alias("all"))
-    grid = whole.join(F.broadcast(visits(ordered).select("site", F.col("rank").cast("int").alias("rank"))), "site")
-    grid = grid.join(held, ["site", "bin", "rank"], "left").withColumn("c", F.coalesce("c", F.lit(0)))
+    top = F.max("rank").over(Window.partitionBy("site")).alias("top")
+    held = bin_counts(df, bins).join(F.broadcast(ordered.select("site", "sym", "rank", top)), ["site", "sym"])
+    grid = held.groupBy("site", "bin").agg(F.sum("c").alias("all"), F.first("top").alias("top"), F.map_from_entries(F.collect_list(F.struct("rank", "c"))).alias("t"))
+    grid = grid.filter("top > 0").select("site", "bin", "all", "t", F.explode(F.sequence(F.lit(1), F.col("top").cast("int"))).alias("rank"))
+    grid = grid.select("site", "bin", "all", "rank", F.coalesce(F.col("t")[F.col("rank")], F.lit(0)).alias("c"))
     lower = Window.partitionBy("site", "bin").orderBy("rank").rowsBetween(Window.unboundedPreceding, -1)
     grid = grid.withColumn("open", F.col("all") - F.coalesce(F.sum("c").over(lower), F.lit(0)))
     before = Window.partitionBy("site", "rank").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)

@@ -304,7 +304,7 @@ def stream_messages(spark, d):
 
 def coder_cost(spark, d):
     """Seconds of the relational lengths and of writing messages, by vector size and number of levels."""
-    return workloads.coder_cost(spark, [1 << 14, 1 << 17], [4, 16, 64])
+    return workloads.coder_cost(spark, [1 << 14, 1 << 17], [4, 64])
 
 
 def mixing_of(kind):
