@@ -15,7 +15,7 @@ from ..operators.losses import LOSSES
 from ..operators.measures import saving, slope, to_target
 from ..sources.tables import load
 from .config import GossipConfig, paper_methods
-from .trainers import Pool, pooled, sweep
+from .trainers import Pool, pooled, site_gradients, site_grams, sweep
 
 SITES, WORDS = 10, 256
 #: Shared by all methods and not tuned; tuned_targets gives each method its own number of levels.
@@ -160,23 +160,23 @@ def tracking_report(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def central_prox(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All samples in one place: proximal steps without communication, beside ten sites' rounds on both graphs."""
-    samples = features.language_samples(load(spark, sf_dir, "documents"), SITES, WORDS)
-    one = pooled(samples.withColumn("site", F.lit(0)), WORDS + 1, 1)
+    pool = language_pool(spark, sf_dir)
+    one = pool.at_sites(F.lit(0), 1)
     # the batch of one place is as large as the batches of all sites together
     cfg = replace(BASE, sites=1, batch=BASE.batch * SITES, method="dsgd", rounds=60, eval_every=20)
     central = sweep(spark, [("language/central/prox", np.ones((1, 1)), cfg)], one)
-    many = language_traces(spark, sf_dir, {"sparse": replace(BASE, rounds=60, eval_every=20)})
+    many = sweep(spark, runs_of(graphs(spark), {"sparse": replace(BASE, rounds=60, eval_every=20)}, "language"), pool)
     both = central.unionByName(many).filter("accuracy IS NOT NULL")
     return both.select("run_id", "round", "loss", "objective", "accuracy", "validation", "zero_share")
 
 
 def label_skew(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sites that hold one language each (eight sites, two a language) against the same samples dealt by id."""
-    samples, out = features.language_samples(load(spark, sf_dir, "documents"), 8, WORDS), None
-    skewed = samples.withColumn("site", (F.col("label") * 2 + F.pmod("sample_id", F.lit(2))).cast("int"))
+    iid, out = pooled(features.language_samples(load(spark, sf_dir, "documents"), 8, WORDS), WORDS + 1, 8), None
+    skewed = iid.at_sites(F.col("label") * 2 + F.pmod("sample_id", F.lit(2)), 8)
     w = topology.matrix(topology.ring(spark, 8))
-    for name, s in (("iid", samples), ("skewed", skewed)):
-        t = sweep(spark, [(f"language/ring/{name}", w, replace(BASE, sites=8, rounds=60, eval_every=60))], pooled(s, WORDS + 1, 8))
+    for name, pool in (("iid", iid), ("skewed", skewed)):
+        t = sweep(spark, [(f"language/ring/{name}", w, replace(BASE, sites=8, rounds=60, eval_every=60))], pool)
         out = t if out is None else out.unionByName(t)
     return out.groupBy("run_id").agg(F.max("accuracy").alias("accuracy"), F.avg("consensus").alias("consensus"), F.sum("link_bits").alias("link_bits"))
 
@@ -185,21 +185,24 @@ def problem_constants(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Smoothness, gradient and variance constants of the language task at the zero model, and the second moments
     of the sites' mini-batch gradients beside their bound 2 n (G^2 + sigma^2)."""
     pool, loss = language_pool(spark, sf_dir), LOSSES["softmax"](WORDS + 1, 4)
-    c = theory.constants(pool.sites, loss, loss.start())
-    rng, moment = np.random.default_rng(1), 0.0
-    for x, y in pool.sites:
-        if len(y):
-            picks = [rng.choice(len(y), min(16, len(y)), replace=False) for _ in range(64)]
-            moment += float(np.mean([(loss.value_grad(loss.start(), x[p], y[p])[1] ** 2).sum() for p in picks]))
+    sizes, zero = pool.sizes, loss.start()
+    full = site_gradients(pool.fit, np.tile(zero, (SITES, 1)), loss, WORDS + 1)[0]
+    starts, draws = theory.drawn(sizes, WORDS + 1)
+    rng = np.random.default_rng(1)
+    batches = {s: [rng.choice(n, min(16, n), replace=False) for _ in range(64)] for s, n in enumerate(sizes.tolist()) if n}
+    rows = pool.picked({s: np.unique(np.concatenate([*draws[s], *batches[s]])) for s in batches})
+    spread = {s: [loss.value_grad(zero, *rows.take(s, p))[1] for p in draws[s]] for s in draws}
+    c = theory.constants(site_grams(pool.fit, SITES, WORDS + 1), starts, full, spread)
+    moment = sum((float(np.mean([(loss.value_grad(zero, *rows.take(s, p))[1] ** 2).sum() for p in picks])) for s, picks in batches.items()), 0.0)
     limit = 2 * SITES * (c["G"] ** 2 + c["sigma2"])
     return spark.createDataFrame([(c["K"], c["G"], c["sigma2"], moment, limit)], "smoothness double, gradient double, variance double, second_moment double, second_moment_limit double")
 
 
 def speedup(spark: SparkSession, sf_dir: str, sizes=(2, 5, 10, 20)) -> DataFrame:
     """Mean stationarity of runs of more sites over the same documents."""
-    docs, out = load(spark, sf_dir, "documents"), None
+    docs, out = language_pool(spark, sf_dir), None
     for n in sizes:
-        pool = pooled(features.language_samples(docs, n, WORDS), WORDS + 1, n)
+        pool = docs.at_sites(F.pmod("sample_id", F.lit(n)), n)
         w = topology.matrix(topology.fully_connected(spark, n))
         s = sweep(spark, [(f"language/full/n={n}", w, replace(BASE, sites=n, rounds=60, eval_every=60))], pool)
         s = s.groupBy("run_id").agg(F.avg("stationarity").alias("stationarity"), F.max("accuracy").alias("accuracy")).withColumn("sites", F.lit(n))
