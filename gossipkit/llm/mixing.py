@@ -12,13 +12,13 @@ happens without repeats, if targets name values without tokens or contradict one
 
 Targets default to shares proportional to tokens^temper in each dimension. The topic is one of TOPICS clusters:
 k-means over hashed words, less the mean of the document's language, so that topics aren't languages again. It is fitted
-on the SAMPLE documents of the least hash of the id, whole texts; every document, whole, gets the nearest centre.
+on all documents, whole texts; every one gets the nearest centre. The driver holds a mean for each language and the centres.
 
 Up to MAX_CELLS cells are raked on the driver. Above that the cells stay a table and each half-step is an
 aggregate over it.
 
 Defined cases: null source or language counts as the value ''; a text without words has topic 0 and no tokens and
-stays as its cell decides; a language that the sample lacks has the mean of all; a cell without tokens has probability 1; a null id draws as the text 'null';
+stays as its cell decides; a null language has the mean of all; a cell without tokens has probability 1; a null id draws as the text 'null';
 an empty table gives no rows. with_topics and decided replace columns of the names that they add; remixed returns the
 input's own columns unchanged, whatever their names.
 """
@@ -40,8 +40,8 @@ from .common import stored
 from .textkernel import U, Words, chunks
 
 TOPICS, TEMPER, SHARE, ROUNDS, TOLERANCE = 8, 0.7, 0.8, 40, 1e-10
-#: Bounds of the topics' fit: documents, hashed words, rounds.
-SAMPLE, FEATURES, FIT_ROUNDS = 4096, 256, 20
+#: The topics' fit: hashed words, most rounds, parts of 1 that sums count in.
+FEATURES, FIT_ROUNDS, UNIT = 256, 20, 1 << 24
 MAX_CELLS = 1 << 18
 MISSED = 1e-3
 DIMS = ["source", "lang", "topic"]
@@ -57,47 +57,105 @@ def counted(texts: list[str | None]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
 
 
 class Topics:
-    """Cluster centres, and the mean of each language that was seen."""
-
-    def __init__(self, x: np.ndarray, langs: list[str | None], topics: int):
-        self.rows = {v: i for i, v in enumerate(sorted({v for v in langs if v is not None}))}
-        own = np.array([self.rows.get(v, len(self.rows)) for v in langs], np.int64)
-        all_ = x.mean(0) if len(x) else np.zeros(FEATURES, np.float32)
-        self.means = np.stack([*(x[own == i].mean(0) for i in range(len(self.rows))), all_])
-        x = self._away(x, own)
-        self.centres = x[:1]
-        # start from the documents that are farthest from the centres so far
-        for _ in range(1, min(topics, len(x))):
-            self.centres = np.concatenate([self.centres, x[[(x @ self.centres.T).max(1).argmin()]]])
-        for _ in range(FIT_ROUNDS if len(x) else 0):
-            near = (x @ self.centres.T).argmax(1)
-            sums = np.stack([x[near == k].sum(0) for k in range(len(self.centres))])
-            length = np.linalg.norm(sums, axis=1, keepdims=True)
-            self.centres = np.where(length > 0, sums / np.maximum(length, 1e-9), self.centres)
+    """Cluster centres, and the mean of each language that was seen; the last mean is that of all."""
+
+    def __init__(self, langs: list[str], means: np.ndarray, centres: np.ndarray | None = None):
+        self.rows, self.means = {v: i for i, v in enumerate(langs)}, means
+        self.centres = np.zeros((0, FEATURES), np.float32) if centres is None else centres
+
+    def away(self, x: np.ndarray, langs: list[str | None]) -> np.ndarray:
+        return self._away(x, np.array([self.rows.get(v, len(self.rows)) for v in langs], np.int64))
 
     def _away(self, x: np.ndarray, own: np.ndarray) -> np.ndarray:
         x = x - self.means[own]
         return x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-9)
 
     def of(self, x: np.ndarray, langs: list[str | None]) -> np.ndarray:
-        own = np.array([self.rows.get(v, len(self.rows)) for v in langs], np.int64)
-        return (self._away(x, own) @ self.centres.T).argmax(1) if len(self.centres) else np.zeros(len(x), np.int64)
+        return (self.away(x, langs) @ self.centres.T).argmax(1) if len(self.centres) else np.zeros(len(x), np.int64)
 
 
 def fitted(docs: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "lang", topics: int = TOPICS) -> Topics:
-    """The ids are ranked first, without texts; only the sample's counts reach the driver, SAMPLE rows at most."""
-    plain = docs.select(F.xxhash64(F.col(key)).alias("h"), F.col(text).cast("string").alias("text"), F.col(lang).cast("string").alias("lang"))
-    last = plain.select("h").orderBy("h").limit(SAMPLE).agg(F.max("h")).first()[0]
+    """K-means over all documents. Their counts are stored once; each step is a pass over them in Spark's tasks, and the driver gets
+    one row a language, or a centre. Sums are of whole numbers (1 / UNIT), so they are the same in any order."""
+    plain = docs.select(F.xxhash64(F.col(key)).alias("h"), F.xxhash64(F.col(text).cast("string")).alias("own"), F.col(text).cast("string").alias("text"), F.col(lang).cast("string").alias("lang"))
 
     def count(batches):
         for t in batches:
             x = np.concatenate([np.zeros((0, FEATURES), np.float32), *(x for x, _ in counted(t["text"].to_pylist()))])
             yield pa.RecordBatch.from_arrays([t["h"], t["own"], t["lang"], pa.array([r.tobytes() for r in x], pa.binary())], ["h", "own", "lang", "x"])
 
-    few = plain.filter(F.col("h") <= F.lit(last)).select("h", F.xxhash64("text").alias("own"), "text", "lang") if last is not None else plain.limit(0).select("h", F.col("h").alias("own"), "text", "lang")
-    rows = few.mapInArrow(count, "h long, own long, lang string, x binary").orderBy("h", "own", "lang").limit(SAMPLE).collect()
-    x = np.stack([np.frombuffer(r.x, np.float32) for r in rows]) if rows else np.zeros((0, FEATURES), np.float32)
-    return Topics(x, [r.lang for r in rows], topics)
+    seen = stored(plain.mapInArrow(count, "h long, own long, lang string, x binary"), "counts")
+    total = summed(seen, lambda x, langs: (x, langs), "string")
+    names = sorted(v for v in total if v is not None)
+    whole = sum(total.values(), np.zeros(FEATURES + 1))
+    out = Topics(names, np.stack([*(_mean(total[v]) for v in names), _mean(whole)]).astype(np.float32))
+    start = seen.orderBy("h", "own", "lang").first()
+    for _ in range(topics):
+        if start is None:
+            break
+        out.centres = np.concatenate([out.centres, out.away(np.frombuffer(start.x, np.float32)[None], [start.lang])])
+        start = farthest(seen, out) if len(out.centres) < topics else None
+    for _ in range(FIT_ROUNDS if len(out.centres) else 0):
+        last, shared = out.centres, docs.sparkSession.sparkContext.broadcast(out)
+        total = summed(seen, lambda x, langs, m=shared: ((y := m.value.away(x, langs)), (y @ m.value.centres.T).argmax(1).tolist()), "int")
+        shared.unpersist()
+        sums = np.stack([total.get(k, np.zeros(FEATURES + 1))[:-1] for k in range(len(last))])
+        length = np.linalg.norm(sums, axis=1, keepdims=True)
+        out.centres = np.where(length > 0, sums / np.maximum(length, 1e-9), last).astype(np.float32)
+        if (out.centres == last).all():
+            break
+    return out
+
+
+def _mean(total: np.ndarray) -> np.ndarray:
+    return total[:-1] / max(total[-1], 1)
+
+
+def _read(t: pa.RecordBatch) -> tuple[np.ndarray, list[str | None]]:
+    return np.frombuffer(b"".join(t["x"].to_pylist()), np.float32).reshape(-1, FEATURES), t["lang"].to_pylist()
+
+
+def summed(seen: DataFrame, of, kind: str) -> dict:
+    """Sums of rows by key, their number at the end; of(x, langs) gives rows and keys."""
+
+    def partial(batches):
+        total: dict = {}
+        for t in batches:
+            x, keys = of(*_read(t))
+            whole = np.column_stack([np.rint(x * np.float64(UNIT)).astype(np.int64), np.ones(len(x), np.int64)])
+            places: dict = {}
+            for i, k in enumerate(keys):
+                places.setdefault(k, []).append(i)
+            for k, at in places.items():
+                total[k] = total.get(k, 0) + whole[at].sum(0)
+        cols = [pa.array([k for k in total for _ in range(FEATURES + 1)], pa.string() if kind == "string" else pa.int32()), pa.array(np.tile(np.arange(FEATURES + 1, dtype=np.int32), len(total)))]
+        yield pa.RecordBatch.from_arrays([*cols, pa.array(np.concatenate([*total.values(), np.zeros(0, np.int64)]).astype(np.int64))], ["k", "j", "s"])
+
+    out: dict = {}
+    for r in seen.select("lang", "x").mapInArrow(partial, f"k {kind}, j int, s long").groupBy("k", "j").agg(F.sum("s").alias("s")).collect():
+        out.setdefault(r.k, np.zeros(FEATURES + 1))[r.j] = r.s / (UNIT if r.j < FEATURES else 1)
+    return out
+
+
+def farthest(seen: DataFrame, model: Topics):
+    """The document whose nearest centre is farthest; of equals the one of the least hash."""
+    shared = seen.sparkSession.sparkContext.broadcast(model)
+
+    def least(batches):
+        best = None
+        for t in batches:
+            x, langs = _read(t)
+            if len(x):
+                score = np.round((shared.value.away(x, langs) @ shared.value.centres.T).max(1).astype(float), 5)
+                h, own = (t[c].to_numpy(zero_copy_only=False) for c in ("h", "own"))
+                i = np.lexsort((own, h, score))[0]
+                row = (float(score[i]), int(h[i]), int(own[i]), langs[i] or "", x[i].tobytes(), langs[i])
+                best = row if best is None or row < best else best
+        cols = [[v] for v in best] if best else [[]] * 6
+        types = [pa.float64(), pa.int64(), pa.int64(), pa.string(), pa.binary(), pa.string()]
+        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, types, strict=True)], ["score", "h", "own", "name", "x", "lang"])
+
+    return seen.select("h", "own", "lang", "x").mapInArrow(least, "score double, h long, own long, name string, x binary, lang string").orderBy("score", "h", "own", "name").first()
 
 
 def with_topics(docs: DataFrame, text: str = "text", topics: int = TOPICS, key: str = "doc_id", lang: str = "lang") -> DataFrame:

@@ -11,6 +11,7 @@ from gossipkit.llm import decontaminate, langid, minhash, mixing, neardup, packi
 from gossipkit.llm.oracles import ORACLES
 from gossipkit.llm.textkernel import Words
 from oracle import same
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
@@ -475,3 +476,15 @@ def test_sharding(spark):
     assert len(rows) == len(ODD) and all(r.shard == table[r.slot] for r in rows)
     null = frame(spark, ["x"]).withColumn("doc_id", F.lit(None).cast("long"))
     assert sharding.assign(null, "doc_id", names).first().shard is not None and sharding.assign(frame(spark, []), "doc_id", names).count() == 0
+
+
+def test_topics_are_fitted_on_all_documents(spark, monkeypatch):
+    """More documents than the 4096 that the fit took before, whose ids have the least hashes; a topic that only the others have gets a
+    centre of its own, whatever the partitioning."""
+    one, two = " ".join(f"apple{i}" for i in range(30)), " ".join(f"engine{i}" for i in range(30))
+    ids = spark.range(9000).withColumn("r", F.row_number().over(Window.orderBy(F.xxhash64("id"))))
+    docs = ids.select(F.col("id").alias("doc_id"), F.when(F.col("r") <= 8000, one).otherwise(two).alias("text"), F.lit("en").alias("lang"), F.lit("web").alias("source")).cache()
+    fits = [mixing.fitted(docs.repartition(n), topics=2) for n in (1, 7)]
+    assert np.array_equal(fits[0].centres, fits[1].centres)
+    got = mixing.with_topics(docs, topics=2).groupBy("text").agg(F.collect_set("topic").alias("t")).collect()
+    assert sorted(r.t[0] for r in got) == [0, 1] and all(len(r.t) == 1 for r in got)
