@@ -125,3 +125,16 @@ def test_implied_levels_relational(spark):
     for implied in ("dominant", "last", "none"):
         got = {r.site: r.type_bits + r.gap_bits for r in levelset.bits(df, 4, implied=implied).collect()}
         assert got == {i: codec.message_bits(sym, 4, implied) for i, sym in enumerate(vectors)}
+
+
+def test_omega_of_large_numbers(spark):
+    """Lengths of the recursive code, group by group; from 2^16 on it has a fourth group."""
+    from gossipkit.functions.columns import elias_bits
+    from pyspark.sql import functions as F
+
+    def length(k):
+        return 1 if k == 1 else k.bit_length() + length(k.bit_length() - 1)
+
+    ks = [1, 2, 3, 4, 15, 16, 255, 256, 65535, 65536, 65537, 150000, 9_000_000, 2**40]
+    rows = spark.createDataFrame([(k,) for k in ks], "k long").select("k", elias_bits(F.col("k"), "omega").alias("n")).collect()
+    assert {r.k: r.n for r in rows} == {k: length(k) for k in ks} and length(65536) == 28
