@@ -2,12 +2,20 @@
 
 from __future__ import annotations
 
+import hashlib
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.columns import uniform
 
 LANGS = ["de", "en", "es", "fr"]
+#: Texts whose words a task holds apart at once, and words whose buckets it remembers.
+TEXTS, KNOWN = 64, 1 << 18
 
 
 def words(text: Column) -> Column:
@@ -31,9 +39,14 @@ def unit_rows(counts: DataFrame, size: int = 256) -> DataFrame:
     return rows.union(counts.select("doc_id").distinct().select("doc_id", F.lit(size), F.lit(1.0)))
 
 
+def joined(text: Column) -> Column:
+    """The words of a text with one space between them."""
+    return F.trim(F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), "[^\\p{L}]+", " "))
+
+
 def copy_group(text: Column) -> Column:
     """Key that exact copies share: the digest of the normalised text."""
-    return F.md5(F.array_join(words(text), " ").cast("binary"))
+    return F.md5(joined(text).cast("binary"))
 
 
 def split_of(group: Column) -> Column:
@@ -44,25 +57,57 @@ def split_of(group: Column) -> Column:
 
 def language_samples(docs: DataFrame, sites: int = 10, size: int = 256) -> DataFrame:
     """(sample_id, site, split, label, idx, val): the language task, one sparse row a text."""
-    lab = docs.filter(F.col("lang").isin(LANGS)).select(
-        "doc_id", F.pmod("doc_id", F.lit(sites)).cast("int").alias("site"), split_of(copy_group(F.col("text"))).alias("split"),
-        (F.array_position(F.array(*map(F.lit, LANGS)), F.col("lang")) - 1).cast("int").alias("label"),
-    )
-    return _packed(lab, docs, size)
+    label = (F.array_position(F.array(*map(F.lit, LANGS)), F.col("lang")) - 1).cast("int")
+    return _packed(docs.filter(F.col("lang").isin(LANGS)).select("doc_id", label.alias("label"), "text"), sites, size)
 
 
 def quality_samples(docs: DataFrame, labels: DataFrame, target: str = "quality", sites: int = 10, size: int = 256) -> DataFrame:
     """The binary task quality, or toxic as the negative control."""
-    lab = docs.join(labels.select("doc_id", F.col(target).alias("label")), "doc_id").select(
-        "doc_id", F.pmod("doc_id", F.lit(sites)).cast("int").alias("site"), split_of(copy_group(F.col("text"))).alias("split"), F.col("label").cast("int").alias("label")
+    return _packed(docs.join(labels.select("doc_id", F.col(target).cast("int").alias("label")), "doc_id").select("doc_id", "label", "text"), sites, size)
+
+
+def _packed(docs: DataFrame, sites: int, size: int) -> DataFrame:
+    """The unit rows of texts with a word, packed. A text is counted in the task that reads it, so no word is shuffled;
+    doc_id is the key of docs. The values are those of unit_rows."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known: dict[str, int] = {}
+        for t in batches:
+            for at in range(0, t.num_rows, TEXTS):
+                own = t.slice(at, TEXTS)
+                own = own.filter(pc.not_equal(own["words"], ""))
+                counts = _counts(own["words"], size, known)
+                yield pa.RecordBatch.from_arrays([*(own[c] for c in ("doc_id", "label", "split")), *counts], ["doc_id", "label", "split", "idx", "n", "squares"])
+                if len(known) > KNOWN:
+                    known.clear()
+
+    # texts without a word are dropped in the task, where no filter repeats the expression
+    told = docs.filter("doc_id IS NOT NULL").withColumn("words", joined(F.col("text")))
+    told = told.select("doc_id", "label", split_of(F.md5(F.col("words").cast("binary"))).alias("split"), "words")
+    kinds = dict(told.dtypes)
+    got = told.mapInArrow(count, f"doc_id {kinds['doc_id']}, label int, split string, idx array<int>, n array<long>, squares long")
+    val = F.transform("n", lambda n: F.round(n / F.sqrt(F.col("squares").cast("double")), 9))
+    return got.select(
+        F.col("doc_id").alias("sample_id"), F.pmod("doc_id", F.lit(sites)).cast("int").alias("site"), "split", "label",
+        F.concat("idx", F.array(F.lit(size))).alias("idx"), F.concat(val, F.array(F.lit(1.0))).alias("val"),
     )
-    return _packed(lab, docs, size)
 
 
-def _packed(lab: DataFrame, docs: DataFrame, size: int) -> DataFrame:
-    rows = unit_rows(hashed_words(docs, size), size).groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("feature", "val"))).alias("r"))
-    out = lab.join(rows, "doc_id")
-    return out.select(F.col("doc_id").alias("sample_id"), "site", "split", "label", F.col("r.feature").alias("idx"), F.col("r.val").alias("val"))
+def _counts(texts: pa.Array, size: int, known: dict[str, int]) -> tuple[pa.Array, pa.Array, pa.Array]:
+    """For each text of words, the buckets that occur, how often, and the sum of squares; known keeps the buckets of words."""
+    words = pc.split_pattern(texts, " ")
+    each = words.flatten().dictionary_encode()
+    buckets = np.empty(len(each.dictionary), np.int64)
+    for i, w in enumerate(each.dictionary.to_pylist()):
+        if (k := known.get(w)) is None:
+            k = known[w] = int.from_bytes(hashlib.md5(w.encode()).digest()[:4]) % size
+        buckets[i] = k
+    row = np.repeat(np.arange(len(texts)), pc.list_value_length(words).to_numpy(zero_copy_only=False))
+    n = np.bincount(row * size + buckets[each.indices.to_numpy(zero_copy_only=False)], minlength=len(texts) * size).reshape(len(texts), size)
+    at, feature = np.nonzero(n)
+    first = pa.array(np.searchsorted(at, np.arange(len(texts) + 1)), pa.int32())
+    lists = (pa.ListArray.from_arrays(first, pa.array(v, k)) for v, k in ((feature, pa.int32()), (n[at, feature], pa.int64())))
+    return *lists, pa.array((n * n).sum(1), pa.int64())
 
 
 def vector_samples(emb: DataFrame, sites: int = 10, teacher: bool = True, classes: int = 10) -> DataFrame:

@@ -4,7 +4,7 @@ from dataclasses import replace
 
 import numpy as np
 import pytest
-from gossipkit.operators import theory
+from gossipkit.operators import features, theory
 from gossipkit.operators.losses import LOSSES
 from gossipkit.plans import trainers
 from gossipkit.plans.config import GossipConfig
@@ -85,3 +85,15 @@ def test_constants_equal_dense_ones(spark):
     dense = [rows.take(s, np.arange(n))[0] for s, n in enumerate(pool.sizes.tolist())]
     assert all(np.allclose(g, x.T @ x / len(x)) for g, x in zip(grams, dense, strict=True))
     assert abs(c["K"] - max(np.linalg.eigvalsh(g)[-1] for g in grams)) < 0.05 * c["K"] and c["G"] == max(np.linalg.norm(g) for g in full) and c["sigma2"] > 0
+
+
+def test_samples_are_counted_where_they_are_read(spark, sf):
+    """The rows of the language task are unit_rows of hashed_words, letter case and odd texts included; no word is shuffled."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text", "lang")
+    odd = [(-3, "Straße ÉCOLE ΣΑΣ Σ á x"), (-4, None), (-5, "123 !!"), (-6, "  İstanbul 𐐀𐐁 ﬁn "), (None, "a b"), (-9, "a\x00b  é")]
+    docs = docs.unionByName(spark.createDataFrame([(k, t, "de") for k, t in odd], "doc_id long, text string, lang string"))
+    got = features.language_samples(docs, 10, 64)
+    want = features.unit_rows(features.hashed_words(docs.filter("doc_id IS NOT NULL"), 64), 64)
+    rows = {(r.sample_id, i, v) for r in got.collect() for i, v in zip(r.idx, r.val, strict=True)}
+    assert rows == {tuple(r) for r in want.join(docs.filter(F.col("lang").isin(features.LANGS)).select("doc_id"), "doc_id").collect()}
+    assert "Exchange" not in got._jdf.queryExecution().executedPlan().toString()
