@@ -25,6 +25,8 @@ FAN, TASK_BYTES = 64, 32 << 20
 LOCAL_ROWS = 1 << 15
 #: Ranges of ids in which the places of training rows are counted; rows made dense at once and bytes of models in one pass of an evaluation.
 BINS, CHUNK, MODEL_BYTES = 1024, 1024, 32 << 20
+#: Samples of a site that are packed in one row for repeated passes.
+BLOCK = 256
 TRACE = (
     "run_id string, round int, messages int, payload_bits long, link_bits long, eta double, stationarity double, consensus double, zero_share double, "
     "laplace_rho double, dominant_share double, entropy double, loss double, objective double, accuracy double, validation double"
@@ -59,22 +61,55 @@ def site_gradients(samples: DataFrame, x: np.ndarray, loss, features: int) -> tu
     def partial(batches):
         total: dict[int, list] = {}
         for t in batches:
-            site, y = t["site"].to_numpy(zero_copy_only=False), t["label"].to_numpy(zero_copy_only=False)
-            rows = dense(t["idx"], t["val"], features)
-            for s in np.unique(site):
-                own = site == s
-                v, g = loss.value_grad(model.value[s], rows[own], y[own])
-                n = int(own.sum())
-                acc = total.setdefault(int(s), [0, 0.0, np.zeros(size)])
-                acc[0], acc[1], acc[2] = acc[0] + n, acc[1] + v * n, acc[2] + g * n
+            for s, rows, y in _by_site(t, features):
+                v, g = loss.value_grad(model.value[s], rows, y)
+                acc = total.setdefault(s, [0, 0.0, np.zeros(size)])
+                acc[0], acc[1], acc[2] = acc[0] + len(y), acc[1] + v * len(y), acc[2] + g * len(y)
         yield _sums([(s, *a) for s, a in total.items()])
 
     grad, value, count = np.zeros_like(x), np.zeros(len(x)), np.zeros(len(x), np.int64)
-    for r in _added(samples, samples.select("site", "label", "idx", "val").mapInArrow(partial, SUMS), size):
+    for r in _added(samples, samples.select("site", "label", "idx", "val", *(c for c in samples.columns if c == "ends")).mapInArrow(partial, SUMS), size):
         count[r.site], value[r.site], grad[r.site] = r.n, r.loss / r.n, np.array(r.grad) / r.n
+    model.unpersist()
     return grad, value, count
 
 
+def _by_site(t: pa.RecordBatch, features: int) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(site, dense rows, labels) of a batch of samples, or of rows that blocks made."""
+    if "ends" not in t.schema.names:
+        site, y, rows = t["site"].to_numpy(zero_copy_only=False), t["label"].to_numpy(zero_copy_only=False), dense(t["idx"], t["val"], features)
+        for s in np.unique(site):
+            yield int(s), rows[site == s], y[site == s]
+        return
+    for i, s in enumerate(t["site"].to_pylist()):
+        y, ends, idx, val = (np.frombuffer(t[c][i].as_buffer(), k) for c, k in BODY)
+        rows = np.zeros((len(y), features))
+        rows[np.repeat(np.arange(len(y)), np.diff(ends, prepend=0)), idx] = val
+        yield s, rows, y
+
+
+BODY = [("label", np.int32), ("ends", np.int32), ("idx", np.int32), ("val", np.float64)]
+
+
+def blocks(samples: DataFrame) -> DataFrame:
+    """(site, label, ends, idx, val): up to BLOCK samples of a site in a row, their columns as bytes, for passes that would
+    otherwise move every list value by value once a round. ends has each sample's end in idx and val."""
+
+    def pack(batches):
+        for t in batches:
+            site = t["site"].to_numpy(zero_copy_only=False)
+            for s in np.unique(site):
+                at = np.flatnonzero(site == s)
+                for a in range(0, len(at), BLOCK):
+                    own = t.take(pa.array(at[a : a + BLOCK]))
+                    ends = np.cumsum(pc.fill_null(pc.list_value_length(own["idx"]), 0).to_numpy(zero_copy_only=False))
+                    cols = {"label": own["label"], "ends": ends, "idx": own["idx"].flatten(), "val": own["val"].flatten()}
+                    body = [pa.array([np.asarray(cols[c]).astype(k).tobytes()], pa.binary()) for c, k in BODY]
+                    yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), *body], ["site", *cols])
+
+    return samples.select("site", "label", "idx", "val").mapInArrow(pack, "site int, label binary, ends binary, idx binary, val binary")
+
+
 SUMS = "site int, n long, loss double, grad array<double>"
 
 
@@ -325,10 +360,11 @@ def sweep(spark: SparkSession, runs: list[tuple[str, np.ndarray, GossipConfig]],
                 w, cfg = settings[near[k]][0], GossipConfig(**settings[near[k]][1])
                 yield _traced(near[k], simulate(from_rows(own, sizes, cfg, model), w, cfg, model))
 
+    fit = cut(blocks(pool.fit), "blocks") if spread else None
     parts = [spark.range(0, len(near), 1, len(near)).mapInArrow(go, f"i int, {TRACE}, model binary")] if near else []
     for i in sorted(spread):
         _, w, cfg = runs[i]
-        made = _traced(i, simulate(from_table(pool.fit, model, features), w, cfg, model))
+        made = _traced(i, simulate(from_table(fit, model, features), w, cfg, model))
         parts.append(spark.createDataFrame(pa.Table.from_batches([made]), f"i int, {TRACE}, model binary"))
     out = parts[0]
     for p in parts[1:]:
