@@ -14,8 +14,8 @@ from pyspark.sql import functions as F
 from ..functions.columns import uniform
 
 LANGS = ["de", "en", "es", "fr"]
-#: Texts whose words a task holds apart at once, and words whose buckets it remembers.
-TEXTS, KNOWN = 64, 1 << 18
+#: Texts whose words a task holds apart at once, texts whose words it looks up together, and words whose buckets it remembers.
+TEXTS, GROUP, KNOWN = 64, 2048, 1 << 18
 
 
 def words(text: Column) -> Column:
@@ -71,10 +71,10 @@ def _packed(docs: DataFrame, sites: int, size: int) -> DataFrame:
     doc_id is the key of docs. The values are those of unit_rows."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known: dict[str, int] = {}
+        known = Buckets(size)
         for t in batches:
-            for at in range(0, t.num_rows, TEXTS):
-                own = t.slice(at, TEXTS)
+            for at in range(0, t.num_rows, GROUP):
+                own = t.slice(at, GROUP)
                 own = own.filter(pc.not_equal(own["words"], ""))
                 counts = _counts(own["words"], size, known)
                 yield pa.RecordBatch.from_arrays([*(own[c] for c in ("doc_id", "label", "split")), *counts], ["doc_id", "label", "split", "idx", "n", "squares"])
@@ -93,20 +93,46 @@ def _packed(docs: DataFrame, sites: int, size: int) -> DataFrame:
     )
 
 
-def _counts(texts: pa.Array, size: int, known: dict[str, int]) -> tuple[pa.Array, pa.Array, pa.Array]:
-    """For each text of words, the buckets that occur, how often, and the sum of squares; known keeps the buckets of words."""
-    words = pc.split_pattern(texts, " ")
-    each = words.flatten().dictionary_encode()
-    buckets = np.empty(len(each.dictionary), np.int64)
-    for i, w in enumerate(each.dictionary.to_pylist()):
-        if (k := known.get(w)) is None:
-            k = known[w] = int.from_bytes(hashlib.md5(w.encode()).digest()[:4]) % size
-        buckets[i] = k
-    row = np.repeat(np.arange(len(texts)), pc.list_value_length(words).to_numpy(zero_copy_only=False))
-    n = np.bincount(row * size + buckets[each.indices.to_numpy(zero_copy_only=False)], minlength=len(texts) * size).reshape(len(texts), size)
+class Buckets(dict):
+    """The hash bucket of a word's UTF-8 bytes, found when it is first asked for."""
+
+    def __init__(self, size: int):
+        self.size = size
+
+    def __missing__(self, word: bytes) -> int:
+        k = self[word] = int.from_bytes(hashlib.md5(word).digest()[:4]) % self.size
+        return k
+
+
+def _utf8(words: pa.Array) -> list[bytes]:
+    """The words' bytes, cut from their buffer, which is faster than a Python string each."""
+    _, ends, body = words.cast(pa.binary()).buffers()
+    at, all_of = np.frombuffer(ends, np.int32)[words.offset : words.offset + len(words) + 1].tolist(), body.to_pybytes()
+    return [all_of[a:b] for a, b in zip(at, at[1:], strict=False)]
+
+
+def _counts(texts: pa.Array, size: int, known: Buckets) -> tuple[pa.Array, pa.Array, pa.Array]:
+    """For each text of words, the buckets that occur, how often, and the sum of squares. A word is looked up once for all
+    texts given; TEXTS of them are split at once and kept as codes."""
+    lengths, codes, dictionaries = [], [], []
+    for at in range(0, len(texts), TEXTS):
+        words = pc.split_pattern(texts.slice(at, TEXTS), " ")
+        each = words.flatten().dictionary_encode()
+        lengths.append(pc.list_value_length(words).to_numpy(zero_copy_only=False))
+        codes.append(each.indices.to_numpy(zero_copy_only=False))
+        dictionaries.append(each.dictionary)
+    n = np.zeros((len(texts), size), np.int64)
+    if dictionaries:
+        distinct = pa.concat_arrays(dictionaries).dictionary_encode()
+        buckets = np.fromiter(map(known.__getitem__, _utf8(distinct.dictionary)), np.int64, len(distinct.dictionary))
+        of, first = buckets[distinct.indices.to_numpy(zero_copy_only=False)], 0
+        for i, (ls, c, d) in enumerate(zip(lengths, codes, dictionaries, strict=True)):
+            at = np.repeat(np.arange(len(ls)) * size, ls) + of[first : first + len(d)][c]
+            n[i * TEXTS : i * TEXTS + len(ls)] = np.bincount(at, minlength=len(ls) * size).reshape(len(ls), size)
+            first += len(d)
     at, feature = np.nonzero(n)
-    first = pa.array(np.searchsorted(at, np.arange(len(texts) + 1)), pa.int32())
-    lists = (pa.ListArray.from_arrays(first, pa.array(v, k)) for v, k in ((feature, pa.int32()), (n[at, feature], pa.int64())))
+    ends = pa.array(np.searchsorted(at, np.arange(len(texts) + 1)), pa.int32())
+    lists = (pa.ListArray.from_arrays(ends, pa.array(v, k)) for v, k in ((feature, pa.int32()), (n[at, feature], pa.int64())))
     return *lists, pa.array((n * n).sum(1), pa.int64())
 
 

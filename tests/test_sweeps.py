@@ -1,8 +1,10 @@
 """Sweeps over tables of any size: rows of batches by place, evaluation where the rows are."""
 
+import hashlib
 from dataclasses import replace
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from gossipkit.operators import features, theory
 from gossipkit.operators.losses import LOSSES
@@ -111,3 +113,24 @@ def test_samples_are_counted_where_they_are_read(spark, sf):
     rows = {(r.sample_id, i, v) for r in got.collect() for i, v in zip(r.idx, r.val, strict=True)}
     assert rows == {tuple(r) for r in want.join(docs.filter(F.col("lang").isin(features.LANGS)).select("doc_id"), "doc_id").collect()}
     assert "Exchange" not in got._jdf.queryExecution().executedPlan().toString()
+
+
+def test_words_are_looked_up_once(monkeypatch):
+    """One look-up a word for all texts given, however many are split at once; counts are those of each text by itself."""
+
+    class Told(features.Buckets):
+        asked = 0
+
+        def __getitem__(self, word):
+            self.asked += 1
+            return super().__getitem__(word)
+
+    monkeypatch.setattr(features, "TEXTS", 3)
+    texts = ["a straße a", "b", "z a b " * 5 + "é"] * 7
+    known = Told(16)
+    idx, n, squares = (c.to_pylist() for c in features._counts(pa.array(["skipped", *texts]).slice(1), 16, known))
+    assert known.asked == 5
+    for i, t in enumerate(texts):
+        want = np.bincount([int(hashlib.md5(w.encode()).hexdigest()[:8], 16) % 16 for w in t.split()], minlength=16)
+        assert idx[i] == np.flatnonzero(want).tolist() and n[i] == want[want > 0].tolist() and squares[i] == (want**2).sum()
+    assert [c.to_pylist() for c in features._counts(pa.array([], pa.string()), 16, known)] == [[], [], []]
