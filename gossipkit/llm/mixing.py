@@ -42,18 +42,53 @@ from .textkernel import U, Words, chunks
 TOPICS, TEMPER, SHARE, ROUNDS, TOLERANCE = 8, 0.7, 0.8, 40, 1e-10
 #: The topics' fit: hashed words, most rounds, parts of 1 that sums count in.
 FEATURES, FIT_ROUNDS, UNIT = 256, 20, 1 << 24
+#: Rows that a pass over stored counts handles at once, so that they stay in the cache.
+BLOCK = 1024
 MAX_CELLS = 1 << 18
 MISSED = 1e-3
 DIMS = ["source", "lang", "topic"]
 
 
-def counted(texts: list[str | None]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """For a range of texts after the other: rows of hashed word counts, damped and of length 1, and their words."""
+def numbers(texts: list[str | None]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """For a range of texts after the other: how many words of each text have each hash, and its words."""
     for a, b in chunks(texts):
         w = Words(texts[a:b], lower=True)
         n = np.bincount(w.doc * FEATURES + (w.hash % U(FEATURES)).astype(np.int64), minlength=(b - a) * FEATURES)
-        x = np.log1p(n.reshape(-1, FEATURES)).astype(np.float32)
-        yield x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-9), np.diff(w.first)
+        yield n.reshape(-1, FEATURES), np.diff(w.first)
+
+
+_DAMPED = np.log1p(np.arange(256)).astype(np.float32)
+
+
+def damped(n: np.ndarray) -> np.ndarray:
+    """Rows of numbers, damped and of length 1."""
+    x = _DAMPED.take(n) if n.dtype == np.uint8 else np.log1p(n.astype(np.float64)).astype(np.float32)
+    x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-9)
+    return x
+
+
+def packed(n: np.ndarray) -> list[bytes]:
+    """Each row in bytes, one a number where all of the row fit, or eight."""
+    small = n.max(axis=1, initial=0) < 256
+    return [(r.astype(np.uint8) if s else r.astype(np.int64)).tobytes() for r, s in zip(n, small.tolist(), strict=True)]
+
+
+def unpacked(data: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Rows of numbers from the bytes of packed ones; row i is data[ends[i] : ends[i + 1]]."""
+    wide = np.flatnonzero(np.diff(ends) > FEATURES)
+    if not len(wide):
+        return data[ends[0] : ends[-1]].reshape(-1, FEATURES)
+    n = np.empty((len(ends) - 1, FEATURES), np.int64)
+    for i in range(len(n)):
+        row = data[ends[i] : ends[i + 1]]
+        n[i] = row if len(row) == FEATURES else np.frombuffer(row.tobytes(), np.int64)
+    return n
+
+
+def counted(texts: list[str | None]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """For a range of texts after the other: rows of hashed word counts, damped and of length 1, and their words."""
+    for n, size in numbers(texts):
+        yield damped(n), size
 
 
 class Topics:
@@ -63,41 +98,57 @@ class Topics:
         self.rows, self.means = {v: i for i, v in enumerate(langs)}, means
         self.centres = np.zeros((0, FEATURES), np.float32) if centres is None else centres
 
-    def away(self, x: np.ndarray, langs: list[str | None]) -> np.ndarray:
-        return self._away(x, np.array([self.rows.get(v, len(self.rows)) for v in langs], np.int64))
+    def away(self, x: np.ndarray, langs: list[str | None], code: np.ndarray | slice = slice(None)) -> np.ndarray:
+        """Rows less their languages' means, of length 1; with code, a row's language is langs[code]."""
+        x = x - self.means[np.array([self.rows.get(v, len(self.rows)) for v in langs], np.int64)[code]]
+        x /= np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-9)
+        return x
 
-    def _away(self, x: np.ndarray, own: np.ndarray) -> np.ndarray:
-        x = x - self.means[own]
-        return x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-9)
+    def of(self, x: np.ndarray, langs: list[str | None], code: np.ndarray | slice = slice(None)) -> np.ndarray:
+        return (self.away(x, langs, code) @ self.centres.T).argmax(1) if len(self.centres) else np.zeros(len(x), np.int64)
 
-    def of(self, x: np.ndarray, langs: list[str | None]) -> np.ndarray:
-        return (self.away(x, langs) @ self.centres.T).argmax(1) if len(self.centres) else np.zeros(len(x), np.int64)
 
-
-def fitted(docs: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "lang", topics: int = TOPICS) -> Topics:
-    """K-means over all documents. Their counts are stored once; each step is a pass over them in Spark's tasks, and the driver gets
-    one row a language, or a centre. Sums are of whole numbers (1 / UNIT), so they are the same in any order."""
-    plain = docs.select(F.xxhash64(F.col(key)).alias("h"), F.xxhash64(F.col(text).cast("string")).alias("own"), F.col(text).cast("string").alias("text"), F.col(lang).cast("string").alias("lang"))
+def counts(docs: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "lang", keep: list[str] | None = None) -> DataFrame:
+    """Stored: for each document the columns to keep, under their own names, hashes of key and text, the language, its counts
+    and its number of words."""
+    keep = keep or []
+    whole = F.col(text).cast("string")
+    plain = docs.select(*keep, F.xxhash64(F.col(key)).alias("_h"), F.xxhash64(whole).alias("_own"), F.col(lang).cast("string").alias("_lang"), whole.alias("_text"))
+    made = [T.StructField("_x", T.BinaryType()), T.StructField("_words", T.LongType())]
 
     def count(batches):
         for t in batches:
-            x = np.concatenate([np.zeros((0, FEATURES), np.float32), *(x for x, _ in counted(t["text"].to_pylist()))])
-            yield pa.RecordBatch.from_arrays([t["h"], t["own"], t["lang"], pa.array([r.tobytes() for r in x], pa.binary())], ["h", "own", "lang", "x"])
+            x, n = [], []
+            for rows, size in numbers(t["_text"].to_pylist()):
+                x += packed(rows)
+                n.append(size)
+            yield pa.RecordBatch.from_arrays([*t.columns[:-1], pa.array(x, pa.binary()), pa.array(np.concatenate(n) if n else [], pa.int64())], names=[*t.schema.names[:-1], "_x", "_words"])
+
+    return stored(plain.mapInArrow(count, T.StructType([*plain.schema.fields[:-1], *made])), "counts")
+
+
+def fitted(docs: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "lang", topics: int = TOPICS) -> Topics:
+    """K-means over all documents."""
+    return clustered(counts(docs, key, text, lang), topics)
+
 
-    seen = stored(plain.mapInArrow(count, "h long, own long, lang string, x binary"), "counts")
-    total = summed(seen, lambda x, langs: (x, langs), "string")
+def clustered(seen: DataFrame, topics: int = TOPICS) -> Topics:
+    """K-means over counts. Each step is a pass over them in Spark's tasks, and the driver gets one row a language, or a centre.
+    Sums are of whole numbers (1 / UNIT), so they are the same in any order."""
+    total = summed(seen, lambda x, langs, code: (x, code, langs), "string")
     names = sorted(v for v in total if v is not None)
     whole = sum(total.values(), np.zeros(FEATURES + 1))
     out = Topics(names, np.stack([*(_mean(total[v]) for v in names), _mean(whole)]).astype(np.float32))
-    start = seen.orderBy("h", "own", "lang").first()
+    first = seen.orderBy("_h", "_own", "_lang").select("_x", "_lang").first()
+    start, lang = (damped(unpacked(np.frombuffer(first._x, np.uint8), np.array([0, len(first._x)])))[0], first._lang) if first else (None, None)
     for _ in range(topics):
         if start is None:
             break
-        out.centres = np.concatenate([out.centres, out.away(np.frombuffer(start.x, np.float32)[None], [start.lang])])
-        start = farthest(seen, out) if len(out.centres) < topics else None
+        out.centres = np.concatenate([out.centres, out.away(start[None], [lang])])
+        start, lang = farthest(seen, out) if len(out.centres) < topics else (None, None)
     for _ in range(FIT_ROUNDS if len(out.centres) else 0):
-        last, shared = out.centres, docs.sparkSession.sparkContext.broadcast(out)
-        total = summed(seen, lambda x, langs, m=shared: ((y := m.value.away(x, langs)), (y @ m.value.centres.T).argmax(1).tolist()), "int")
+        last, shared = out.centres, seen.sparkSession.sparkContext.broadcast(out)
+        total = summed(seen, lambda x, langs, code, m=shared: ((y := m.value.away(x, langs, code)), (y @ m.value.centres.T).argmax(1), range(len(m.value.centres))), "int")
         shared.unpersist()
         sums = np.stack([total.get(k, np.zeros(FEATURES + 1))[:-1] for k in range(len(last))])
         length = np.linalg.norm(sums, axis=1, keepdims=True)
@@ -111,51 +162,63 @@ def _mean(total: np.ndarray) -> np.ndarray:
     return total[:-1] / max(total[-1], 1)
 
 
-def _read(t: pa.RecordBatch) -> tuple[np.ndarray, list[str | None]]:
-    return np.frombuffer(b"".join(t["x"].to_pylist()), np.float32).reshape(-1, FEATURES), t["lang"].to_pylist()
+def _read(t: pa.RecordBatch) -> Iterator[tuple[int, np.ndarray, list[str | None], np.ndarray]]:
+    """Blocks of a batch: the first row's number, the counts, the batch's languages and each row's place among them."""
+    if not len(t):
+        return
+    # the bytes of all rows stand one after the other and are not copied
+    data, lang = t["_x"].cast(pa.large_binary()), t["_lang"].dictionary_encode("encode")
+    ends = np.frombuffer(data.buffers()[1], np.int64)[data.offset :][: len(data) + 1]
+    x, langs, code = np.frombuffer(data.buffers()[2], np.uint8), lang.dictionary.to_pylist(), lang.indices.to_numpy()
+    for a in range(0, len(t), BLOCK):
+        yield a, damped(unpacked(x, ends[a : a + BLOCK + 1])), langs, code[a : a + BLOCK]
 
 
 def summed(seen: DataFrame, of, kind: str) -> dict:
-    """Sums of rows by key, their number at the end; of(x, langs) gives rows and keys."""
+    """Sums of rows by key, their number at the end; of(x, langs, code) gives rows, each one's place among the keys, and the keys."""
 
     def partial(batches):
         total: dict = {}
         for t in batches:
-            x, keys = of(*_read(t))
-            whole = np.column_stack([np.rint(x * np.float64(UNIT)).astype(np.int64), np.ones(len(x), np.int64)])
-            places: dict = {}
-            for i, k in enumerate(keys):
-                places.setdefault(k, []).append(i)
-            for k, at in places.items():
-                total[k] = total.get(k, 0) + whole[at].sum(0)
+            for _, *block in _read(t):
+                x, at, keys = of(*block)
+                used, at = np.unique(at, return_inverse=True)
+                one = np.zeros((len(used), len(x)))
+                one[at, np.arange(len(x))] = 1
+                # whole numbers far below 2^53, so the product is exact
+                sums = np.column_stack([one @ np.rint(x * np.float64(UNIT)), one.sum(1)]).astype(np.int64)
+                for k, n in zip(used, sums, strict=True):
+                    total[keys[k]] = total.get(keys[k], 0) + n
         cols = [pa.array([k for k in total for _ in range(FEATURES + 1)], pa.string() if kind == "string" else pa.int32()), pa.array(np.tile(np.arange(FEATURES + 1, dtype=np.int32), len(total)))]
         yield pa.RecordBatch.from_arrays([*cols, pa.array(np.concatenate([*total.values(), np.zeros(0, np.int64)]).astype(np.int64))], ["k", "j", "s"])
 
     out: dict = {}
-    for r in seen.select("lang", "x").mapInArrow(partial, f"k {kind}, j int, s long").groupBy("k", "j").agg(F.sum("s").alias("s")).collect():
+    for r in seen.select("_lang", "_x").mapInArrow(partial, f"k {kind}, j int, s long").groupBy("k", "j").agg(F.sum("s").alias("s")).collect():
         out.setdefault(r.k, np.zeros(FEATURES + 1))[r.j] = r.s / (UNIT if r.j < FEATURES else 1)
     return out
 
 
-def farthest(seen: DataFrame, model: Topics):
-    """The document whose nearest centre is farthest; of equals the one of the least hash."""
+def farthest(seen: DataFrame, model: Topics) -> tuple[np.ndarray, str | None]:
+    """Counts and language of the document whose nearest centre is farthest; of equals the one of the least hash."""
     shared = seen.sparkSession.sparkContext.broadcast(model)
 
     def least(batches):
         best = None
         for t in batches:
-            x, langs = _read(t)
-            if len(x):
-                score = np.round((shared.value.away(x, langs) @ shared.value.centres.T).max(1).astype(float), 5)
-                h, own = (t[c].to_numpy(zero_copy_only=False) for c in ("h", "own"))
-                i = np.lexsort((own, h, score))[0]
-                row = (float(score[i]), int(h[i]), int(own[i]), langs[i] or "", x[i].tobytes(), langs[i])
-                best = row if best is None or row < best else best
+            h, own = (t[c].to_numpy(zero_copy_only=False) for c in ("_h", "_own"))
+            for a, x, langs, code in _read(t):
+                score = np.round((shared.value.away(x, langs, code) @ shared.value.centres.T).max(1).astype(float), 5)
+                low = np.flatnonzero(score == score.min())
+                i = low[np.lexsort((own[a + low], h[a + low]))[0]]
+                lang = langs[code[i]]
+                row = (float(score[i]), int(h[a + i]), int(own[a + i]), lang or "", x[i].tobytes(), lang)
+                best = row if best is None or row[:5] < best[:5] else best
         cols = [[v] for v in best] if best else [[]] * 6
         types = [pa.float64(), pa.int64(), pa.int64(), pa.string(), pa.binary(), pa.string()]
         yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, types, strict=True)], ["score", "h", "own", "name", "x", "lang"])
 
-    return seen.select("h", "own", "lang", "x").mapInArrow(least, "score double, h long, own long, name string, x binary, lang string").orderBy("score", "h", "own", "name").first()
+    row = seen.select("_h", "_own", "_lang", "_x").mapInArrow(least, "score double, h long, own long, name string, x binary, lang string").orderBy("score", "h", "own", "name").first()
+    return np.frombuffer(row.x, np.float32), row.lang
 
 
 def with_topics(docs: DataFrame, text: str = "text", topics: int = TOPICS, key: str = "doc_id", lang: str = "lang") -> DataFrame:
@@ -331,9 +394,24 @@ def sampled(docs: DataFrame) -> DataFrame:
     return docs.filter("kept").withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).drop("_copy")
 
 
+def placed(seen: DataFrame, model: Topics) -> DataFrame:
+    """The columns that counts kept, with topic and n_tokens; no text is read again."""
+    shared, kept = seen.sparkSession.sparkContext.broadcast(model), [c for c in seen.columns if c not in ("_h", "_own", "_lang", "_x", "_words")]
+    schema = T.StructType([*seen.select(*kept).schema.fields, T.StructField("n_tokens", T.LongType()), T.StructField("topic", T.IntegerType())])
+
+    def vote(batches):
+        for t in batches:
+            topic = [shared.value.of(*block) for _, *block in _read(t)]
+            topic = np.where(t["_words"].to_numpy() > 0, np.concatenate(topic) if topic else 0, 0).astype(np.int32)
+            yield pa.RecordBatch.from_arrays([*t.columns[: len(kept)], t["_words"], pa.array(topic)], names=schema.names)
+
+    return seen.select(*kept, "_words", "_lang", "_x").mapInArrow(vote, schema).select(*kept, "topic", "n_tokens")
+
+
 def mix(docs: DataFrame, targets: dict[str, dict[str, float]] | None = None, share: float = SHARE, repeats: bool = True) -> DataFrame:
     """One row for each document: doc_id, source, lang, topic, n_tokens, prob, kept, copies."""
-    seen = stored(with_topics(docs.select("doc_id", "source", "lang", "text")).drop("text"), "topics")
+    seen = counts(docs, keep=["doc_id", "source", "lang"])
+    seen = stored(placed(seen, clustered(seen)), "topics")
     return decided(seen, plan(seen, targets, share, repeats=repeats))
 
 

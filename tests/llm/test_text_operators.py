@@ -488,3 +488,38 @@ def test_topics_are_fitted_on_all_documents(spark, monkeypatch):
     assert np.array_equal(fits[0].centres, fits[1].centres)
     got = mixing.with_topics(docs, topics=2).groupBy("text").agg(F.collect_set("topic").alias("t")).collect()
     assert sorted(r.t[0] for r in got) == [0, 1] and all(len(r.t) == 1 for r in got)
+
+
+def test_mix_reads_the_texts_once(spark, sf, monkeypatch):
+    plans, plain = [], mixing.stored
+
+    def noted(df, label):
+        plans.append(df._jdf.queryExecution().executedPlan().toString())
+        return plain(df, label)
+
+    monkeypatch.setattr(mixing, "stored", noted)
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    plans.append(mixing.mix(docs)._jdf.queryExecution().executedPlan().toString())
+    assert sum("text:string" in p for p in plans) == 1
+    monkeypatch.undo()
+    # the topics are those of the way that reads the texts again
+    ways = [{r.doc_id: (r.topic, r.n_tokens) for r in way.select("doc_id", "topic", "n_tokens").collect()} for way in (mixing.mix(docs), mixing.with_topics(docs))]
+    assert ways[0] == ways[1]
+
+
+def test_sums_of_stored_counts(spark):
+    """Rows of one byte a number and of eight, in any mixture, come back as they were, and their sums by language are exact."""
+    texts = ["a b a", None, "", "x " * 255, "y " * 256 + "z", *(f"w{i} " * (i % 300) for i in range(1500)), "é " * 70000]
+    n = np.concatenate([x for x, _ in mixing.numbers(texts)])
+    rows = mixing.packed(n)
+    assert {len(r) for r in rows} == {mixing.FEATURES, 8 * mixing.FEATURES}
+    for lo, hi in ((0, 3), (3, 5), (0, len(rows)), (5, 5)):
+        ends = np.cumsum([0, *map(len, rows)])[lo : hi + 1]
+        assert np.array_equal(mixing.unpacked(np.frombuffer(b"".join(rows), np.uint8), ends), n[lo:hi])
+    langs = [None, "", "de", "en"]
+    docs = spark.createDataFrame([(i, t, langs[i % 4]) for i, t in enumerate(texts)], "doc_id long, text string, lang string")
+    x, want = np.rint(np.concatenate([x for x, _ in mixing.counted(texts)]) * np.float64(mixing.UNIT)), {}
+    for i, r in enumerate(x):
+        want[langs[i % 4]] = want.get(langs[i % 4], 0) + np.append(r / mixing.UNIT, 1)
+    got = mixing.summed(mixing.counts(docs), lambda x, langs, code: (x, code, langs), "string")
+    assert got.keys() == want.keys() and all(np.array_equal(got[k], want[k]) for k in want)
